@@ -1 +1,6 @@
+"""All driver queries of the engine, by module; each stands beside its SQL."""
 
+from . import batch, filtering, sampling
+from .registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES", "batch", "filtering", "sampling"]

@@ -39,7 +39,8 @@ def low_quality(text: str = "text") -> Column:
 
 def language(text: str = "text") -> Column:
     """The language of most frequent words; on a tie the first by name."""
-    votes = F.array(*[F.struct((-F.size(F.filter(_words(text), lambda w, ws=ws: w.isin(ws)))).alias("v"), F.lit(k).alias("k")) for k, ws in sorted(FREQUENT.items())])
+    count = lambda frequent: F.size(F.filter(_words(text), lambda w: w.isin(frequent)))
+    votes = F.array(*[F.struct((-count(words)).alias("v"), F.lit(k).alias("k")) for k, words in sorted(FREQUENT.items())])
     return F.array_min(votes)["k"]
 
 

@@ -9,10 +9,38 @@ from ..operators import allocate
 from ..operators.estimate import Moments, StratumDraws, moments_of, stratified_filter, valid_mean
 from ..operators.labelers import Labeler
 from ..operators.order import rank_pool
+from ..operators.stats import valid_rate
 from ..sources.store import saved
 from .query import Clock, DrawLog, ProgressLog, Stop
 
 
+def schedule(pool: DataFrame, pilot: int, batch: int, key: str = "key", seed: int = 42) -> DataFrame:
+    """A labelled pool (key, stratum, label) as a draw log: step 0 is the pilot, then strata in the order of its valid rates.
+
+    For tables whose labels are at hand (replays, experiments): one declaration in place of a loop. The driver holds
+    one row for each stratum.
+    """
+    spark = pool.sparkSession
+    ranked = rank_pool(pool, key, ["stratum"], seed)
+    sizes = {r.stratum: r.n for r in pool.groupBy("stratum").agg(F.count("*").alias("n")).collect()}
+    first = allocate.proportional(sizes, pilot)
+    rates = {r.stratum: r.p_hat for r in valid_rate(_join_small(ranked, first, "_pilot").where("position <= _pilot")).collect()}
+    order, start, table = allocate.priority(rates, sizes), 0, {}
+    for h in sorted(sizes, key=order.get):
+        table[h] = start
+        start += sizes[h] - first[h]
+    placed = _join_small(_join_small(ranked, first, "_pilot"), table, "_start")
+    after = F.col("_start") + F.col("position") - F.col("_pilot") - 1
+    step = F.when(F.col("position") <= F.col("_pilot"), F.lit(0)).otherwise(1 + F.floor(after / batch)).cast("bigint")
+    return placed.withColumn("step", step).drop("_pilot", "_start")
+
+
+def _join_small(df: DataFrame, numbers: dict, name: str) -> DataFrame:
+    kind = dict(df.dtypes)["stratum"]
+    table = df.sparkSession.createDataFrame(list(numbers.items()), f"_h {kind}, {name} bigint")
+    return df.join(F.broadcast(table), F.col("stratum") == F.col("_h")).drop("_h")
+
+
 def progressive_filter(
     df: DataFrame, key: str, text: str, labeler: Labeler, value: str, agg: str = "avg", stratum: str | None = "stratum", pilot: int | None = None,
     batch: int | None = None, alpha: float = 0.95, seed: int = 42, stop: Stop | None = None, mode: str = "strict", refresh_rates: bool = False,
