@@ -9,6 +9,7 @@ from ..operators.labelers import ExtractLabeler
 from ..operators.order import rank_pool
 from ..plans import workloads as W
 from ..plans.group_engine import GroupConfig
+from ..plans.query import Stop
 from ..sources.store import new_path
 from ..sources.tables import table
 from ..streaming import stream
@@ -52,12 +53,12 @@ def compare_filter(spark, d):
 
 @query()
 def compare_strategies(spark, d):
-    return W.compare(W.with_strata(W.w8(spark, d), 8), ("ours", "static", "random"), config=GroupConfig(h_max=16, gamma=0.97))
+    return W.compare(W.with_strata(W.w8(spark, d), 8), ("ours", "static", "random"), config=GroupConfig(h_max=16, gamma=0.97), stop=Stop(bound=0.05, relative=False))
 
 
 @query()
 def compare_strategies_unaligned(spark, d):
-    return W.compare(W.with_strata(W.w7b(spark, d), 8), ("static", "random"))
+    return W.compare(W.with_strata(W.w7b(spark, d), 8), ("static", "random"), stop=Stop(bound=0.05, relative=False))
 
 
 @query()
@@ -67,7 +68,7 @@ def ablation_strata(spark, d):
 
 @query()
 def ablation_theta_gamma(spark, d):
-    return W.ablation_grouping(W.w7(spark, d), (3,), (0.25, 0.55), (0.9,), base_h=4)
+    return W.ablation_grouping(W.w7(spark, d), (3,), (0.55,), (0.9,), base_h=4, stop=Stop(bound=0.1, relative=False))
 
 
 @query()
