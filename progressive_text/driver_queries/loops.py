@@ -84,7 +84,8 @@ def scaleout_sim(spark, d):
 @query()
 def stream_progress_final(spark, d):
     """W1 as two streaming queries; the last trigger's answers."""
-    draws = rank_pool(table(spark, d, "events").select("event_id", "event_type", "props"), "event_id").withColumn("step", F.floor((F.col("position") - 1) / 2500)).drop("draw_rank", "position")
+    events = table(spark, d, "events").select("event_id", "event_type", "props")
+    draws = rank_pool(events, "event_id").withColumn("step", F.floor((F.col("position") - 1) / max(1, events.count() / 4))).drop("draw_rank", "position")
     source, spec = new_path(spark, "staged"), stream.StreamSpec("label", ("event_type",))
     stream.stage_draws(draws, source)
     log = stream.DirTransport(new_path(spark, "transport"))
