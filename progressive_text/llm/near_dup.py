@@ -4,9 +4,11 @@ A document is the set of its word shingles, each a 64-bit hash. Sets that are eq
 goes on. Its sketch is the k smallest values of its set, in one order for all: by how common a value is in the corpus
 (a count over all documents in a fixed number of cells), then by the hash. With k the size less what a partner must
 share, plus one, two sets that are similar enough share a retained value, so no link is lost. Inverted lists of the
-retained values give the overlaps; each list is first compared with its smallest member, then members that this did
-not join with the rest of their list are compared with all others of it. Estimates on the smallest hashes of the union
-of two sets drop hopeless pairs, exact Jaccard on the full sets confirms the others.
+retained values give candidates: each list is first compared with its smallest member, then members that this did not
+join with the rest of their list are compared with all others of it. Only pairs whose sizes and places of the value
+leave room for a link count, and whose parity maps do (maps of two sets differ in no more bits than the sets differ in
+values), then those whose overlap of all retained values does. Estimates on the smallest hashes of
+the union of two sets drop hopeless pairs, exact Jaccard on the full sets confirms the others.
 """
 
 from __future__ import annotations
@@ -16,15 +18,18 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+import zstandard
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Memo, _arrow_schema, map_rows, saved
 
-CELLS, CHUNKS = 1 << 18, 16
+CELLS, CHUNKS = 1 << 22, 64
 #: Size of the sketches that estimates use, and how far below the threshold an estimate may fall: at k = 128 a pair at
 #: the threshold of 0.8 falls below 0.5 with a probability under 1e-13.
 ESTIMATE_K, SLACK = 128, 0.3
+#: Words of 64 bits in a parity map.
+PARITY = 8
 BITMAP_BUCKETS = 512
 
 
@@ -67,17 +72,19 @@ def _survey(docs: DataFrame, words: int) -> DataFrame:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part, n, prints = batch.slice(at, 512), [], []
+                seen = []
                 for text in part.column(1).to_pylist():
                     values = shingle_set(text, words)
-                    cells += np.bincount((values % np.uint64(CELLS)).astype(np.int64), minlength=CELLS).astype(np.uint32) if len(values) > 20_000 else 0
-                    if len(values) <= 20_000:
-                        np.add.at(cells, (values % np.uint64(CELLS)).astype(np.int64), 1)
+                    seen.append(values % np.uint64(CELLS))
                     n.append(len(values))
                     prints.append(xxhash.xxh3_128_digest(values.tobytes()))
+                at_cell, times = np.unique(np.concatenate(seen).astype(np.int64), return_counts=True)
+                cells[at_cell] += times.astype(np.uint32)
                 yield pa.RecordBatch.from_pydict({"doc_id": part.column(0).to_pylist(), "n": n, "print": prints, "chunk": [None] * len(n), "cells": [None] * len(n)}, schema=arrow)
         if cells.any():
             size = CELLS // CHUNKS
-            rows = [{"chunk": k, "cells": cells[k * size : (k + 1) * size].tobytes()} for k in range(CHUNKS)]
+            pack = zstandard.ZstdCompressor(level=1)
+            rows = [{"chunk": k, "cells": pack.compress(cells[k * size : (k + 1) * size].tobytes())} for k in range(CHUNKS)]
             yield pa.RecordBatch.from_pylist(rows, schema=arrow)
 
     return docs.select("doc_id", "text").mapInArrow(run, schema)
@@ -90,43 +97,52 @@ def _common(survey: DataFrame) -> np.ndarray:
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
+        unpack = zstandard.ZstdDecompressor()
         for batch in batches:
             for k, cells in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                total[k] = total.get(k, 0) + np.frombuffer(cells, np.uint32).astype(np.int64)
-        yield pa.RecordBatch.from_pydict({"chunk": list(total), "cells": [x.tobytes() for x in total.values()]}, schema=arrow)
+                total[k] = total.get(k, 0) + np.frombuffer(unpack.decompress(cells), np.uint32).astype(np.int64)
+        most = np.int64((1 << 32) - 1)
+        yield pa.RecordBatch.from_pydict({"chunk": list(total), "cells": [np.minimum(x, most).astype(np.uint32).tobytes() for x in total.values()]}, schema=arrow)
 
     parts = survey.where("chunk IS NOT NULL").select("chunk", "cells")
     rows = parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).collect()
-    out = np.zeros(CELLS, np.int64)
+    out = np.zeros(CELLS, np.uint32)
     for r in rows:
         size = CELLS // CHUNKS
-        out[r.chunk * size : (r.chunk + 1) * size] += np.frombuffer(r.cells, np.int64)
+        out[r.chunk * size : (r.chunk + 1) * size] += np.frombuffer(r.cells, np.uint32)
     return out
 
 
 def _sketches(docs: DataFrame, words: int, percent: int, common: np.ndarray) -> DataFrame:
-    """doc_id, n and the retained values of every set that is not empty."""
+    """doc_id, n, the retained values in order, and the last one's place in the order, of every set that is not empty."""
     held = docs.sparkSession.sparkContext.broadcast(common)  # CELLS numbers, whatever the data
 
     def make():
         order = held.value
 
         def each(c):
-            ids, sizes, kept = [], [], []
+            ids, sizes, kept, cells, last, maps = [], [], [], [], [], []
             for doc_id, text in zip(c["doc_id"], c["text"], strict=True):
                 values = shingle_set(text, words)
                 n = len(values)
                 if n:
                     k = n - -(-percent * n // 100) + 1
-                    ranked = values[np.lexsort((values, order[(values % np.uint64(CELLS)).astype(np.int64)]))[:k]]
+                    count = order[(values % np.uint64(CELLS)).astype(np.int64)]
+                    first = np.lexsort((values, count))[:k]
                     ids.append(doc_id)
                     sizes.append(n)
-                    kept.append(_signed(ranked))
-            return {"doc_id": ids, "n": sizes, "kept": kept}
+                    kept.append(_signed(values[first]))
+                    cells.append(int(count[first[-1]]))
+                    last.append(int(values[first[-1]]) - (1 << 63))
+                    bits = np.bincount((values >> np.uint64(40)).astype(np.int64) % (64 * PARITY), minlength=64 * PARITY) & 1
+                    maps.append(np.packbits(bits.astype(np.uint8)).view(np.int64).tolist())
+            words_of = {f"o{k}": [x[k] for x in maps] for k in range(PARITY)}
+            return {"doc_id": ids, "n": sizes, "kept": kept, "last_cell": cells, "last": last, **words_of}
 
         return each
 
-    return map_rows(docs.select("doc_id", "text"), make, "doc_id bigint, n bigint, kept array<bigint>")
+    schema = "doc_id bigint, n bigint, kept array<bigint>, last_cell bigint, last bigint, " + ", ".join(f"o{k} bigint" for k in range(PARITY))
+    return map_rows(docs.select("doc_id", "text"), make, schema)
 
 
 def _confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
@@ -192,16 +208,52 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _star(sketches: DataFrame) -> DataFrame:
-    """v, doc, n, head, head_n, c for each member but the smallest of each inverted list of c members."""
-    posted = sketches.select(F.col("doc_id").alias("doc"), "n", F.explode("kept").alias("v"))
-    lists = posted.groupBy("v").agg(F.min(F.struct("doc", "n")).alias("h"), F.count("*").alias("c")).where("c > 1")
-    lists = lists.select("v", F.col("h.doc").alias("head"), F.col("h.n").alias("head_n"), "c")
-    return posted.join(lists, "v").where("doc <> head")
+def _needed(percent: int, n: str, m: str) -> Column:
+    """Values that two sets of n and m must share to be linked."""
+    return F.ceil(F.lit(percent) * (F.col(n) + F.col(m)) / (100 + percent))
 
 
-def _close(a: str, b: str, percent: int):
-    return F.least(a, b) * 100 >= F.greatest(a, b) * percent
+def _possible(percent: int, n: str, i: str, m: str, j: str) -> Column:
+    """Sizes may be linked, and enough values are left from the shared one on (it may be the first that they share)."""
+    sizes = F.least(n, m) * 100 >= F.greatest(n, m) * percent
+    return sizes & (F.least(F.col(n) - F.col(i), F.col(m) - F.col(j)) >= _needed(percent, n, m))
+
+
+def _parity(percent: int, n: str, m: str, a: str, b: str, names: list[str]) -> Column:
+    """The maps (or the same words of both) differ in no more bits than linked sets of these sizes may differ in values."""
+    bits = sum((F.bit_count(F.col(f"{a}{k}").bitwiseXOR(F.col(f"{b}{k}"))) for k in names), F.lit(0))
+    return bits <= F.col(n) + F.col(m) - 2 * _needed(percent, n, m)
+
+
+def _star(sketches: DataFrame, percent: int) -> DataFrame:
+    """v, doc, n, i, head, head_n, head_i, c for each member but the smallest of each inverted list of c members; i is the
+    value's place in the order of a member's set.
+
+    A list is kept for each value and class of sizes. Sets that can be linked are of one class, or the smaller one is of
+    the class below: so a set enters its own class by all retained values, and the next one by those that may be the
+    first that it shares with a larger set.
+    """
+    size_class = F.floor(F.log("n") / F.log(F.lit(100 / percent))).cast("int")
+    k = F.size("kept")
+    above = (F.col("n") - F.ceil(F.lit(2 * percent) * F.col("n") / (100 + percent)) + 1).cast("int")
+    keys = F.concat(F.transform("kept", lambda v: F.xxhash64(v, "class")), F.transform(F.slice("kept", F.lit(1), F.least(above, k)), lambda v: F.xxhash64(v, F.col("class") + 1)))
+    posted = sketches.withColumn("class", size_class).select(F.col("doc_id").alias("doc"), "n", k.alias("k"), F.posexplode(keys).alias("p", "v"))
+    posted = posted.select("doc", "v", (F.shiftleft("n", 31) + F.when(F.col("p") < F.col("k"), F.col("p")).otherwise(F.col("p") - F.col("k"))).alias("h"))  # n and i in one number
+    lists = posted.groupBy("v").agg(F.min("doc").alias("head"), F.min_by("h", "doc").alias("hh"), F.count("*").alias("c")).where("c > 1")
+    apart = lambda h, *names: [F.shiftright(h, 31).alias(names[0]), F.col(h).bitwiseAND((1 << 31) - 1).alias(names[1])]
+    return posted.join(lists, "v").where("doc <> head").select("v", "doc", *apart("h", "n", "i"), "head", *apart("hh", "head_n", "head_i"), "c")
+
+
+def _overlapping(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) whose retained values overlap so much that the sets can be linked: beyond the retained values of the
+    set whose last one comes first, only its own rest can be shared."""
+    side = lambda x, *c: sketches.select(F.col("doc_id").alias(x), *[F.col(k).alias(f"{x}_{k}") for k in c])
+    odd = [f"o{k}" for k in range(PARITY)]
+    near = pairs.join(side("a", "n", *odd), "a").join(side("b", "n", *odd), "b").where(_parity(percent, "a_n", "b_n", "a_", "b_", odd)).select("a", "b", "a_n", "b_n")
+    both = near.join(side("a", "kept", "last_cell", "last"), "a").join(side("b", "kept", "last_cell", "last"), "b")
+    rest = F.when(F.struct("a_last_cell", "a_last") <= F.struct("b_last_cell", "b_last"), F.col("a_n") - F.size("a_kept")).otherwise(F.col("b_n") - F.size("b_kept"))
+    overlap = F.size(F.array_intersect("a_kept", "b_kept"))
+    return both.where(overlap + rest >= _needed(percent, "a_n", "b_n")).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
@@ -218,23 +270,28 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     classes = known.where("n > 0 AND doc_id IS NOT NULL").groupBy("print").agg(F.min("doc_id").alias("rep"))
     classes = saved(classes, "classes")
     reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    sketches = _sketches(docs, words, percent, common).join(reps, "doc_id", "left_semi")
-    star = saved(_star(saved(sketches, "sketches")), "star")
-    first = saved(star.where(_close("n", "head_n", percent)).select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct(), "pairs")
-    links = saved(_confirm(first, docs, words, percent), "links")
+    sketches = saved(_sketches(docs, words, percent, common).join(reps, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "sketches")
+    star = saved(_star(sketches, percent), "star")
+
+    def confirm(pairs: DataFrame) -> DataFrame:
+        return saved(_confirm(saved(_overlapping(pairs, sketches, percent), "overlapping"), docs, words, percent), "links")
+
+    first = saved(star.where(_possible(percent, "n", "i", "head_n", "head_i")).select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct(), "pairs")
+    links = confirm(first)
     roots = components(links)
 
     # members that are not yet with the head of their list, against all other members that are elsewhere too
     root = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
-    rooted = star.where("c > 2").join(root("doc"), "doc", "left").join(root("head"), "head", "left")
-    rooted = rooted.select("v", "doc", "n", F.coalesce("doc_root", "doc").alias("r"), F.coalesce("head_root", "head").alias("hr"))
-    apart = saved(rooted.where("r <> hr"), "apart")
-    members = rooted.join(apart.select("v").distinct(), "v", "left_semi").select("v", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("r").alias("s"))
-    second = apart.select("v", F.col("doc").alias("a"), "n", "r").join(members, "v").where((F.col("r") != F.col("s")) & _close("n", "m", percent))
+    odd = ["o0", "o1"]  # enough for short texts, of which many are a little alike
+    rooted = star.where("c > 2").join(sketches.select(F.col("doc_id").alias("doc"), *odd), "doc").join(root("doc"), "doc", "left").join(root("head"), "head", "left")
+    rooted = saved(rooted.select("v", "doc", "n", "i", *odd, F.coalesce("doc_root", "doc").alias("r"), F.coalesce("head_root", "head").alias("hr")), "rooted")
+    members = rooted.select("v", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("r").alias("s"), *[F.col(c).alias(f"b_{c}") for c in odd])
+    second = rooted.where("r <> hr").select("v", F.col("doc").alias("a"), "n", "i", "r", *odd).join(members, "v")
+    second = second.where((F.col("r") != F.col("s")) & _possible(percent, "n", "i", "m", "j") & _parity(percent, "n", "m", "", "b_", odd))
     second = second.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     second = saved(second.join(first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "pairs")
     if not second.isEmpty():
-        roots = components(links.union(saved(_confirm(second, docs, words, percent), "links")))
+        roots = components(links.union(confirm(second)))
 
     # one id may hold several texts; its classes are one node
     spread = classes.join(roots, classes.rep == roots.node, "left").select("print", "rep", F.coalesce("root", "rep").alias("root"))
