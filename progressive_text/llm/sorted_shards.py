@@ -232,6 +232,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str | None = None, end_i
     arrow = _arrow_schema(spark, MANIFEST)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyarrow import fs
         from pyspark import TaskContext
 
         words, shard = load_words(tokenizer), TaskContext.get().partitionId()
@@ -247,6 +248,8 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str | None = None, end_i
                     for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                         writer.add(doc_id, np.concatenate([words.encode(text), end]))
             writer.close()
+        if system.get_file_info(final).type != fs.FileType.NotFound:  # of an earlier attempt; some stores do not replace
+            system.delete_file(final)
         system.move(draft, final)
         yield pa.RecordBatch.from_pylist([{"shard": shard, "path": f"{path}/shard-{shard:06d}.sst", "n_docs": writer.entries, "n_ids": writer.ids, "n_bytes": writer.at}], schema=arrow)
 
