@@ -7,6 +7,7 @@ import sys
 from pathlib import Path
 
 import duckdb
+import pandas as pd
 import pytest
 
 from progressive_text.driver_queries import ORACLES, QUERIES
@@ -26,7 +27,7 @@ def duck():
 
 def rows(df) -> list[str]:
     df = df[sorted(df.columns)]
-    return sorted(str(tuple(None if x is None or x != x else x for x in r)) for r in df.astype(object).itertuples(index=False, name=None))
+    return sorted(str(tuple(None if pd.isna(x) else x for x in r)) for r in df.astype(object).itertuples(index=False, name=None))
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))
