@@ -56,6 +56,9 @@ def kmeans_strata(df: DataFrame, h: int, vector: str = "embedding", metric: str
     n = usable.count()
     if n == 0:
         return df.withColumn("stratum", F.lit(0)), np.zeros((0, 1))
+    if min(h, n) < 2:  # K-means needs two clusters; one stratum holds all rows with a vector
+        centroids = np.ones((1, len(usable.select(vector).first()[0])))
+        return assign_nearest(df, vector, centroids, metric), centroids
     if n > fit_rows:
         usable = usable.where(F.pmod(F.xxhash64(vector, F.lit(seed)), F.lit(1 << 30)) < int(fit_rows / n * (1 << 30)))
     kind = BisectingKMeans if bisecting else KMeans

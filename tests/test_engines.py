@@ -125,6 +125,7 @@ def test_strata_cover_all_rows(spark, sf):
     for strata, centres in (kmeans_strata(odd, 5), lloyd_strata(e, "vec_id", 5), kmeans_strata(odd, 3, bisecting=True)):
         assert strata.count() in (500, 502) and strata.agg(F.max("stratum")).first()[0] <= len(centres)
     assert {r.stratum for r in assign_nearest(odd, "embedding", kmeans_strata(odd, 5)[1]).where("vec_id < 0").collect()} == {5}
+    assert {r.stratum for r in kmeans_strata(odd, 1)[0].select("stratum").distinct().collect()} == {0, 1}
     base = spark.createDataFrame([(1, 0), (2, 1)], "key bigint, stratum int")
     moves = spark.createDataFrame([(0, 1, 5), (1, 1, 7)], "t int, key bigint, to_stratum int")
     assert {r.key: r.stratum for r in overlay(base, moves).collect()} == {1: 7, 2: 1}
