@@ -29,6 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import letters
 from .byte_bpe import byte_alphabet
 from .common import Memo, _arrow_schema, local_or_remote, new_path, saved, tokenizer_file
 
@@ -170,7 +171,8 @@ class WordBpe:
 
     A word end is written as the byte 0xFF, which no UTF-8 text has; the vocabulary's order then makes it join the
     last byte before all other merges, so a plain byte-pair merger by rank gives the library's ids. No match of the
-    pattern holds white space, so runs of other characters are encoded apart and remembered.
+    pattern holds white space, so runs of other characters are encoded apart and remembered. Texts with characters that
+    the library and this Python know by another version of Unicode are left to the library.
     """
 
     def __init__(self, path: str):
@@ -188,6 +190,7 @@ class WordBpe:
         self.single = tiktoken.Encoding("words", pat_str=r"\S+", mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
         self.spaces = regex.compile(r"\p{White_Space}+")
         self.odd = re.compile("[\x1c-\x1f]")
+        self.path, self.differs = path, letters.Finder(letters.newer("L") | letters.newer("N") | letters.normalized_apart())
         self.memo = Memo(self._run, 250_000)
         self.vocab = 1 + max([*ranks.values(), *special.values()])
 
@@ -198,6 +201,8 @@ class WordBpe:
         return array("I", ids).tobytes()
 
     def encode(self, text: str) -> np.ndarray:
+        if self.differs(text):
+            return np.array(_library(self.path).encode(text, add_special_tokens=False).ids, np.uint32)
         if "<|" in text:
             parts = self.find_special.split(text)
             return np.concatenate([self.special[x] if i % 2 else self._plain(x) for i, x in enumerate(parts)])
@@ -213,6 +218,13 @@ class WordBpe:
         return np.frombuffer(b"".join([memo[x] for x in runs]), np.uint32)
 
 
+@lru_cache(maxsize=4)
+def _library(path: str):
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
+
+
 @lru_cache(maxsize=4)
 def load_words(path: str) -> WordBpe:
     return WordBpe(path)

@@ -38,7 +38,7 @@ class PrefixCounter:
 
     def counts_all(self, texts: list[str]) -> list[np.ndarray]:
         """counts() of some texts, whose new words share the work for common prefixes."""
-        parts = [self.bpe.match.findall(x) for x in texts]
+        parts = [self.bpe.matcher(x).findall(x) for x in texts]
         self._learn(parts)
         return [self.counts(x, p) for x, p in zip(texts, parts, strict=True)]
 
@@ -67,7 +67,7 @@ class PrefixCounter:
             return np.zeros(0, np.int64)
         words = self.words
         if self._simple(text):
-            parts = self.bpe.match.findall(text) if parts is None else parts
+            parts = self.bpe.matcher(text).findall(text) if parts is None else parts
             flat = [words[x] for x in parts]
         else:
             parts = self._chunks(text)
@@ -90,13 +90,13 @@ class PrefixCounter:
         The prefix of a match is a match of its own kind, but for a contraction ('r of 're is two matches) and for the
         space that begins a match after other white space (in a prefix that ends there, all of it is one match).
         """
-        out, base, run, words = [], 0, None, self.words
-        for m in self.bpe.match.finditer(chunk):
+        out, base, run, words, match = [], 0, None, self.words, self.bpe.matcher(chunk)
+        for m in match.finditer(chunk):
             s, e = m.span()
             own = [*words[chunk[s:e]]]
             if chunk[s] == "'" and 1 < e - s <= 3 and chunk[s + 1].isalpha():
                 for j in range(2, e - s):
-                    own[j - 1] = sum(len(self.bpe.single(x.group().encode())) for x in self.bpe.match.finditer(chunk[s : s + j]))
+                    own[j - 1] = sum(len(self.bpe.single(x.group().encode())) for x in match.finditer(chunk[s : s + j]))
             total = own[-1]
             if run is not None and chunk[s] in SPACES:
                 own[0] = run[1] - base + self._match(chunk[run[0] : s + 1])[-1]

@@ -17,12 +17,12 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from tokenizers import Tokenizer
 
-from progressive_text.llm import byte_bpe, packing, sorted_shards, token_counts
+from progressive_text.llm import byte_bpe, letters, packing, sorted_shards, token_counts
 from progressive_text.llm.common import new_path
 
 MULTI, BYTE, WORD = P.path("byte_bpe_multi_50k.tiktoken"), P.path("byte_bpe_50k.json"), P.path("word_bpe_49k.json")
 LIBRARY, WORDS = Tokenizer.from_file(BYTE), Tokenizer.from_file(WORD)
-PARTS = ["a", "the", "'s", "'re", "'RE", "'", " ", "  ", "\n", "\t", "é", "É", "中", "1", "23", ".", "...", "x" * 70, "ing", "\x1c", "　", "🙂", "́", "<|endoftext|>", "<|ENDOFTEXT|>", "<|end", "Σ", "İ", "ﬁ"]
+PARTS = ["a", "the", "'s", "'re", "'RE", "'", " ", "  ", "\n", "\t", "é", "É", "中", "1", "23", ".", "...", "x" * 70, "ing", "\x1c", "　", "🙂", "́", "<|endoftext|>", "<|ENDOFTEXT|>", "<|end", "Σ", "İ", "ﬁ", "\U00018d80", "\U00012550", "\U00016ea0", "\u0898"]
 texts = st.lists(st.sampled_from(PARTS), max_size=25).map("".join) | st.text(st.characters(codec="utf-8"), max_size=60)
 
 
@@ -41,6 +41,15 @@ def test_tree_encoding_is_the_library_encoding(text):
     assert ids == CODEC.encode_ordinary(text) and SMALL.decode(ids, fan=3) == text.encode()
 
 
+def test_characters_of_other_unicode_versions():
+    seen = sorted(letters.newer("L") | letters.newer("N") | letters.normalized_apart())
+    for c in [*seen, *map(chr, range(0x80, 0x3000))]:
+        text = f"ab{c}{c}d {c}e1{c}2.{c}A{c}\u0316\u0301 '{c}"
+        assert WORD_BPE.encode(text).tolist() == WORDS.encode(text, add_special_tokens=False).ids
+        assert SMALL.encode(text) == CODEC.encode_ordinary(text)
+        assert COUNTER.counts(text)[-1] == len(LIBRARY.encode(text, add_special_tokens=False).ids)
+
+
 def test_seams_inside_one_match():
     rng = random.Random(3)
     for _ in range(500):
