@@ -151,8 +151,12 @@ def test_plans_hold_all_pieces(histogram):
         for x in chosen:
             used[x] += times
     assert used == histogram
-    total = sum(k * v for k, v in histogram.items())
-    assert sum(t for _, t in bins) <= max(ceil(total / 32) * 1.5 + 1, 1)
+    # no piece of a later bin fits into an earlier one, so any two bins hold more than a capacity together
+    total, number, spread = sum(k * v for k, v in histogram.items()), sum(t for _, t in bins), [c for c, t in bins for _ in range(t)]
+    assert all(sum(c) + min(map(min, spread[i + 1 :])) > 32 for i, c in enumerate(spread[:-1]))
+    assert number == 1 or number * 32 < 2 * total
+    # pieces over half a capacity need a bin each; no plan has fewer bins than that, nor than the total asks for
+    assert number >= max(ceil(total / 32), sum(v for k, v in histogram.items() if k > 16))
 
 
 def test_first_bin_has_the_least_slack():
