@@ -20,7 +20,7 @@ def odd(spark):
 
 @pytest.fixture(scope="session")
 def docs(spark):
-    return spark.read.parquet(f"{SF}/documents.parquet").cache()
+    return spark.read.parquet(f"{SF}/documents.parquet")  # a cached scan would take the place of scans in tests of plans
 
 
 @pytest.fixture(scope="session")
