@@ -90,12 +90,13 @@ def answers(sums: DataFrame, spec: StreamSpec) -> DataFrame:
 def progressive_stream(labelled: DataFrame, spec: StreamSpec, path: str, checkpoint: str, stop: Callable[[DataFrame], bool] | None = None) -> StreamingQuery:
     """Running answers of every trigger, written to path/trigger=N (a repeated trigger replaces its own).
 
-    stop sees a trigger's answers; where it says so, later triggers are passed over and the caller ends the query.
+    stop sees a trigger's answers; where it says so, later triggers publish nothing and the caller ends the query.
     """
     done = []
 
     def publish(batch: DataFrame, trigger: int) -> None:
         if done:
+            batch.write.format("noop").mode("overwrite").save()  # a trigger has to commit its state, answered or not
             return
         answers(batch, spec).write.mode("overwrite").parquet(f"{path}/trigger={trigger:06d}")
         if stop and stop(batch.sparkSession.read.parquet(f"{path}/trigger={trigger:06d}")):
