@@ -139,7 +139,8 @@ class PrefixCounter:
             new = [x for x in seen if len(x) <= self.memo_chars]
         raws = sorted((x.encode(), x) for x in new)
         for (raw, x), counts in zip(raws, self._sweep([r for r, _ in raws]), strict=True):
-            self.words[x] = bytes(counts if len(raw) == len(x) else _at_characters(raw, counts))
+            counts = counts if len(raw) == len(x) else _at_characters(raw, counts)
+            self.words[x] = bytes(counts) if counts[-1] < 256 > max(counts) else counts
 
     def truncate(self, counts: np.ndarray, budget: int) -> int:
         """Characters of the longest prefix of at most `budget` tokens."""

@@ -79,6 +79,16 @@ def test_prefix_counts_are_the_library_counts(text):
     assert COUNTER.counts(text).tolist() == want and COUNTER.counts_all([text])[0].tolist() == want
 
 
+def test_counts_of_matches_beyond_a_byte(spark):
+    held = [c * n for c in ("\U00020000", "\U00013000", "\U00010348") for n in (63, 64, 65)]
+    want = [len(LIBRARY.encode(x, add_special_tokens=False).ids) for x in held]
+    assert max(want) > 255
+    fresh = token_counts.PrefixCounter(BYTE, P.PATTERN)
+    assert [int(x[-1]) for x in fresh.counts_all(held)] == want
+    df = spark.createDataFrame(list(enumerate(held)), "doc_id bigint, text string")
+    assert [r.n_tokens for r in token_counts.count_tokens(df).orderBy("doc_id").collect()] == want
+
+
 def test_count_query(odd, docs, none):
     for df in (odd, docs, none):
         want = Counter()
