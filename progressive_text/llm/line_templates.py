@@ -5,12 +5,19 @@ words; a leaf then generalises: where its lines differ, a word that no second te
 a wildcard too, as long as four fifths of the words stay. A template that recurs in another document is dropped, but
 for its lines in the document of smallest id; a document that loses all its lines goes.
 
+`like_lines` has the whole of look-alikes: templates of a leaf are alike where four fifths of their places agree, pair by
+pair, however many variants a leaf has and however often a varying word repeats. A line goes if its template or one alike
+is in a document of smaller id. Of m places that may differ, m + 1 bands leave one untouched, so only templates that share
+a band are compared; each with the earliest of its bands first, and what that leaves open with all earlier ones.
+
 Lines end at a line feed, words at a space. Blank lines stay, and so do lines of fewer than `min_words` words. A null
 text stays null, rows with a null id stay as they are and count as no document, rows of one id are one document.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -60,9 +67,46 @@ def recurring(docs: DataFrame, similarity: float = SIMILARITY, min_words: int =
     return seen.join(lost, ["leaf", "template"]).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
 
 
-def drop_recurring(docs: DataFrame, report: bool = False, **how) -> DataFrame:
+def like_lines(docs: DataFrame, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
+    """doc_id and `lines`, hashes of the lines whose template, or one alike, is in a document of smaller id."""
+    lines = _lines(docs).where(F.col("n") >= min_words)
+    seen = saved(lines.select("doc_id", F.xxhash64("line").alias("line"), _leaf().alias("leaf"), F.xxhash64("mask").alias("template"), "n"), "lines")
+    templates = saved(seen.groupBy("leaf", "template", "n").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")), "templates")
+    most = (F.col("n") - F.ceil(similarity * F.col("n"))).cast("int")  # places that may differ
+    leaves = templates.where(most > 0).groupBy("leaf").agg(F.count("*").alias("k"), F.min("lo").alias("a"), F.max("lo").alias("b")).where("k > 1 AND a < b").select("leaf")
+    open_ones = templates.where(most > 0).join(leaves, "leaf", "left_semi").select("template", F.col("lo").alias("doc_id"))
+    words = _lines(docs.select("doc_id", "text").join(open_ones.select("doc_id"), "doc_id", "left_semi")).where(F.col("n") >= min_words)
+    words = words.select("doc_id", "mask", "n", _leaf().alias("leaf"), F.xxhash64("mask").alias("template")).join(open_ones, ["template", "doc_id"], "left_semi")
+    hashes = F.transform(F.split("mask", " "), lambda x: F.xxhash64(x)).alias("words")
+    words = saved(words.dropDuplicates(["template"]).select("template", F.col("doc_id").alias("lo"), "leaf", "n", hashes), "words")
+    rest = F.greatest(F.col("n") - DEPTH, F.lit(0))
+    start = lambda j: F.floor(rest * j / (most + 1)).cast("int")
+    band = lambda j: F.xxhash64("leaf", j, F.slice("words", start(j) + DEPTH + 1, start(j + 1) - start(j)))
+    bands = words.select("template", "lo", F.explode(F.transform(F.sequence(F.lit(0), most), band)).alias("band"))
+    shared = bands.groupBy("band").agg(F.min(F.struct("lo", "template")).alias("head"), F.max("lo").alias("b")).where("head.lo < b").select("band", "head")
+    members = saved(bands.join(shared, "band"), "bands")
+    later = members.where("lo > head.lo")
+    like = _alike(later.select("template", F.col("head.template").alias("other")), words, similarity)
+    like = saved(like, "like")
+    open_later = later.select("band", "template", "lo").join(like, "template", "left_anti")
+    earlier = members.select("band", F.col("template").alias("other"), F.col("lo").alias("other_lo"), "head").where("other <> head.template")
+    more = _alike(open_later.join(earlier, "band").where("other_lo < lo").select("template", "other"), words, similarity)
+    lost = templates.where("lo < hi").select("template", F.col("lo").alias("first")).unionByName(like).unionByName(more)
+    lost = lost.groupBy("template").agg(F.min("first").alias("first"))
+    return seen.join(lost, "template").where("doc_id > first").groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
+
+
+def _alike(pairs: DataFrame, words: DataFrame, similarity: float) -> DataFrame:
+    """template and `first`, the smallest document of its others that agree in enough places."""
+    others = words.select(F.col("template").alias("other"), F.col("lo").alias("first"), F.col("words").alias("other_words"))
+    both = pairs.distinct().join(words.select("template", "n", "words"), "template").join(others, "other")
+    same = F.size(F.filter(F.zip_with("words", "other_words", lambda x, y: x == y), lambda x: x))
+    return both.where(same >= similarity * F.col("n")).groupBy("template").agg(F.min("first").alias("first"))
+
+
+def drop_recurring(docs: DataFrame, report: bool = False, by: Callable[..., DataFrame] = recurring, **how) -> DataFrame:
     """docs without recurring lines. With `report`: doc_id, text, n_lines, n_dropped of all rows, those left empty too."""
-    lost = recurring(docs, **how).withColumnRenamed("doc_id", "_id").withColumnRenamed("lines", "_lost")
+    lost = by(docs, **how).withColumnRenamed("doc_id", "_id").withColumnRenamed("lines", "_lost")
     joined = docs.join(lost, F.col("doc_id") == F.col("_id"), "left")
     split = F.split("text", "\n")
     kept = F.when(F.col("_lost").isNull(), split).otherwise(F.filter(split, lambda x: ~F.array_contains("_lost", F.xxhash64(x))))
@@ -113,3 +157,25 @@ SELECT d.doc_id,
   CASE WHEN gone IS NULL OR text IS NULL THEN 0 ELSE len(list_filter(string_split(text, chr(10)), lambda x: list_contains(gone, x))) END::BIGINT AS n_dropped
 FROM documents d LEFT JOIN gone ON d.doc_id = gone.doc_id
 """
+
+#: The same for `like_lines`.
+LIKE_SQL = f"""
+WITH base AS (
+  SELECT DISTINCT doc_id, line, regexp_replace(line, '[^ ]*[0-9][^ ]*', '{WILDCARD}', 'g') AS mask
+  FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents WHERE doc_id IS NOT NULL)
+  WHERE trim(line) <> ''
+), lines AS (
+  SELECT doc_id, line, mask, w, len(w) AS n, array_to_string(w[1:{DEPTH}], ' ') AS lead
+  FROM (SELECT *, string_split(mask, ' ') AS w FROM base) WHERE len(w) >= {MIN_WORDS}
+), templates AS (SELECT n, lead, mask, any_value(w) AS w, min(doc_id) AS lo FROM lines GROUP BY ALL),
+alike AS (
+  SELECT a.mask, b.lo FROM templates a JOIN templates b ON a.n = b.n AND a.lead = b.lead AND b.lo < a.lo
+  WHERE len(list_filter(range(1, a.n + 1), lambda i: a.w[i] = b.w[i])) >= {SIMILARITY} * a.n
+), firsts AS (SELECT mask, min(lo) AS first FROM (SELECT mask, lo FROM templates UNION ALL SELECT mask, lo FROM alike) GROUP BY mask),
+gone AS (SELECT doc_id, list(DISTINCT line) AS gone FROM lines JOIN firsts USING (mask) WHERE doc_id > first GROUP BY doc_id)
+SELECT d.doc_id,
+  CASE WHEN gone IS NULL THEN text ELSE array_to_string(list_filter(string_split(text, chr(10)), lambda x: NOT list_contains(gone, x)), chr(10)) END AS text,
+  coalesce(len(string_split(text, chr(10))), 0)::BIGINT AS n_lines,
+  CASE WHEN gone IS NULL OR text IS NULL THEN 0 ELSE len(list_filter(string_split(text, chr(10)), lambda x: list_contains(gone, x))) END::BIGINT AS n_dropped
+FROM documents d LEFT JOIN gone ON d.doc_id = gone.doc_id
+"""

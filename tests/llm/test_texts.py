@@ -93,6 +93,32 @@ def test_templates_generalise_and_first_copies_stay(spark, none, odd):
     assert out.columns == odd.columns and {r.doc_id for r in odd.collect()} - {r.doc_id for r in out.collect()} == {6}
 
 
+def test_like_lines_of_many_variants(spark, none, odd):
+    field = "Order of the customer {} of {} was shipped to the place that was asked for"
+    edited = "Copyright by the {} publisher of this {} site for all {} its many readers here".format
+    held = [field.format(n, c) for n in ("anna", "bert") for c in ("rome", "bonn")] + [edited("masked", "very", "of"), edited("other", "very", "of"), edited("masked", "new", "of"), edited("masked", "very", "by")]
+    held += ["Copyright by the quite other words that nobody else uses in any line here ok", "one two three four fife", "one two three four five"]
+    df = spark.createDataFrame(list(enumerate(held)), "doc_id bigint, text string")
+    got = line_templates.drop_recurring(df, report=True, by=line_templates.like_lines).collect()
+    assert {r.doc_id for r in got if r.n_dropped} == {1, 2, 3, 5, 6, 7, 10}
+    assert line_templates.drop_recurring(none, by=line_templates.like_lines).count() == 0
+
+
+def test_like_lines_are_those_of_all_pairs(spark):
+    rng = np.random.default_rng(7)
+    data = []
+    for i in range(400):
+        n = int(rng.integers(3, 24))
+        words = ["a", "b", "c", *(f"{'xyz'[i % 3]}{chr(97 + k)}" for k in range(21))][:n]
+        for k in rng.integers(0, n, int(rng.integers(0, n // 4 + 2))):
+            words[k] = "pqrs"[int(rng.integers(0, 4))]
+        data.append((i, words))
+    want = {i for i, w in data if any(v[:3] == w[:3] and len(v) == len(w) and 5 * sum(x == y for x, y in zip(v, w, strict=True)) >= 4 * len(w) for _, v in data[:i])}
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in data], "doc_id bigint, text string")
+    got = line_templates.drop_recurring(df, report=True, by=line_templates.like_lines).where("n_dropped > 0").collect()
+    assert {r.doc_id for r in got} == want and 20 < len(want) < 390
+
+
 # placement
 
 
