@@ -43,6 +43,11 @@ def test_rows(spark, name):
     assert QUERIES[name](spark, SF).count() > 0
 
 
+def test_table_function_reads_every_event(spark):
+    ids = {r.event_id for r in QUERIES["op_udtf_all_fields"](spark, SF).select("event_id").distinct().collect()}
+    assert ids == {r.event_id for r in spark.read.parquet(f"{SF}/events.parquet").select("event_id").collect()}
+
+
 def test_entry_runs_without_the_corpus_operators(tmp_path):
     for p in ("progressive_text", "__spark_entry__.py"):
         (tmp_path / p).symlink_to(ROOT / p) if p.endswith(".py") else (tmp_path / p).mkdir()
