@@ -8,9 +8,11 @@ for its lines in the document of smallest id; a document that loses all its line
 `like_lines` has the whole of look-alikes: templates of a leaf are alike where four fifths of their places agree, pair by
 pair, however many variants a leaf has and however often a varying word repeats. A line goes if its template or one alike
 is in a document of smaller id. Of m places that may differ, m + 1 bands leave one untouched, so only templates that share
-a band are compared; each with the earliest of its bands first, and what that leaves open with all earlier ones.
+a band are compared; each with the earliest of its bands first, and what that leaves open with all earlier ones. Lines of
+every length take part, and words end at any white space. Of lines of fewer than three words only runs of digits become
+wildcards, and only beside a letter: one long word of a script without spaces is not lost to its digits.
 
-Lines end at a line feed, words at a space. Blank lines stay, and so do lines of fewer than `min_words` words. A null
+Lines end at a line feed. In `recurring` words end at a space. Blank lines stay, and so do lines of fewer than `min_words` words. A null
 text stays null, rows with a null id stay as they are and count as no document, rows of one id are one document.
 """
 
@@ -25,6 +27,8 @@ from .common import saved
 
 DEPTH, MIN_WORDS, SIMILARITY = 3, 3, 0.8
 WILDCARD = "<*>"
+#: White space but for U+0020, for regular expressions of Java and of DuckDB.
+WHITE = r"\t\x0b\x0c\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
 
 
 def masked(line: Column) -> Column:
@@ -39,6 +43,20 @@ def _lines(docs: DataFrame) -> DataFrame:
     return rows.withColumn("n", F.size(F.split("mask", " ")))
 
 
+def _all_lines(docs: DataFrame) -> DataFrame:
+    """As _lines, with any white space between words, and short lines by their runs of digits."""
+    rows = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line"))
+    rows = rows.where(F.col("line").rlike(f"[^ {WHITE}]"))
+    tidy, line = F.trim(F.regexp_replace("line", f"[ {WHITE}]+", " ")), F.col("line")
+    # few ranges, so most lines are told at little cost; what they let through needs no change
+    untidy = line.rlike(r"[^ -\x{84}\x{86}-\x{9f}\x{a1}-\x{167f}]") | line.contains("  ") | line.startswith(" ") | line.endswith(" ")
+    rows = rows.withColumn("tidy", F.when(untidy, tidy).otherwise(line))
+    rows = rows.withColumn("n", F.size(F.split("tidy", " ")))
+    short = F.regexp_replace("tidy", "[0-9]+", WILDCARD)
+    short = F.when(F.col("tidy").rlike("[0-9]") & short.rlike(r"\p{L}"), short).otherwise(F.col("tidy"))
+    return rows.select("doc_id", "line", F.when(F.col("n") < MIN_WORDS, short).otherwise(masked(F.col("tidy"))).alias("mask"), "n")
+
+
 def _leaf() -> Column:
     return F.xxhash64("n", F.substring_index("mask", " ", DEPTH))
 
@@ -67,15 +85,15 @@ def recurring(docs: DataFrame, similarity: float = SIMILARITY, min_words: int =
     return seen.join(lost, ["leaf", "template"]).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
 
 
-def like_lines(docs: DataFrame, similarity: float = SIMILARITY, min_words: int = MIN_WORDS) -> DataFrame:
+def like_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id and `lines`, hashes of the lines whose template, or one alike, is in a document of smaller id."""
-    lines = _lines(docs).where(F.col("n") >= min_words)
+    lines = _all_lines(docs)
     seen = saved(lines.select("doc_id", F.xxhash64("line").alias("line"), _leaf().alias("leaf"), F.xxhash64("mask").alias("template"), "n"), "lines")
     templates = saved(seen.groupBy("leaf", "template", "n").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")), "templates")
     most = (F.col("n") - F.ceil(similarity * F.col("n"))).cast("int")  # places that may differ
     leaves = templates.where(most > 0).groupBy("leaf").agg(F.count("*").alias("k"), F.min("lo").alias("a"), F.max("lo").alias("b")).where("k > 1 AND a < b").select("leaf")
     open_ones = templates.where(most > 0).join(leaves, "leaf", "left_semi").select("template", F.col("lo").alias("doc_id"))
-    words = _lines(docs.select("doc_id", "text").join(open_ones.select("doc_id"), "doc_id", "left_semi")).where(F.col("n") >= min_words)
+    words = _all_lines(docs.select("doc_id", "text").join(open_ones.select("doc_id"), "doc_id", "left_semi"))
     words = words.select("doc_id", "mask", "n", _leaf().alias("leaf"), F.xxhash64("mask").alias("template")).join(open_ones, ["template", "doc_id"], "left_semi")
     hashes = F.transform(F.split("mask", " "), lambda x: F.xxhash64(x)).alias("words")
     words = saved(words.dropDuplicates(["template"]).select("template", F.col("doc_id").alias("lo"), "leaf", "n", hashes), "words")
@@ -160,13 +178,16 @@ FROM documents d LEFT JOIN gone ON d.doc_id = gone.doc_id
 
 #: The same for `like_lines`.
 LIKE_SQL = f"""
-WITH base AS (
-  SELECT DISTINCT doc_id, line, regexp_replace(line, '[^ ]*[0-9][^ ]*', '{WILDCARD}', 'g') AS mask
-  FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents WHERE doc_id IS NOT NULL)
-  WHERE trim(line) <> ''
+WITH split AS (
+  SELECT doc_id, line, trim(regexp_replace(line, '[ {WHITE}]+', ' ', 'g')) AS tidy
+  FROM (SELECT DISTINCT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents WHERE doc_id IS NOT NULL)
+), base AS (
+  SELECT *, len(string_split(tidy, ' ')) AS n, regexp_replace(tidy, '[0-9]+', '{WILDCARD}', 'g') AS short,
+    regexp_replace(tidy, '[^ ]*[0-9][^ ]*', '{WILDCARD}', 'g') AS long
+  FROM split WHERE tidy <> ''
 ), lines AS (
-  SELECT doc_id, line, mask, w, len(w) AS n, array_to_string(w[1:{DEPTH}], ' ') AS lead
-  FROM (SELECT *, string_split(mask, ' ') AS w FROM base) WHERE len(w) >= {MIN_WORDS}
+  SELECT *, string_split(mask, ' ') AS w, array_to_string(string_split(mask, ' ')[1:{DEPTH}], ' ') AS lead
+  FROM (SELECT doc_id, line, n, CASE WHEN n >= {MIN_WORDS} THEN long WHEN regexp_matches(short, '\\p{{L}}') THEN short ELSE tidy END AS mask FROM base)
 ), templates AS (SELECT n, lead, mask, any_value(w) AS w, min(doc_id) AS lo FROM lines GROUP BY ALL),
 alike AS (
   SELECT a.mask, b.lo FROM templates a JOIN templates b ON a.n = b.n AND a.lead = b.lead AND b.lo < a.lo

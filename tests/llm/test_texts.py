@@ -119,6 +119,19 @@ def test_like_lines_are_those_of_all_pairs(spark):
     assert {r.doc_id for r in got} == want and 20 < len(want) < 390
 
 
+def test_like_lines_of_every_length_and_script(spark, odd):
+    han, tabs = "\u4e2d\u6587\u5b57\u7b26" * 9, "one\ttwo three\u00a0four five"
+    held = ["Short.", "Short.", "Page 1", "Page 2", "12", "77", "12", han, han, han[:9] + "2024", han[3:12] + "2024", tabs, "one two  three four five\r", "one two three four five", "one two three four six", "\t \u3000", "\t \u3000"]
+    df = spark.createDataFrame(list(enumerate(held)), "doc_id bigint, text string")
+    got = line_templates.drop_recurring(df, report=True, by=line_templates.like_lines).collect()
+    assert {r.doc_id for r in got if r.n_dropped} == {1, 3, 6, 8, 12, 13, 14}
+    con = duckdb.connect()
+    for table in (df, odd.select("doc_id", "text")):
+        con.register("documents", table.toPandas().astype({"doc_id": "Int64"}))
+        want = Counter(con.sql(line_templates.LIKE_SQL).fetchall())
+        assert Counter(map(tuple, line_templates.drop_recurring(table, report=True, by=line_templates.like_lines).collect())) == want
+
+
 # placement
 
 
