@@ -25,27 +25,39 @@ def encode_netpbm(pixels: np.ndarray) -> bytes:
 
 
 def decode_netpbm(data: bytes) -> np.ndarray:
-    """P1 to P6, up to 16 bits a sample; bit maps give 0 (black) and 1."""
+    """P1 to P6, up to 16 bits a sample; bit maps give 0 (black) and 1. Damaged images raise ValueError."""
     kind, at = data[:2], 2
     if not re.fullmatch(rb"P[1-6]", kind):
         raise ValueError("not a Netpbm image")
     head = []
     for _ in range(2 if kind in (b"P1", b"P4") else 3):
         m = _TOKEN.match(data, at)
+        if not m or not re.fullmatch(rb"[0-9]{1,9}", m[1]):
+            raise ValueError("a header without its numbers")
         head.append(int(m[1]))
         at = m.end()
     width, height, most = *head[:2], head[2] if len(head) > 2 else 1
     depth = 3 if kind in (b"P3", b"P6") else 1
     n = width * height * depth
+    if not n or not 0 < most < 1 << 16 or n > 8 * len(data):
+        raise ValueError("no picture of this size is in the data")
     if kind == b"P1":
-        flat = 1 - np.frombuffer(re.sub(rb"#[^\n\r]*|\s", b"", data[at:])[:n], np.uint8).astype(np.int16) + 48
+        digits = re.sub(rb"#[^\n\r]*|\s", b"", data[at:])[:n]
+        if digits.strip(b"01"):
+            raise ValueError("a bit that is not 0 or 1")
+        flat = 1 - (np.frombuffer(digits, np.uint8).astype(np.int64) - 48)
     elif kind in (b"P2", b"P3"):
-        flat = np.array(re.sub(rb"#[^\n\r]*", b"", data[at:]).split()[:n], np.int64)
+        found = re.sub(rb"#[^\n\r]*", b"", data[at:]).split()[:n]
+        if not all(re.fullmatch(rb"[0-9]{1,9}", x) for x in found):
+            raise ValueError("a sample that is not a number")
+        flat = np.array([*map(int, found)], np.int64)
     elif kind == b"P4":
         rows = np.frombuffer(data, np.uint8, (width + 7) // 8 * height, at + 1).reshape(height, -1)
         flat = 1 - np.unpackbits(rows, axis=1)[:, :width]
     else:
         flat = np.frombuffer(data, np.uint8 if most < 256 else ">u2", n, at + 1)
+    if flat.size != n or flat.max() > most:
+        raise ValueError("samples are missing or above the greatest value")
     flat = flat.astype(np.uint8 if most < 256 else np.uint16)
     return flat.reshape((height, width, 3) if depth == 3 else (height, width))
 
@@ -64,24 +76,33 @@ def encode_bmp(pixels: np.ndarray) -> bytes:
 
 
 def decode_bmp(data: bytes) -> np.ndarray:
-    """Uncompressed 1, 4, 8, 24 and 32 bits; a grey palette gives (height, width), other palettes RGB."""
+    """Uncompressed 1, 4, 8, 24 and 32 bits; a grey palette gives (height, width), other palettes RGB. Damaged images raise
+    ValueError."""
+    if len(data) < 54:
+        raise ValueError("a header without its numbers")
     kind, start, size, width, height, _, bits, packed = struct.unpack_from("<2s8xIIiiHHI", data)
-    if kind != b"BM" or packed not in (0, 3) or bits not in (1, 4, 8, 24, 32):
+    if kind != b"BM" or packed not in (0, 3) or bits not in (1, 4, 8, 24, 32) or size < 40:
         raise ValueError("not a BMP image of a known kind")
     up, height = height > 0, abs(height)
     stride = (width * bits + 31) // 32 * 4
+    if width <= 0 or not height or start + stride * height > len(data):
+        raise ValueError("no picture of this size is in the data")
     rows = np.frombuffer(data, np.uint8, stride * height, start).reshape(height, stride)
     rows = rows[::-1] if up else rows
     if bits >= 24:
         return rows[:, : width * bits // 8].reshape(height, width, -1)[:, :, 2::-1].copy()
-    at = np.unpackbits(rows, axis=1)[:, : width * bits].reshape(height, width, bits) @ (1 << np.arange(bits)[::-1])
+    at = rows[:, :width] if bits == 8 else np.unpackbits(rows, axis=1)[:, : width * bits].reshape(height, width, bits) @ (1 << np.arange(bits)[::-1])
     used = struct.unpack_from("<I", data, 46)[0] or 1 << bits
+    if used > 1 << bits or 14 + size + 4 * used > len(data) or at.max() >= used:
+        raise ValueError("a colour that the palette lacks")
     palette = np.frombuffer(data, np.uint8, 4 * used, 14 + size).reshape(-1, 4)[:, 2::-1]
-    picture = palette[at]
-    return picture[:, :, 0].copy() if (palette == palette[:, :1]).all() else picture
+    if (palette == palette[:, :1]).all():
+        return palette[:, 0][at]
+    return palette[at]
 
 
 def decode(data: bytes) -> np.ndarray:
+    """The pixels of a Netpbm or BMP image; ValueError for whatever else."""
     return decode_bmp(data) if data[:2] == b"BM" else decode_netpbm(data)
 
 
@@ -115,15 +136,20 @@ def npy_tile(pixels: np.ndarray, side: int = 32) -> bytes:
 
 
 def describe(media: DataFrame, column: str = "media", key: str = "doc_id") -> DataFrame:
-    """key, height, width, channels, tile (NPY), difference_hash of an image column. Null or damaged images: nulls."""
+    """key, height, width, channels, tile (NPY), difference_hash of an image column.
+
+    Null, empty and damaged images (headers without numbers, no or too few samples, samples above the greatest value):
+    nulls. Repeated rows, null keys and equal images stay, a row each; other columns of media are left out, whatever
+    their names. An image of any size is one row's work; the table of an empty input is empty.
+    """
 
     def make():
         def one(data):
             try:
-                pixels = decode(data)
-                return pixels.shape[0], pixels.shape[1], 1 if pixels.ndim == 2 else pixels.shape[2], npy_tile(pixels), difference_hash(pixels)
-            except (ValueError, TypeError, IndexError, struct.error):
+                pixels = decode(data or b"")
+            except ValueError:
                 return (None,) * 5
+            return pixels.shape[0], pixels.shape[1], 1 if pixels.ndim == 2 else pixels.shape[2], npy_tile(pixels), difference_hash(pixels)
 
         def each(c):
             found = [one(x) for x in c["media"]]
@@ -141,25 +167,38 @@ def payload(text: str) -> bytes:
     return raw + bytes(-len(raw) % ROW or (0 if raw else ROW))
 
 
-def text_images(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes, media: every whole text (null: empty) as a grey picture of 64 samples a row (P5)."""
+NETPBM, BOTH = ("netpbm",), ("netpbm", "bmp")
+
+
+def text_images(docs: DataFrame, forms: tuple[str, ...] = NETPBM) -> DataFrame:
+    """doc_id, n_bytes, media: every whole text (null: empty) as a grey picture of 64 samples a row, P5 or BMP.
+
+    Of several forms a picture takes the one whose place is its number of rows modulo theirs, so equal texts are equal
+    pictures and both decoders see every run.
+    """
+    encoders = [{"netpbm": encode_netpbm, "bmp": encode_bmp}[x] for x in forms]
 
     def make():
-        def each(c):
-            raw = [payload(x) for x in c["text"]]
-            return {"doc_id": c["doc_id"], "n_bytes": [len(x.encode()) for x in c["text"]], "media": [encode_netpbm(np.frombuffer(x, np.uint8).reshape(-1, ROW)) for x in raw]}
+        def picture(text: str) -> bytes:
+            pixels = np.frombuffer(payload(text), np.uint8).reshape(-1, ROW)
+            return encoders[len(pixels) % len(encoders)](pixels)
 
-        return each
+        return lambda c: {"doc_id": c["doc_id"], "n_bytes": [len(x.encode()) for x in c["text"]], "media": [picture(x) for x in c["text"]]}
 
     return map_rows(whole_text(docs), make, "doc_id bigint, n_bytes bigint, media binary")
 
 
-FEATURES = "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string, tile binary"
+FEATURES = "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string"
 
 
-def store_and_describe(docs: DataFrame) -> DataFrame:
-    """Writes the pictures of all texts as a table, reads their bytes back and describes them. Repeated rows and null ids stay."""
-    stored = saved(text_images(docs), "media")
+def store_and_describe(docs: DataFrame, forms: tuple[str, ...] = NETPBM, side: int = 32) -> DataFrame:
+    """Writes the pictures of all texts as a table, reads their bytes back and describes them; the features and their NPY
+    tiles are a second table, and tile_sha256, tile_side and tile_mean come from the tiles read back from it.
+
+    Null texts are empty. Repeated rows and null ids stay; equal texts have equal values in all columns but doc_id. Other
+    columns of docs are left out. A text of any length is one row's work.
+    """
+    stored = saved(text_images(docs, forms), "media")
 
     def make():
         def each(c):
@@ -174,9 +213,19 @@ def store_and_describe(docs: DataFrame) -> DataFrame:
                 "media_bytes": [len(x) for x in c["media"]],
                 "media_sha256": [hashlib.sha256(x).hexdigest() for x in c["media"]],
                 "feature": [difference_hash(x) for x in pixels],
-                "tile": [npy_tile(x) for x in pixels],
+                "tile": [npy_tile(x, side) for x in pixels],
             }
 
         return each
 
-    return map_rows(stored, make, FEATURES)
+    tiles = saved(map_rows(stored, make, f"{FEATURES}, tile binary"), "tiles")
+
+    def read():
+        def each(c):
+            found = [np.load(io.BytesIO(x), allow_pickle=False) for x in c["tile"]]
+            more = {"tile_sha256": [hashlib.sha256(x).hexdigest() for x in c["tile"]], "tile_side": [len(x) for x in found], "tile_mean": [round(float(x.mean()), 6) for x in found]}
+            return {k: v for k, v in c.items() if k != "tile"} | more
+
+        return each
+
+    return map_rows(tiles, read, f"{FEATURES}, tile_sha256 string, tile_side int, tile_mean double")

@@ -15,10 +15,6 @@ def _quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
 
 
-def _media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return media.store_and_describe(documents(spark, sf_dir)).drop("tile")
-
-
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_classifier": _quality,
     "op2_byte_bpe": lambda spark, d: byte_bpe.round_trip(documents(spark, d)),
@@ -30,7 +26,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_fingerprints": lambda spark, d: digest.compare_with_next(documents(spark, d)),
     "op8_sorted_shards": lambda spark, d: sorted_shards.store_and_read(documents(spark, d)),
     "op9_minhash_near_dedup": lambda spark, d: near_dup.near_duplicates(documents(spark, d), words=2),
-    "op10_media_columns": _media,
+    "op10_media_columns": lambda spark, d: media.store_and_describe(documents(spark, d), media.BOTH),
 }
 
 ORACLES: dict[str, str] = {"op3_line_dedup": line_templates.ORACLE_SQL, "op3_like_lines": line_templates.LIKE_SQL, "op4_sharding": shard_table.ORACLE_SQL}

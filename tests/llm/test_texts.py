@@ -258,9 +258,27 @@ def test_images_round_trip():
     assert (media.decode(b"P1\n# note\n3 2\n1 0 1\n0 1 0\n") == [[0, 1, 0], [1, 0, 1]]).all()
     assert (media.decode(b"P2 2 1 255\n7 9\n") == [[7, 9]]).all() and media.decode(b"P5 1 1 65535\n\x01\x02")[0, 0] == 258
     assert (media.decode(b"P4\n3 1\n\xa0") == [[0, 1, 0]]).all() and media.decode(b"P3 1 1 255 1 2 3").tolist() == [[[1, 2, 3]]]
-    for bad in (b"", b"P9", b"BM"):
-        with pytest.raises((ValueError, IndexError, TypeError, Exception)):
+
+
+DAMAGED = [
+    b"", b"P9", b"BM", b"P5 99999999999999999999 1 255", b"P5 0 0 255\n", b"P5 -1 1 255\nx", b"P5 2 2 255\nabc", b"P2 2 1 255\n7 300\n", b"P2 1 1 100\nx", b"P1 2 1\n0 7", b"P5 1 1 0\n0", b"P5 1 1 70000\n00",
+    b"P6 1", b"P5 1 1 9\n\x0a", media.encode_bmp(np.zeros((4, 4), np.uint8))[:-1], media.encode_bmp(np.zeros((4, 4, 3), np.uint8))[:40], media.encode_bmp(np.zeros((2, 2), np.uint8)).replace(b"BM", b"BX"),
+]
+
+
+def test_damaged_images_are_null(spark, none):
+    for bad in DAMAGED:
+        with pytest.raises(ValueError):
             media.decode(bad)
+    bent = bytearray(media.encode_bmp(np.full((2, 2), 9, np.uint8)))
+    bent[46:50] = (4).to_bytes(4, "little")  # a palette of four colours, and a pixel of number nine
+    flat = bytearray(media.encode_bmp(np.zeros((2, 2, 3), np.uint8)))
+    flat[18:22] = (-2).to_bytes(4, "little", signed=True)
+    held = [*DAMAGED, bytes(bent), bytes(flat), None]
+    df = spark.createDataFrame([(i, x, 1, b"t") for i, x in enumerate(held)] + [(None, media.encode_netpbm(np.zeros((2, 3), np.uint8)), 1, b"t")], "doc_id bigint, media binary, height int, tile binary")
+    got = media.describe(df).collect()
+    assert len(got) == len(held) + 1 and {(r.height, r.width, r.tile, r.difference_hash) for r in got if r.doc_id is not None} == {(None,) * 4}
+    assert [(r.height, r.width) for r in got if r.doc_id is None] == [(2, 3)] and media.describe(df.where("false")).count() == 0
 
 
 def test_area_resize_keeps_means():
@@ -270,6 +288,17 @@ def test_area_resize_keeps_means():
     assert np.load(__import__("io").BytesIO(media.npy_tile(x))).shape == (32, 32) and len(media.difference_hash(x)) == 16
 
 
+def plain_hash(x: np.ndarray) -> str:
+    """The difference hash from sums over whole and part samples, cell by cell."""
+    h, w = x.shape
+    share = lambda lo, hi, i: max(0.0, min(hi, i + 1) - max(lo, i))
+    rows = np.array([[share(r * h / 8, (r + 1) * h / 8, i) for i in range(h)] for r in range(8)])
+    cells = np.array([[share(c * w / 9, (c + 1) * w / 9, j) for j in range(w)] for c in range(9)])
+    small = np.round(rows @ x.astype(np.float64) @ cells.T / (h / 8 * w / 9), 6)
+    bits = "".join("1" if small[r, c] < small[r, c + 1] else "0" for r in range(8) for c in range(8))
+    return f"{int(bits, 2):016x}"
+
+
 def test_media_query(spark, odd, docs, none):
     for df in (odd, docs, none):
         want = Counter()
@@ -279,6 +308,17 @@ def test_media_query(spark, odd, docs, none):
             image = b"P5\n64 %d\n255\n" % (len(full) // 64) + full
             want[r.doc_id, len(raw), len(full), hashlib.sha256(full).hexdigest(), zlib.crc32(full[-64:]), len(image), hashlib.sha256(image).hexdigest()] += 1
         assert Counter(tuple(r)[:7] for r in media.store_and_describe(df).collect()) == want
+    for df in (odd, docs, none):  # both forms, and tiles that were written and read back
+        got = media.store_and_describe(df, media.BOTH).collect()
+        assert len(got) == df.count()
+        texts = Counter((r.doc_id, r.text or "") for r in df.collect())
+        want = Counter()
+        for (doc_id, text), n in texts.items():
+            x = np.frombuffer(media.payload(text), np.uint8).reshape(-1, 64)
+            image = (media.encode_bmp if len(x) % 2 else media.encode_netpbm)(x)
+            tile = media.npy_tile(x)
+            want[doc_id, hashlib.sha256(x.tobytes()).hexdigest(), hashlib.sha256(image).hexdigest(), plain_hash(x), hashlib.sha256(tile).hexdigest()] += n
+        assert Counter((r.doc_id, r.payload_sha256, r.media_sha256, r.feature, r.tile_sha256) for r in got) == want
     odd_images = spark.createDataFrame([(1, media.encode_bmp(np.zeros((2, 2, 3), np.uint8))), (2, b"junk"), (3, None)], "doc_id bigint, media binary")
     assert {r.doc_id: r.channels for r in media.describe(odd_images).collect()} == {1: 3, 2: None, 3: None}
 
