@@ -20,7 +20,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_byte_bpe": lambda spark, d: byte_bpe.round_trip(documents(spark, d)),
     "op3_line_dedup": lambda spark, d: line_templates.drop_recurring(documents(spark, d), report=True),
     "op3_like_lines": lambda spark, d: line_templates.drop_recurring(documents(spark, d), report=True, by=line_templates.like_lines),
-    "op4_sharding": lambda spark, d: shard_table.place(documents(spark, d).select("doc_id")),
+    "op4_sharding": lambda spark, d: shard_table.store_and_read(documents(spark, d)),
     "op5_best_fit_packing": lambda spark, d: packing.pack(documents(spark, d)),
     "op6_token_counts": lambda spark, d: token_counts.count_tokens(documents(spark, d)),
     "op7_fingerprints": lambda spark, d: digest.compare_with_next(documents(spark, d)),

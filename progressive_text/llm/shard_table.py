@@ -13,6 +13,8 @@ import hashlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import new_path
+
 SHARDS, SLOTS = 16, 4099
 
 
@@ -46,28 +48,53 @@ def shard_names(n: int) -> list[str]:
     return [f"shard-{i:04d}" for i in range(n)]
 
 
+def _kept_apart(df: DataFrame) -> DataFrame:
+    """df with its own columns slot and shard under the names own_slot and own_shard (more "own_" where those are taken)."""
+    for name in [c for c in df.columns if c.lower() in ("slot", "shard")]:
+        free = f"own_{name}"
+        while free.lower() in {c.lower() for c in df.columns}:
+            free = f"own_{free}"
+        df = df.withColumnRenamed(name, free)
+    return df
+
+
 def place(df: DataFrame, key: str = "doc_id", names: list[str] | None = None, slots: int = SLOTS, weights: list[int] | None = None, salt: str | None = None) -> DataFrame:
     """df with the columns slot and shard (index into names). DataFrame functions only; rows stay where they are.
 
-    Null keys get a slot too (they hash as the text "null"). A key that holds many rows goes to one shard; name a
-    `salt` column to spread its rows. Columns named slot or shard in df are replaced.
+    Null keys get a slot too (they hash as the text "null"). Rows of one key, repeated rows too, go to one shard; name a
+    `salt` column to spread a key that holds many rows. Columns of df named slot or shard are kept as own_slot and
+    own_shard. Texts are not read, whatever their length. An empty table gives an empty one.
     """
     owner = fill(names or shard_names(SHARDS), slots, weights)
     spark = df.sparkSession
     text = F.coalesce(F.col(key).cast("string"), F.lit("null"))
     text = F.concat_ws("#", text, F.col(salt).cast("string")) if salt else text
-    rows = df.drop("slot", "shard").withColumn("slot", F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("bigint") % slots)
+    rows = _kept_apart(df.withColumn("_place", F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("bigint") % slots)).withColumnRenamed("_place", "slot")
     table = spark.range(1).select(F.posexplode(F.split(F.lit(",".join(map(str, owner))), ",")).alias("pos", "owner"))
     table = table.select(F.col("pos").cast("bigint").alias("slot"), F.col("owner").cast("int").alias("shard"))
     # bounded: `slots` rows of 12 bytes
     return rows.join(F.broadcast(table), "slot")
 
 
-def write_sharded(df: DataFrame, path: str, names: list[str] | None = None, files_per_shard: int = 4, **how) -> None:
-    """One folder for each shard, its rows dealt over some files."""
-    placed = place(df, names=names, **how)
-    deal = F.pmod(F.xxhash64(*[c for c in placed.columns if c != "shard"]), F.lit(files_per_shard))
-    placed.withColumn("_file", deal).repartition(len(names or shard_names(SHARDS)) * files_per_shard, "shard", "_file").drop("_file").write.partitionBy("shard").parquet(path)
+def write_sharded(df: DataFrame, path: str, key: str = "doc_id", names: list[str] | None = None, rows_per_file: int = 1_000_000, files_per_shard: int = 4, **how) -> None:
+    """One folder for each shard, its rows dealt over files_per_shard files, or as many more as rows_per_file asks for.
+
+    A row's file comes from its key and the task that reads it, so a key that a third of the rows hold spreads over its
+    shard's files, and a repeated task deals as before.
+    """
+    shards = len(names or shard_names(SHARDS))
+    files = max(files_per_shard, -(-df.count() // (rows_per_file * shards)))
+    placed = place(df, key, names, **how)
+    deal = F.pmod(F.xxhash64(F.col(key).cast("string"), F.spark_partition_id()), F.lit(files))
+    placed.withColumn("_file", deal).repartition(shards * files, "shard", "_file").drop("_file").write.partitionBy("shard").parquet(path)
+
+
+def store_and_read(df: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
+    """Writes whole rows into their shards and returns, from the files: key, slot, shard and the md5 of the text (null: null)."""
+    path = new_path(df.sparkSession, "shards")
+    write_sharded(df, path, key, **how)
+    back = df.sparkSession.read.schema(place(df.limit(0), key, **how).schema).parquet(path)
+    return back.select(key, "slot", "shard", F.md5(text).alias("text_md5"))
 
 
 def share_table(placed: DataFrame) -> DataFrame:
@@ -91,7 +118,7 @@ WITH RECURSIVE prefs AS (
     FROM turns t JOIN prefs p ON p.i = t.k % {SHARDS} WHERE t.k < {SLOTS}
   ) p
 ), final AS (SELECT owner FROM turns WHERE k = {SLOTS})
-SELECT doc_id, slot, owner[slot + 1]::INTEGER AS shard FROM (
-  SELECT doc_id, ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 8))::BIGINT % {SLOTS} AS slot FROM documents
+SELECT doc_id, slot, owner[slot + 1]::INTEGER AS shard, text_md5 FROM (
+  SELECT doc_id, md5(text) AS text_md5, ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 8))::BIGINT % {SLOTS} AS slot FROM documents
 ) d, final
 """

@@ -158,6 +158,14 @@ def test_placement(spark, odd, none, tmp_path):
     hot = spark.range(3000).select(F.lit(7).alias("k"), "id")
     assert shard_table.place(hot, "k").select("shard").distinct().count() == 1 and shard_table.place(hot, "k", salt="id").select("shard").distinct().count() == 16
     shard_table.write_sharded(spark.range(500), str(tmp_path / "out"), key="id")
+    assert placed.columns[1:] == [*(f"own_{c}" if c in ("slot", "shard") else c for c in odd.columns), "shard"] and {(r.own_slot, r.own_shard) for r in placed.collect()} == {(7, "x")}
+    for df in (odd, none):  # whole rows, from the files
+        got = Counter((r.doc_id, r.shard, r.text_md5) for r in shard_table.store_and_read(df).collect())
+        md5 = lambda t: None if t is None else hashlib.md5(t.encode()).hexdigest()
+        assert got == Counter((r.doc_id, r.shard, md5(r.text)) for r in shard_table.place(df).collect())
+    shard_table.write_sharded(hot, str(tmp_path / "hot"), "k", rows_per_file=10)
+    sizes = spark.read.parquet(str(tmp_path / "hot")).groupBy(F.input_file_name()).count().collect()
+    assert len(sizes) > 3 and sum(r["count"] for r in sizes) == 3000
     back = spark.read.parquet(str(tmp_path / "out"))
     assert back.count() == 500 and abs(shard_table.share_table(back).agg(F.sum("share")).first()[0] - 1) < 1e-9
 
