@@ -45,7 +45,7 @@ def fingerprint(data: bytes) -> str:
     codes = (counts > q1).astype(np.uint8) + (counts > q2) + (counts > q3)
     packed = codes[0::4] << 6 | codes[1::4] << 4 | codes[2::4] << 2 | codes[3::4]
     length = min(255, round(16 * math.log2(1 + len(data)) / 2))
-    ratios = (int(16 * q1 / max(1, q3)) % 16) << 4 | int(16 * q2 / max(1, q3)) % 16
+    ratios = min(15, 16 * int(q1) // max(1, int(q3))) << 4 | min(15, 16 * int(q2) // max(1, int(q3)))
     head = bytes([hashlib.blake2b(data, digest_size=1).digest()[0], length, ratios])
     return (head + packed.astype(np.uint8).tobytes()).hex()
 

@@ -173,6 +173,45 @@ def test_placement(spark, odd, none, tmp_path):
 # digests
 
 
+def plain_digest(data: bytes) -> str:
+    """The digest from its description, a triplet and a bucket at a time."""
+    counts = [0] * 256
+    for k, (_, j, m) in enumerate(((0, 1, 2), (0, 3, 7), (0, 5, 11), (0, 8, 17))):
+        for i in range(len(data) - m):
+            h = ((data[i] << 16 | data[i + j] << 8 | data[i + m]) * 2654435761 + 40503 * k) % 2**32
+            h = (h ^ h >> 15) * 2246822519 % 2**32
+            counts[h >> 24] += 1
+    q1, q2, q3 = (sorted(counts)[n] for n in (63, 127, 191))
+    quartile = [sum(c > q for q in (q1, q2, q3)) for c in counts]
+    length = min(255, round(8 * np.log2(1 + len(data))))
+    part = lambda q: min(15, 16 * q // max(1, q3))
+    head = [hashlib.blake2b(data, digest_size=1).digest()[0], length, part(q1) * 16 + part(q2)]
+    body = [sum(x * 4 ** (3 - i) for i, x in enumerate(quartile[at : at + 4])) for at in range(0, 256, 4)]
+    return bytes(head + body).hex()
+
+
+def plain_likeness(x: str, y: str) -> float:
+    a, b = bytes.fromhex(x), bytes.fromhex(y)
+    if a == b:
+        return 1.0
+    score = int(a[0] != b[0]) + 2 * min(12, abs(a[1] - b[1])) + min(4, abs(a[2] // 16 - b[2] // 16)) + min(4, abs(a[2] % 16 - b[2] % 16))
+    for p, q in zip(a[3:], b[3:], strict=True):
+        for s in (1, 4, 16, 64):
+            d = abs(p // s % 4 - q // s % 4)
+            score += 6 if d == 3 else d
+    return max(0.0, 1 - score / (1.3 * 256))
+
+
+def test_digest_and_likeness_are_the_plain_ones(odd, docs):
+    rng = np.random.default_rng(4)
+    held = [(r.text or "").encode() for r in [*odd.collect(), *docs.limit(40).collect()]] + [b"", b"ab", bytes(2000), rng.bytes(3000), rng.bytes(200_000), b"ab" * 50_000]
+    prints = [digest.fingerprint(x) for x in held]
+    assert prints == [plain_digest(x) for x in held]
+    assert all(abs(digest.likeness(x, y) - plain_likeness(x, y)) < 1e-12 for x in prints for y in prints)
+    near = [bytes.fromhex(digest.fingerprint(rng.bytes(400_000)))[2] for _ in range(4)]  # nearly equal quartiles: high parts, none that starts again at 0
+    assert min(x & 15 for x in near) >= 14
+
+
 def test_digest_of_edits_and_neighbours(odd, docs, none):
     for df in (odd, docs, none, odd.where("doc_id = 4")):
         held = pairs(df.select("doc_id", "text").collect())
@@ -185,8 +224,9 @@ def test_digest_of_edits_and_neighbours(odd, docs, none):
             q = len(text) // 4
             edited = text[: len(text) - q] + following[:q]
             assert (r.doc_id, r.n_chars, r.edited_sha256) == (doc_id, len(text), hashlib.sha256(edited.encode()).hexdigest())
-            assert r.fingerprint == digest.fingerprint(text.encode()) and r.edited_fingerprint == digest.fingerprint(edited.encode())
-            assert 0 <= r.near_next <= 1 and 0 <= r.near_edited <= 1 and (text != following or r.near_next == 1)
+            own, changed = plain_digest(text.encode()), plain_digest(edited.encode())
+            assert r.fingerprint == own and r.edited_fingerprint == changed and (text != following or r.near_next == 1)
+            assert abs(r.near_edited - plain_likeness(own, changed)) < 1e-12 and abs(r.near_next - plain_likeness(own, plain_digest(following.encode()))) < 1e-12
 
 
 def test_digest_tells_edits_from_other_documents(docs):
