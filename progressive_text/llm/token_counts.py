@@ -9,14 +9,16 @@ text, so chunks count independently, and a prefix is some whole chunks and a pre
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 import regex
+import zstandard
 from pyspark.sql import DataFrame
 
 from .byte_bpe import ByteBpe, default_pattern
-from .common import Memo, map_rows, tokenizer_file, whole_text
+from .common import Memo, map_rows, saved, tokenizer_file, whole_text
 
 #: White space, and the separators that some definitions count as such.
 SPACES = "".join(map(chr, [*range(9, 14), *range(28, 33), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
@@ -157,10 +159,50 @@ def load(path: str, pattern: str) -> PrefixCounter:
     return PrefixCounter(path, pattern)
 
 
-def count_tokens(docs: DataFrame, path: str | None = None, budget: int = 1024) -> DataFrame:
-    """doc_id, n_bytes, n_tokens, over_limit (n_tokens > budget) and fit_chars, the longest prefix within the budget.
+def pack_counts(counts: np.ndarray) -> bytes:
+    """Counts of all prefixes as zstd of their steps: a byte each, or four where a step does not fit into one."""
+    steps = np.diff(counts)
+    narrow = steps.size == 0 or (steps.min() >= -128 and steps.max() <= 127)
+    return (b"1" if narrow else b"4") + _pack().compress(steps.astype(np.int8 if narrow else "<i4").tobytes())
+
+
+def unpack_counts(data: bytes) -> np.ndarray:
+    steps = np.frombuffer(_unpack().decompress(data[1:]), np.int8 if data[:1] == b"1" else "<i4")
+    return np.concatenate([[0], np.cumsum(steps, dtype=np.int64)])
+
+
+@lru_cache(maxsize=1)
+def _pack() -> zstandard.ZstdCompressor:
+    return zstandard.ZstdCompressor(level=1)
+
+
+@lru_cache(maxsize=1)
+def _unpack() -> zstandard.ZstdDecompressor:
+    return zstandard.ZstdDecompressor()
+
+
+#: Characters whose counts are held at a time.
+RUN_CHARS = 1 << 18
 
-    Null and empty texts: no tokens. Rows are kept as they are, repeats and null ids too.
+
+def _runs(texts: list[str]) -> Iterator[list[str]]:
+    """texts in order, in runs of about RUN_CHARS characters; a longer text is a run of its own."""
+    run, held = [], 0
+    for x in texts:
+        if run and held + len(x) > RUN_CHARS:
+            yield run
+            run, held = [], 0
+        run.append(x)
+        held += len(x)
+    if run:
+        yield run
+
+
+def prefix_counts(docs: DataFrame, path: str | None = None) -> DataFrame:
+    """doc_id, n_bytes, n_chars, n_tokens, counts: the token count of every prefix of every whole text, packed.
+
+    Null and empty texts: no tokens and one prefix. Rows are kept as they are, repeats and null ids too; other columns
+    of docs are left out. A task holds the counts of RUN_CHARS characters, or of one longer text.
     """
     path, pattern = path or tokenizer_file("byte_bpe_50k.json"), default_pattern()
 
@@ -168,16 +210,58 @@ def count_tokens(docs: DataFrame, path: str | None = None, budget: int = 1024) -
         counter = load(path, pattern)
 
         def each(c):
-            counts = counter.counts_all(c["text"])
-            total = [int(x[-1]) for x in counts]
-            return {
-                "doc_id": c["doc_id"],
-                "n_bytes": [len(x.encode()) for x in c["text"]],
-                "n_tokens": total,
-                "over_limit": [x > budget for x in total],
-                "fit_chars": [counter.truncate(x, budget) for x in counts],
-            }
+            total, packed = [], []
+            for run in _runs(c["text"]):
+                for counts in counter.counts_all(run):
+                    total.append(int(counts[-1]))
+                    packed.append(pack_counts(counts))
+            return {"doc_id": c["doc_id"], "n_bytes": [len(x.encode()) for x in c["text"]], "n_chars": [len(x) for x in c["text"]], "n_tokens": total, "counts": packed}
+
+        return each
+
+    return map_rows(whole_text(docs), make, "doc_id bigint, n_bytes bigint, n_chars bigint, n_tokens bigint, counts binary")
+
+
+def answer(stored: DataFrame, budget: int = 1024) -> DataFrame:
+    """doc_id, n_bytes, n_tokens, over_limit (n_tokens > budget) and fit_chars, the longest prefix within the budget, from
+    stored counts alone: no text is read or encoded again. Null counts: null fit_chars."""
+
+    def make():
+        def fit(n: int, chars: int, data: bytes | None) -> int | None:
+            if data is None or n <= budget:
+                return None if data is None else chars
+            return int(np.flatnonzero(unpack_counts(data) <= budget)[-1])
+
+        def each(c):
+            fits = [fit(*x) for x in zip(c["n_tokens"], c["n_chars"], c["counts"], strict=True)]
+            return {"doc_id": c["doc_id"], "n_bytes": c["n_bytes"], "n_tokens": c["n_tokens"], "over_limit": [n > budget for n in c["n_tokens"]], "fit_chars": fits}
 
         return each
 
-    return map_rows(whole_text(docs), make, "doc_id bigint, n_bytes bigint, n_tokens bigint, over_limit boolean, fit_chars bigint")
+    return map_rows(stored, make, "doc_id bigint, n_bytes bigint, n_tokens bigint, over_limit boolean, fit_chars bigint")
+
+
+def tokens_between(stored: DataFrame, spans: DataFrame) -> DataFrame:
+    """doc_id, start, stop of spans (characters, clipped to the text) with n_before, n_after: the counts of the prefixes
+    that end there. Spans of unknown or null identifiers have nulls; an identifier with several rows answers for each."""
+    joined = spans.select("doc_id", "start", "stop").join(stored.select("doc_id", "counts"), "doc_id", "left")
+
+    def make():
+        def one(start, stop, data):
+            if data is None or start is None or stop is None:
+                return None, None
+            counts = unpack_counts(data)
+            return tuple(int(counts[min(max(x, 0), len(counts) - 1)]) for x in (start, stop))
+
+        def each(c):
+            found = [one(*x) for x in zip(c["start"], c["stop"], c["counts"], strict=True)]
+            return {"doc_id": c["doc_id"], "start": c["start"], "stop": c["stop"], "n_before": [x[0] for x in found], "n_after": [x[1] for x in found]}
+
+        return each
+
+    return map_rows(joined, make, "doc_id bigint, start bigint, stop bigint, n_before bigint, n_after bigint")
+
+
+def count_tokens(docs: DataFrame, path: str | None = None, budget: int = 1024) -> DataFrame:
+    """prefix_counts written as a table, and the answers for one budget from what it holds."""
+    return answer(saved(prefix_counts(docs, path), "counts"), budget)

@@ -89,6 +89,49 @@ def test_counts_of_matches_beyond_a_byte(spark):
     assert [r.n_tokens for r in token_counts.count_tokens(df).orderBy("doc_id").collect()] == want
 
 
+@settings(max_examples=60, deadline=None)
+@given(st.integers(60, 70), st.sampled_from(["\U00010000", "\U00010001", "\U00020000", "\U00013000"]), st.sampled_from(["", " ", "a", "\n"]))
+def test_runs_of_four_byte_characters(n, c, around):
+    text = around + c * n + around
+    want = [len(LIBRARY.encode(text[:i], add_special_tokens=False).ids) for i in range(len(text) + 1)]
+    counts = token_counts.PrefixCounter.counts_all(COUNTER, [text])[0]
+    assert counts.tolist() == want and token_counts.unpack_counts(token_counts.pack_counts(counts)).tolist() == want
+
+
+def test_stored_counts_answer_without_texts(spark, odd, docs, none):
+    for df in (odd, docs, none):
+        stored = token_counts.prefix_counts(df)
+        held = Counter((r.doc_id, r.text or "") for r in df.collect())
+        got = Counter()
+        for r in stored.collect():
+            got[r.doc_id, tuple(token_counts.unpack_counts(r.counts).tolist())] += 1
+        assert got == Counter({(i, tuple(COUNTER.counts(t).tolist())): n for (i, t), n in held.items()})
+        for budget in (0, 7, 1024):
+            fits = Counter((r.doc_id, r.fit_chars) for r in token_counts.answer(stored, budget).collect())
+            want = Counter()
+            for (i, t), n in held.items():
+                want[i, COUNTER.truncate(COUNTER.counts(t), budget)] += n
+            assert fits == want
+    spans = spark.createDataFrame([(9, 2, 11), (9, -3, 999), (1, 0, 4), (999, 0, 1), (None, 0, 1), (4, None, 1)], "doc_id bigint, start bigint, stop bigint")
+    found = {(r.doc_id, r.start): (r.n_before, r.n_after) for r in token_counts.tokens_between(token_counts.prefix_counts(odd), spans).collect()}
+    text = dict((r.doc_id, r.text) for r in odd.collect())[9]
+    own = COUNTER.counts(text)
+    assert found == {(9, 2): (own[2], own[11]), (9, -3): (0, own[-1]), (1, 0): (0, 0), (999, 0): (None, None), (None, 0): (None, None), (4, None): (None, None)}
+
+
+def test_counts_of_a_long_text_in_bounded_memory(spark):
+    import tracemalloc
+
+    text = "The quick brown fox; 12 jumps over é lazy dogs.\n" * 110_000  # over 5 MB
+    assert len(token_counts.unpack_counts(token_counts.pack_counts(COUNTER.counts(text)))) == len(text) + 1
+    tracemalloc.start()
+    COUNTER.counts(text)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 1 << 30
+    assert [len(x) for x in token_counts._runs(["a" * 200_000] * 3 + [text, "b", "c"])] == [1, 1, 1, 1, 2]
+
+
 def test_count_query(odd, docs, none):
     for df in (odd, docs, none):
         want = Counter()
