@@ -20,6 +20,7 @@ import zlib
 from array import array
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -31,19 +32,20 @@ from pyspark.sql import functions as F
 
 from . import letters
 from .byte_bpe import byte_alphabet
-from .common import Memo, _arrow_schema, local_or_remote, new_path, saved, tokenizer_file
+from .common import Memo, _arrow_schema, local_or_remote, map_rows, new_path, saved, tokenizer_file
 
 MAGIC, BLOCK_BYTES, BLOOM_HASHES, BLOOM_BITS = b"PTSST001", 1 << 16, 7, 10
 INDEX, FOOTER = struct.Struct("<8sQIIQI"), struct.Struct("<QIQQIQQI8s")
-MANIFEST = "shard int, path string, n_docs bigint, n_ids bigint, n_bytes bigint"
+MANIFEST = "shard int, path string, n_docs bigint, n_ids bigint, n_bytes bigint, first_id bigint, last_id bigint"
 
 
-def key_of(doc_id: int) -> bytes:
-    return struct.pack(">Q", doc_id + (1 << 63))
+def key_of(doc_id: int | None) -> bytes:
+    """Eight bytes; none at all for a null identifier, which therefore comes first."""
+    return b"" if doc_id is None else struct.pack(">Q", doc_id + (1 << 63))
 
 
-def id_of(key: bytes) -> int:
-    return struct.unpack(">Q", key)[0] - (1 << 63)
+def id_of(key: bytes) -> int | None:
+    return struct.unpack(">Q", key)[0] - (1 << 63) if key else None
 
 
 def _varint(n: int) -> bytes:
@@ -68,13 +70,13 @@ class ShardWriter:
         self.block, self.index, self.keys, self.at = bytearray(), [], [], 0
         self.last, self.entries, self.block_entries, self.ids, self.before = b"", 0, 0, 0, 0
 
-    def add(self, doc_id: int, ids: np.ndarray) -> None:
+    def add(self, doc_id: int | None, ids: np.ndarray) -> None:
         key, value = key_of(doc_id), ids.astype(f"<u{self.width}").tobytes()
         shared = 0
         if self.block:
-            while shared < 8 and key[shared] == self.last[shared]:
+            while shared < min(len(key), len(self.last)) and key[shared] == self.last[shared]:
                 shared += 1
-        self.block += bytes([shared, 8 - shared]) + _varint(len(value)) + key[shared:] + value
+        self.block += bytes([shared, len(key) - shared]) + _varint(len(value)) + key[shared:] + value
         self.last, self.block_entries = key, self.block_entries + 1
         self.keys.append(key)
         self.ids += len(ids)
@@ -138,15 +140,15 @@ class ShardReader:
             yield key, np.frombuffer(block, f"<u{self.width}", n // self.width, p + rest)
             p += rest + n
 
-    def scan(self) -> Iterator[tuple[int, int, np.ndarray]]:
+    def scan(self) -> Iterator[tuple[int | None, int, np.ndarray]]:
         """(identifier, ids before it in this shard, ids) in order."""
         for i, (_, _, _, _, before, _) in enumerate(self.index):
             for key, ids in self._block(i):
                 yield id_of(key), before, ids
                 before += len(ids)
 
-    def get(self, doc_id: int) -> list[np.ndarray]:
-        """The entries of an identifier: none, one, or one for each repeated row."""
+    def get(self, doc_id: int | None) -> list[np.ndarray]:
+        """The entries of an identifier: none, one, or one for each repeated row (for None, each row without one)."""
         key = key_of(doc_id)
         if self.bloom is None:
             self.file.seek(self.bloom_at)
@@ -233,25 +235,26 @@ def load_words(path: str) -> WordBpe:
 def write_shards(docs: DataFrame, path: str, tokenizer: str | None = None, end_id: int = 2, shards: int | None = None) -> DataFrame:
     """Encodes every whole text (null: empty), adds end_id, writes shards in ascending doc_id order; returns the manifest.
 
-    Rows without an identifier cannot be looked up and are left out. Rows of one identifier are all kept, ordered by a
-    hash of their text. A task writes under a name of its own and renames at the end: a repeated task replaces its file.
+    Rows with a null identifier come first. Rows of one identifier are all kept, ordered by a hash of their text. Other
+    columns of docs are left out. A task holds one text and one block. It writes a draft of its own and renames it at the
+    end, so a repeated task replaces its file; drafts of failed tasks are removed. An empty table has an empty manifest or
+    shards without entries. first_id and last_id are the least and greatest identifier of a shard (null: none).
     """
     spark, tokenizer = docs.sparkSession, tokenizer or tokenizer_file("word_bpe_49k.json")
     shards = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    rows = docs.where("doc_id IS NOT NULL").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     tie = F.xxhash64("text")
-    rows = rows.repartitionByRange(shards, "doc_id", tie).sortWithinPartitions("doc_id", tie)
+    rows = rows.repartitionByRange(shards, F.col("doc_id").asc_nulls_first(), tie).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), tie)
     arrow = _arrow_schema(spark, MANIFEST)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyarrow import fs
         from pyspark import TaskContext
 
         words, shard = load_words(tokenizer), TaskContext.get().partitionId()
         system, folder = local_or_remote(path)
         system.create_dir(folder, recursive=True)
         draft, final = f"{folder}/.{shard:06d}-{uuid.uuid4().hex}", f"{folder}/shard-{shard:06d}.sst"
-        end = np.array([end_id], np.uint32)
+        end, first, last = np.array([end_id], np.uint32), None, None
         with system.open_output_stream(draft) as out:
             writer = ShardWriter(out, 2 if words.vocab <= 1 << 16 and end_id < 1 << 16 else 4)
             for batch in batches:
@@ -259,13 +262,34 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str | None = None, end_i
                     part = batch.slice(at, 512)
                     for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                         writer.add(doc_id, np.concatenate([words.encode(text), end]))
+                        first, last = doc_id if first is None else first, doc_id
             writer.close()
-        if system.get_file_info(final).type != fs.FileType.NotFound:  # of an earlier attempt; some stores do not replace
-            system.delete_file(final)
+        _replace(system, draft, final)
+        yield pa.RecordBatch.from_pylist([{"shard": shard, "path": f"{path}/shard-{shard:06d}.sst", "n_docs": writer.entries, "n_ids": writer.ids, "n_bytes": writer.at, "first_id": first, "last_id": last}], schema=arrow)
+
+    manifest = saved(rows.mapInArrow(run, MANIFEST), "manifest")
+    _drop_drafts(path)
+    return manifest
+
+
+def _replace(system, draft: str, final: str) -> None:
+    """draft under its final name, in place of the file of an earlier attempt; some stores do not replace by themselves."""
+    try:
         system.move(draft, final)
-        yield pa.RecordBatch.from_pylist([{"shard": shard, "path": f"{path}/shard-{shard:06d}.sst", "n_docs": writer.entries, "n_ids": writer.ids, "n_bytes": writer.at}], schema=arrow)
+    except OSError:
+        system.delete_file(final)
+        system.move(draft, final)
+
 
-    return saved(rows.mapInArrow(run, MANIFEST), "manifest")
+def _drop_drafts(path: str) -> None:
+    """Removes what tasks that did not end have left; the job has ended, so no draft is still written."""
+    from pyarrow import fs
+
+    system, folder = local_or_remote(path)
+    if system.get_file_info(folder).type == fs.FileType.Directory:
+        for x in system.get_file_info(fs.FileSelector(folder)):
+            if x.base_name.startswith(".") and not x.base_name.endswith(".crc"):
+                system.delete_file(x.path)
 
 
 def read_shards(manifest: DataFrame) -> DataFrame:
@@ -300,17 +324,63 @@ def read_shards(manifest: DataFrame) -> DataFrame:
     return files.mapInArrow(run, schema)
 
 
+def _ranges(manifest: DataFrame) -> list[tuple]:
+    """(first identifier, last, path) of each shard that has identifiers, in order: one row a shard."""
+    rows = manifest.where("last_id IS NOT NULL").select("first_id", "last_id", "path").collect()
+    return sorted(tuple(r) for r in rows)
+
+
+def _get_all(path: str, doc_ids: Iterable[int]) -> Iterator[tuple[int, list[int]]]:
+    system, name = local_or_remote(path)
+    with system.open_input_file(name) as file:
+        reader = ShardReader(file)
+        for x in doc_ids:
+            for ids in reader.get(x):
+                yield x, ids.tolist()
+
+
 def look_up(manifest: DataFrame, doc_ids: list[int]) -> dict[int, list[list[int]]]:
-    """Point lookups: ids by identifier, for as many identifiers as the caller lists."""
+    """Point lookups: ids by identifier, for as many identifiers as the caller lists. Opens only shards whose range holds one."""
     out: dict[int, list[list[int]]] = {x: [] for x in doc_ids}
-    for r in manifest.select("path").toLocalIterator():
-        system, name = local_or_remote(r.path)
-        with system.open_input_file(name) as file:
-            reader = ShardReader(file)
-            for x in doc_ids:
-                out[x] += [ids.tolist() for ids in reader.get(x)]
+    for first, last, path in _ranges(manifest):
+        for x, ids in _get_all(path, [x for x in out if first <= x <= last]) if any(first <= x <= last for x in out) else ():
+            out[x].append(ids)
     return out
 
 
+def look_up_all(manifest: DataFrame, wanted: DataFrame, key: str = "doc_id") -> DataFrame:
+    """doc_id, ids array<int> of all entries of the identifiers in `wanted`, a table of any size: each identifier goes to the
+    shards whose range holds it, and a task reads one shard's. Null and unknown identifiers have no rows; repeated ones
+    are looked up once."""
+    spark, ranges = manifest.sparkSession, _ranges(manifest)
+    first, last = np.array([r[0] for r in ranges], np.int64), np.array([r[1] for r in ranges], np.int64)
+    held = spark.sparkContext.broadcast((first, last, [r[2] for r in ranges]))  # a row a shard
+
+    def send():
+        lows, highs, _ = held.value
+
+        def each(c):
+            rows = [(x, at) for x in c["doc_id"] for at in range(int(np.searchsorted(highs, x)), int(np.searchsorted(lows, x, "right")))]
+            return {"doc_id": [r[0] for r in rows], "shard": [r[1] for r in rows]}
+
+        return each
+
+    ids = wanted.select(F.col(key).cast("bigint").alias("doc_id")).where("doc_id IS NOT NULL").distinct()
+    sent = map_rows(ids, send, "doc_id bigint, shard int").repartition(max(1, len(ranges)), "shard").sortWithinPartitions("shard", "doc_id")
+
+    def read():
+        paths = held.value[2]
+
+        def each(c):
+            rows = []
+            for shard, part in groupby(zip(c["shard"], c["doc_id"], strict=True), key=lambda x: x[0]):
+                rows += _get_all(paths[shard], [x for _, x in part])
+            return {"doc_id": [r[0] for r in rows], "ids": [r[1] for r in rows]}
+
+        return each
+
+    return map_rows(sent, read, "doc_id bigint, ids array<int>")
+
+
 def store_and_read(docs: DataFrame) -> DataFrame:
     return read_shards(write_shards(docs, new_path(docs.sparkSession, "sst")))

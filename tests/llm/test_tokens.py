@@ -159,8 +159,9 @@ def test_word_ids_are_the_library_ids(text):
 def test_shards_round_trip_and_look_up(spark, odd, docs, none):
     for df in (odd, docs, none):
         manifest = sorted_shards.write_shards(df, new_path(spark, "sst"), shards=3)
-        got = sorted(tuple(r) for r in sorted_shards.read_shards(manifest).collect())
-        rows = sorted((r.doc_id, i) for i, r in enumerate(df.collect()) if r.doc_id is not None)
+        first = lambda x: (x[0] is not None, x[0] or 0, x[1])
+        got = sorted((tuple(r) for r in sorted_shards.read_shards(manifest).collect()), key=first)
+        rows = sorted(((r.doc_id, i) for i, r in enumerate(df.collect())), key=first)
         held, at, want = df.collect(), 0, []
         for doc_id, i in rows:
             ids = [*WORDS.encode(held[i].text or "", add_special_tokens=False).ids, 2]
@@ -170,6 +171,22 @@ def test_shards_round_trip_and_look_up(spark, odd, docs, none):
     manifest = sorted_shards.write_shards(odd, new_path(spark, "sst"), shards=3)
     found = sorted_shards.look_up(manifest, [5, -5, 11, 999])
     assert found[5] == [[*WORDS.encode("the same text in two rows", add_special_tokens=False).ids, 2]] and len(found[11]) == 2 and found[999] == [] and len(found[-5]) == 1
+    wanted = spark.createDataFrame([(x,) for x in [*range(-9, 40), None, 5, 999]], "doc_id bigint")
+    every = Counter((r.doc_id, tuple(r.ids)) for r in sorted_shards.look_up_all(manifest, wanted).collect())
+    assert every == Counter((r.doc_id, (*WORDS.encode(r.text or "", add_special_tokens=False).ids, 2)) for r in odd.collect() if r.doc_id is not None)
+    assert sorted_shards.look_up_all(manifest, wanted.where("false")).count() == 0
+    assert sorted_shards.look_up_all(sorted_shards.write_shards(none, new_path(spark, "sst")), wanted).count() == 0
+
+
+def test_drafts_are_removed_and_files_replaced(tmp_path):
+    from pyarrow import fs
+
+    for name in (".000001-aa", "shard-000000.sst", ".x.crc"):
+        (tmp_path / name).write_bytes(b"1")
+    sorted_shards._replace(fs.LocalFileSystem(), str(tmp_path / ".000001-aa"), str(tmp_path / "shard-000000.sst"))
+    (tmp_path / ".000002-bb").write_bytes(b"2")
+    sorted_shards._drop_drafts(f"file://{tmp_path}")
+    assert sorted(x.name for x in tmp_path.iterdir()) == [".x.crc", "shard-000000.sst"]
 
 
 def test_blocks_and_damage(tmp_path):
