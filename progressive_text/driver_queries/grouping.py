@@ -30,14 +30,15 @@ def alloc_sql(name: str, source: str, weight: str, n: str, left: str) -> str:
   FROM (SELECT stratum, (({n}) - count(*) OVER ()) AS rest, (({n}) - count(*) OVER ()) * ({weight}) / sum({weight}) OVER () AS x FROM {source} WHERE {left} > 0))"""
 
 
-def state_sql(name: str, draws: str) -> str:
+def state_sql(name: str, draws: str, sized: str = "sized") -> str:
     return f"""{name}_f AS (SELECT stratum, label, count(*) AS x FROM {draws} GROUP BY ALL),
-{name} AS (SELECT s.stratum, n_total, n_drawn, dominant, het, het / 0.9 AS norm FROM sized s JOIN (
+{name} AS (SELECT s.stratum, n_total, n_drawn, dominant, het, het / 0.9 AS norm FROM {sized} s JOIN (
   SELECT stratum, sum(x)::BIGINT AS n_drawn, (list(label ORDER BY x DESC, label))[1] AS dominant, sum((x / t) * (1 - x / t)) AS het
   FROM (SELECT *, sum(x) OVER (PARTITION BY stratum)::DOUBLE AS t FROM {name}_f) GROUP BY 1) USING (stratum))"""
 
 
-CTE = f"""WITH {LLOYD},
+def cte_sql(gamma: float = GAMMA, theta: float = THETA) -> str:
+    return f"""WITH {LLOYD},
 sized AS (SELECT stratum, count(*) AS n_total FROM a GROUP BY 1),
 per AS (SELECT count(*) AS total, round(count(*) * 0.1)::BIGINT AS n FROM a),
 {alloc_sql("take0", "sized", "n_total::DOUBLE", "SELECT n FROM per", "n_total")},
@@ -45,13 +46,16 @@ pos AS (SELECT a.*, row_number() OVER (PARTITION BY stratum ORDER BY rk) AS posi
 draws0 AS (SELECT pos.* FROM pos JOIN take0 USING (stratum) WHERE position <= n_draws),
 {state_sql("state0", "draws0")},
 {alloc_sql("take1", "state0", "n_total * sqrt(het)", "SELECT n FROM per", "n_total - n_drawn")},
-impure AS (SELECT *, row_number() OVER (ORDER BY n_total * norm DESC, stratum) AS turn FROM state0 WHERE norm > {THETA}),
+impure AS (SELECT *, row_number() OVER (ORDER BY n_total * norm DESC, stratum) AS turn FROM state0 WHERE norm > {theta}),
 few AS (SELECT d.key, d.stratum, d.label, d.vec FROM draws0 d JOIN impure i USING (stratum) WHERE d.label <> i.dominant),
 alike AS (SELECT p.key, p.stratum, p.vec FROM pos p JOIN impure USING (stratum) WHERE p.key NOT IN (SELECT key FROM draws0)
-  AND EXISTS (SELECT 1 FROM few f WHERE f.stratum = p.stratum AND round(list_cosine_similarity(f.vec, p.vec), 12) > {GAMMA})),
+  AND EXISTS (SELECT 1 FROM few f WHERE f.stratum = p.stratum AND round(list_cosine_similarity(f.vec, p.vec), 12) > {gamma})),
 sep AS (SELECT key, stratum, vec FROM few UNION ALL SELECT key, stratum, vec FROM alike)"""
 
 
+CTE = cte_sql()
+
+
 def _pool(spark, d):
     e = table(spark, d, "embeddings").select("vec_id", F.col("label").cast("string").alias("label"), "embedding")
     return saved(e.join(lloyd_assignment(spark, d), "vec_id").select(F.col("vec_id").alias("key"), "stratum", "label", "embedding", draw_rank("vec_id").alias("draw_rank")), "groups")
@@ -271,3 +275,19 @@ def group_avg_value(spark, d):
     return spark.createDataFrame(rows, "category string, mean_value double")
 
 
+@query(STATIC_CTE + f""", v AS (SELECT stratum, label, sum(n_chars) AS s1, sum(n_chars::DOUBLE * n_chars) AS s2 FROM draws0 GROUP BY ALL),
+g AS (SELECT k, n_total, n_drawn, coalesce(s1, 0) AS s1, coalesce(s2, 0) AS s2 FROM (SELECT DISTINCT label AS k FROM draws0) c CROSS JOIN sized JOIN d USING (stratum) LEFT JOIN v ON v.stratum = sized.stratum AND v.label = c.k)
+SELECT k AS category, round(sum(n_total * s1 / n_drawn::DOUBLE), 6) AS total,
+  CASE WHEN bool_or(n_drawn < 2 AND n_drawn < n_total) THEN NULL ELSE round({z_of(0.95)!r} * sqrt(greatest(0, sum(CASE WHEN n_drawn >= n_total THEN 0 ELSE n_total * n_total * (1 - n_drawn / n_total::DOUBLE) * (s2 - s1 * s1 / n_drawn) / greatest(1, n_drawn - 1) / n_drawn END))), 4) END AS half_width FROM g GROUP BY 1""")
+def group_sum_value(spark, d):
+    """Sum of a structured value by category, with its interval."""
+    sizes, draws = _static(spark, d)
+    drawn = {r.stratum: r["count"] for r in draws.groupBy("stratum").count().collect()}
+    by = {(r.stratum, r.label): Moments(r.n, r["mean"], r.m2) for r in moments_of(draws, "n_chars", "stratum", "label").collect()}
+    rows = []
+    for c in sorted({c for _, c in by}):
+        total, width = group_value([(sizes[h], drawn[h], by.get((h, c), Moments())) for h in sizes], "sum")
+        rows.append((c, round(total, 6), None if width is None else round(width, 4)))
+    return spark.createDataFrame(rows, "category string, total double, half_width double")
+
+

@@ -5,6 +5,8 @@ Each rule is a Column over a text column and an SQL text over the same column.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -38,12 +40,24 @@ def low_quality(text: str = "text") -> Column:
 
 
 def language(text: str = "text") -> Column:
-    """The language of most frequent words; on a tie the first by name."""
-    count = lambda frequent: F.size(F.filter(_words(text), lambda w: w.isin(frequent)))
-    votes = F.array(*[F.struct((-count(words)).alias("v"), F.lit(k).alias("k")) for k, words in sorted(FREQUENT.items())])
+    """The language of most frequent words; on a tie the first by name. Words are counted in place, without an array of them."""
+    words = F.concat(F.lit(" "), F.regexp_replace(F.lower(text), LETTERS, " "), F.lit(" "))
+    count = lambda frequent: F.regexp_count(words, F.lit(f"(?<= )(?:{'|'.join(frequent)})(?= )"))
+    votes = F.array(*[F.struct((-count(frequent)).alias("v"), F.lit(k).alias("k")) for k, frequent in sorted(FREQUENT.items())])
     return F.array_min(votes)["k"]
 
 
+def language_of(text: str) -> str:
+    """The same for one text in Python, for clients that serve as models."""
+    words = re.sub(LETTERS, " ", text.lower()).split(" ")
+    return min((-sum(w in frequent for w in words), k) for k, frequent in FREQUENT.items())[1]
+
+
+def low_quality_of(text: str) -> bool:
+    parts = text.split(" ")
+    return len(re.findall(NOISE, text)) > 0.3 * len(parts) or len(re.findall(r" \| ", text)) >= 5 or len(set(parts)) < 0.2 * len(parts)
+
+
 def licence(text: str = "text") -> Column:
     return F.lower(text).rlike("licen[sc]e|all rights reserved|copyright")
 

@@ -45,6 +45,13 @@ def moments_of(df: DataFrame, value: str, *by: str) -> DataFrame:
     return df.where(F.col(value).isNotNull()).groupBy(*by).agg(F.count(value).alias("n"), F.avg(value).alias("mean"), (F.var_pop(value) * F.count(value)).alias("m2"))
 
 
+def draw_moments(draws: DataFrame, hit: Column, value: Column, *by: str) -> dict[tuple, tuple[int, Moments]]:
+    """Group -> (draws, moments of the values of its hits) in one job; the driver gets a row a group."""
+    v = F.when(hit, value.cast("double"))
+    rows = draws.groupBy(*by).agg(F.count("*").alias("_n"), F.count(v).alias("_hits"), F.avg(v).alias("_mean"), (F.var_pop(v) * F.count(v)).alias("_m2")).collect()
+    return {tuple(r)[:-4]: (r["_n"], Moments(r["_hits"], r["_mean"], r["_m2"]) if r["_hits"] else Moments()) for r in rows}
+
+
 def valid_mean(m: Moments, alpha: float = 0.95, population: int | None = None) -> tuple[float | None, float | None]:
     """(mean, half-width) of valid values. Below two values there is no half-width; population applies the finite factor."""
     if m.n == 0:
@@ -117,6 +124,13 @@ class GroupState:
     def heterogeneity(self) -> float:
         return sum(p * (1 - p) for p in (self.share(k) for k in self.counts)) if self.n_drawn else 0.0
 
+    def smoothed_heterogeneity(self, more: float, k: int) -> float:
+        """The same with `more` added to each of k categories' draws."""
+        if more <= 0:
+            return self.heterogeneity
+        n = self.n_drawn + k * more
+        return 1 - (sum((x + more) ** 2 for x in self.counts.values()) + (k - len(self.counts)) * more**2) / n**2
+
     def dominant(self):
         """The most frequent category, the first by name on a tie."""
         return min(self.counts, key=lambda k: (-self.counts[k], str(k))) if self.counts else None

@@ -19,7 +19,12 @@ from ..operators.order import draw_rank
 
 
 class Labeler:
-    """label(df, text) gives df with label and is_valid."""
+    """label(df, text) gives df with label and is_valid. prepare(df) may attach, once for a table that is drawn from step by
+    step, columns named _truth... that label() then reads in place of a join of its own."""
+
+    def prepare(self, df: DataFrame) -> DataFrame:
+        base = getattr(self, "base", None)
+        return base.prepare(df) if base is not None else df
 
     def label(self, df: DataFrame, text: str = "text") -> DataFrame:
         raise NotImplementedError
@@ -43,9 +48,14 @@ class LookupLabeler(Labeler):
     key: str
     column: str
 
+    def prepare(self, df: DataFrame) -> DataFrame:
+        known = self.labels.select(F.col(self.key).alias("_k"), F.col(self.column).alias(f"_truth_{self.column}")).dropDuplicates(["_k"])
+        return df.join(known, F.col(self.key) == F.col("_k"), "left").drop("_k")
+
     def label(self, df: DataFrame, text: str = "text") -> DataFrame:
-        known = self.labels.select(F.col(self.key).alias("_k"), F.col(self.column).alias("label")).dropDuplicates(["_k"])
-        return df.drop("label").join(known, F.col(self.key) == F.col("_k"), "left").drop("_k").withColumn("is_valid", F.col("label").isNotNull())
+        truth = f"_truth_{self.column}"
+        ready = df if truth in df.columns else self.prepare(df)
+        return ready.withColumn("label", F.col(truth)).drop(truth).withColumn("is_valid", F.col("label").isNotNull())
 
 
 @dataclass(frozen=True)

@@ -13,6 +13,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 SLICES = 256
+#: Rows of a slice that one task sorts, where the number of rows is known.
+SLICE_ROWS = 1_000_000
 
 
 def draw_rank(key: str | Column, seed: int = 42) -> Column:
@@ -26,7 +28,13 @@ def slice_of(rank: str | Column, slices: int = SLICES) -> Column:
     return F.floor(head * slices / 65536).cast("int")
 
 
-def positions(df: DataFrame, by: Sequence[str], rank: str = "draw_rank", slices: int = SLICES) -> DataFrame:
+def slices_for(total: int, batch: int = SLICE_ROWS) -> int:
+    """Slices for a table of `total` rows that is drawn from in batches: no slice is much larger than SLICE_ROWS or, beyond a
+    thousand rows, than a batch."""
+    return max(1, min(65536, -(-total // min(SLICE_ROWS, max(1000, batch)))))
+
+
+def positions(df: DataFrame, by: Sequence[str], rank: str = "draw_rank", slices: int = SLICES, name: str = "position") -> DataFrame:
     """df with `position`, 1, 2, ... by rank within each group of `by` (all rows for an empty `by`). Nulls group together."""
     sliced = df.withColumn("_slice", slice_of(rank, slices))
     sizes = sliced.groupBy(*by, "_slice").agg(F.count("*").alias("_n"))
@@ -37,9 +45,9 @@ def positions(df: DataFrame, by: Sequence[str], rank: str = "draw_rank", slices:
     ranked = sliced.withColumn("_inside", inside)
     starts = starts.select(*[F.col(c).alias(f"_g_{c}") for c in by], F.col("_slice").alias("_s"), "_before")
     same = F.col("_slice") == F.col("_s")
-    for c in by:
-        same = same & F.col(c).eqNullSafe(F.col(f"_g_{c}"))
-    return ranked.join(starts, same).withColumn("position", (F.col("_before") + F.col("_inside")).cast("bigint")).select(*df.columns, "position")
+    for c in by:  # plain equality keeps the partitioning of the window, so the rows are not moved again
+        same = same & (F.col(c).eqNullSafe(F.col(f"_g_{c}")) if df.schema[c].nullable else F.col(c) == F.col(f"_g_{c}"))
+    return ranked.join(starts, same).withColumn(name, (F.col("_before") + F.col("_inside")).cast("bigint")).select(*df.columns, name)
 
 
 def rank_pool(df: DataFrame, key: str, strata: Sequence[str] = (), seed: int = 42, slices: int = SLICES) -> DataFrame:

@@ -13,6 +13,8 @@ from ..functions.vectors import cosine, unit
 
 #: Above so many minority vectors in a round they are not broadcast, but met in blocks of the joined side.
 BROADCAST_ROWS = 50_000
+#: Parts of a stratum that an existence join treats apart.
+JOIN_SLICES = 64
 
 
 def impure(states: DataFrame, theta: float) -> DataFrame:
@@ -30,16 +32,20 @@ def lookalikes(pool: DataFrame, few: DataFrame, gamma: float, vector: str = "emb
     """Rows of pool (undrawn) with cosine above gamma to a minority draw of their own stratum.
 
     'matrix' broadcasts the minority vectors (checked: at most BROADCAST_ROWS, a part of one round's draws) and takes
-    matrix products batch by batch, without moving the pool. 'join' is an existence join by stratum for any number of
-    them. 'auto' counts first. 'lsh' takes candidates from random hyperplanes and confirms them; it may miss some.
+    matrix products batch by batch, without moving the pool; 'prune' does so for rows alone whose angle to the minority's
+    mean differs from that of some minority vector by no more than gamma's angle. 'join' is an existence join for any
+    number of them, by stratum and a slice of the pool that the minority is repeated for, so a large stratum is many
+    tasks. 'auto' counts first. 'lsh' takes candidates from random hyperplanes and confirms them; it may miss some.
     """
     if method == "auto":
         method = "matrix" if few.count() <= BROADCAST_ROWS else "join"
     if method == "lsh":
         return _lsh(pool, few, gamma, vector, stratum)
     if method == "join":
-        other = few.select(F.col(stratum).alias("_h"), F.col(vector).alias("_v"))
-        return pool.join(other, (F.col(stratum) == F.col("_h")) & (cosine(vector, "_v") > gamma), "left_semi")
+        other = few.select(F.col(stratum).alias("_h"), F.col(vector).alias("_v"), F.explode(F.sequence(F.lit(0), F.lit(JOIN_SLICES - 1))).alias("_s"))
+        sliced = pool.withColumn("_slice", F.pmod(F.xxhash64("key"), F.lit(JOIN_SLICES)).cast("int"))
+        same = (F.col(stratum) == F.col("_h")) & (F.col("_slice") == F.col("_s")) & (cosine(vector, "_v") > gamma)
+        return sliced.join(other, same, "left_semi").drop("_slice")
     held: dict[int, list] = {}
     for r in few.select(stratum, vector).where(F.col(vector).isNotNull()).toLocalIterator():
         held.setdefault(r[0], []).append(r[1])
@@ -47,6 +53,14 @@ def lookalikes(pool: DataFrame, few: DataFrame, gamma: float, vector: str = "emb
     if not units:
         return pool.where("false")
     shared = pool.sparkSession.sparkContext.broadcast(units)
+    reach = float(np.arccos(np.clip(gamma, -1, 1))) + 1e-9
+
+    def near(x: np.ndarray, other: np.ndarray) -> np.ndarray:
+        """Rows that the triangle inequality of angles leaves, seen from the mean of `other`."""
+        centre = unit(other.mean(0)[None])[0]
+        angles = np.sort(np.arccos(np.clip(other @ centre, -1, 1)))
+        own = np.arccos(np.clip(x @ centre, -1, 1))
+        return np.searchsorted(angles, own - reach) < np.searchsorted(angles, own + reach, "right")
 
     @F.pandas_udf("boolean")
     def alike(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
@@ -58,7 +72,8 @@ def lookalikes(pool: DataFrame, few: DataFrame, gamma: float, vector: str = "emb
                 for block in np.array_split(at, max(1, len(at) * len(other) // 4_000_000 + 1)):
                     if len(block):
                         x = unit(np.stack(vectors.iloc[block].to_numpy()).astype(np.float64))
-                        out[block] = (np.round(x @ other.T, 12) > gamma).any(axis=1)
+                        left = near(x, other) if method == "prune" else np.ones(len(x), bool)
+                        out[block[left]] = (np.round(x[left] @ other.T, 12) > gamma).any(axis=1)
             yield pd.Series(out)
 
     return pool.where(F.col(stratum).isin(*units)).where(alike(stratum, vector))
@@ -67,7 +82,10 @@ def lookalikes(pool: DataFrame, few: DataFrame, gamma: float, vector: str = "emb
 def _lsh(pool: DataFrame, few: DataFrame, gamma: float, vector: str, stratum: str, planes: int = 12, tables: int = 8) -> DataFrame:
     """Candidates share all signs of one table's hyperplanes within a stratum; exact cosine confirms."""
     rng = np.random.default_rng(5)
-    d = len(few.select(vector).where(F.col(vector).isNotNull()).first()[0])
+    known = few.select(vector).where(F.col(vector).isNotNull()).first()
+    if known is None:
+        return pool.where("false")
+    d = len(known[0])
     normal = rng.normal(size=(tables, planes, d))
 
     @F.pandas_udf("array<int>")

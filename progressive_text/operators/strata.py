@@ -20,9 +20,13 @@ def strata_bounds(n: int, k: int, base: float = e) -> tuple[int, int]:
     return ceil(k * log(n, base)), ceil(2 * k * log(n, base))
 
 
-def column_strata(df: DataFrame, column: str) -> DataFrame:
-    """df with `stratum`: the number of the column's value in order. Nulls are the last stratum. Few values are assumed."""
-    values = sorted(r[0] for r in df.select(column).distinct().collect() if r[0] is not None)
+def column_strata(df: DataFrame, column: str, most: int = 10_000) -> DataFrame:
+    """df with `stratum`: the number of the column's value in order. Nulls are the last stratum. More than `most` values are
+    refused: such a column is no stratum."""
+    found = df.select(column).distinct().limit(most + 2).collect()
+    if len(found) > most + 1:
+        raise ValueError(f"{column} has more than {most} values")
+    values = sorted(r[0] for r in found if r[0] is not None)
     table = df.sparkSession.createDataFrame([(v, i) for i, v in enumerate(values)] or [(None, 0)], f"_v {dict(df.dtypes)[column]}, _s int")
     return df.join(F.broadcast(table), F.col(column) == F.col("_v"), "left").withColumn("stratum", F.coalesce("_s", F.lit(len(values)))).drop("_v", "_s")
 

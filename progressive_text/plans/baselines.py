@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+from math import sqrt
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -10,6 +13,7 @@ from ..operators.labelers import Labeler
 from ..operators.order import draw_rank
 from .filter_engine import progressive_filter
 from .group_engine import GroupConfig, progressive_group
+from .layout import ALL, lay_out
 from .query import Clock, DrawLog, ProgressLog, Stop
 from .select_engine import progressive_select
 
@@ -32,7 +36,7 @@ def sem_group(df: DataFrame, labeler: Labeler, text: str, *aggregates) -> DataFr
 
 def full_scan(df: DataFrame, labeler: Labeler, text: str, *aggregates, by: list[str] | None = None, where: str = "is_valid", key: str = "doc_id", seed: int = 42) -> DataFrame:
     """The naive way: all rows in random order, one answer at the end."""
-    shuffled = df.repartition(F.substring(draw_rank(key, seed), 1, 2))
+    shuffled = df.repartition(F.substring(draw_rank(key, seed), 1, 8))
     return labeler.label(shuffled, text).where(where).groupBy(*(by or [])).agg(*aggregates)
 
 
@@ -52,34 +56,27 @@ def random_select(df: DataFrame, key: str, text: str, labeler: Labeler, **how) -
 
 def static_group(df: DataFrame, key: str, text: str, labeler: Labeler, categories: list, config: GroupConfig | None = None, **how) -> ProgressLog:
     """Strata clustered once and never adjusted."""
-    from dataclasses import replace
-
     return progressive_group(df, key, text, labeler, categories, config=replace(config or GroupConfig(), adjust=False), **how)
 
 
-def random_group(df: DataFrame, key: str, text: str, labeler: Labeler, categories: list, alpha: float = 0.95, round_fraction: float = 0.1, seed: int = 42, stop: Stop | None = None, clock: Clock | None = None) -> ProgressLog:
-    """Shares of categories from simple random draws."""
-    from ..operators.order import rank_pool
-    from ..sources.store import saved
-
+def random_group(df: DataFrame, key: str, text: str, labeler: Labeler, categories: list, alpha: float = 0.95, round_fraction: float = 0.1, seed: int = 42, stop: Stop | None = None, clock: Clock | None = None, scope: str = "per_category") -> ProgressLog:
+    """Shares of categories from simple random draws. scope 'pooled' adds up the variances of all categories, as the
+    strata's printed interval does, so that intervals are alike."""
     spark, stop = df.sparkSession, stop or Stop(relative=False)
-    pool = saved(rank_pool(df.select(F.col(key).alias("key")), "key", seed=seed), "pool")
-    total = pool.count()
+    rows = lay_out(df, key, text, labeler, {}, batch_share=round_fraction, seed=seed)
+    total = rows.total
     log = ProgressLog(spark, total, clock or Clock())
     batch, counts, calls, draws = max(1, round(total * round_fraction)), dict.fromkeys(categories, 0), 0, DrawLog(spark)
     for step in range(-(-total // batch)):
-        keys = pool.where((F.col("position") > step * batch) & (F.col("position") <= (step + 1) * batch)).select("key")
-        rows = df.join(F.broadcast(keys) if batch <= 100_000 else keys, F.col(key) == F.col("key"))
-        new = draws.append(step, labeler.label(rows.select(*dict.fromkeys(["key", key, text])), text).drop(*({text} - {key})))
+        new = draws.append(step, labeler.label(rows.take({ALL: (step * batch, (step + 1) * batch)}), text).select(key, "label", "is_valid"))
         before = calls
         for r in new.groupBy("is_valid", "label").count().collect():
             calls += r["count"]
             if r.is_valid and r.label in counts:
                 counts[r.label] += r["count"]
-        cells = []
-        for c in categories:
-            share, width = random_share(counts[c], calls, total, alpha, len(categories))
-            cells.append({"grp": str(c), "n_valid": calls, "estimate": share, "half_width": width, "share": True})
+        shares = {c: random_share(counts[c], calls, total, alpha, len(categories)) for c in categories}
+        pooled = sqrt(sum(w * w for _, w in shares.values()))
+        cells = [{"grp": str(c), "n_valid": calls, "estimate": p, "half_width": pooled if scope == "pooled" else w, "half_width_own": w, "share": True} for c, (p, w) in shares.items()]
         if stop.reached(log.publish(step, calls, calls - before, cells, calls == total), step, calls):
             break
     log.details["draws"] = draws

@@ -6,11 +6,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import allocate
-from ..operators.estimate import Moments, StratumDraws, moments_of, stratified_filter, valid_mean
+from ..operators.estimate import Moments, StratumDraws, draw_moments, stratified_filter, valid_mean
 from ..operators.labelers import Labeler
 from ..operators.order import rank_pool
 from ..operators.stats import valid_rate
-from ..sources.store import saved
+from .layout import lay_out
 from .query import Clock, DrawLog, ProgressLog, Stop
 
 
@@ -51,15 +51,14 @@ def progressive_filter(
     mode 'strict' exhausts strata by falling pilot rate; 'proportional_to_rate' shares each batch by size times
     smoothed rate; 'random' ignores strata (the baseline). Both estimates are published: pooled over valid draws, and
     expanded by stratum; `estimator` names the one that stop rules look at. The last step of a full run is exact.
-    The pool is written once, sorted by stratum and position: a step reads few row groups of it, and texts of its
-    draws alone.
+    The table is written once in draw order (see layout), and a step reads its own range of each stratum it draws from.
     """
     spark, stop, clock = df.sparkSession, stop or Stop(), clock or Clock()
     flat = mode == "random" or stratum is None
-    pool = df.select(F.col(key).alias("key"), (F.lit(0) if flat else F.col(stratum)).alias("stratum"))
-    pool = saved(rank_pool(pool, "key", ["stratum"], seed).drop("draw_rank").repartitionByRange("stratum", "position").sortWithinPartitions("stratum", "position"), "pool")
-    sizes = {r.stratum: r.n for r in pool.groupBy("stratum").agg(F.count("*").alias("n")).collect()}
-    total = sum(sizes.values())
+    none = F.lit("" if not flat and dict(df.dtypes)[stratum] == "string" else -1)  # rows without a stratum are one
+    rows = lay_out(df, key, text, labeler, {"_stratum": F.lit(0) if flat else F.coalesce(F.col(stratum), none)}, {"_value": F.col(value).cast("double")}, batch=batch, seed=seed)
+    sizes = {h: n for (h,), n in rows.sizes().items()}
+    total = rows.total
     log = ProgressLog(spark, total, clock)
     if not total:
         return log
@@ -82,21 +81,13 @@ def progressive_filter(
             for h in order:
                 take[h] = min(rest, left[h])
                 rest -= take[h]
-        wanted = None
-        for h, n in take.items():
-            if n:
-                part = (F.col("stratum") == h) & (F.col("position") > drawn[h]) & (F.col("position") <= drawn[h] + n)
-                wanted = part if wanted is None else wanted | part
-        keys = pool.where(wanted).select("key", F.col("stratum").alias("_stratum"))
-        rows = df.drop("stratum").join(F.broadcast(keys) if sum(take.values()) <= 100_000 else keys, F.col(key) == F.col("key")).withColumn("stratum", F.col("_stratum"))
-        new = draws.append(step, labeler.label(rows.select("key", "stratum", *dict.fromkeys([key, text, value])), text).drop(*({text} - {value, key})))
-        for h, n in take.items():
+        labelled = labeler.label(rows.take({h: (drawn[h], drawn[h] + n) for h, n in take.items()}), text)
+        new = draws.append(step, labelled.select(key, F.col("_stratum").alias("stratum"), "_value", "label", "is_valid"))
+        found = draw_moments(new.withColumn("_hit", F.expr("coalesce(is_valid AND label, false)")), F.col("_hit"), F.col("_value"), "stratum", "_hit")
+        for (h, hit), (n, m) in found.items():
             drawn[h] += n
-        hit = new.where("is_valid AND label").withColumn("_v", F.col(value).cast("double"))
-        for r in hit.groupBy("stratum").count().collect():
-            valid[r.stratum] += r["count"]
-        for r in moments_of(hit, "_v", "stratum").collect():
-            held[r.stratum] += Moments(r.n, r["mean"], r.m2)
+            valid[h] += n if hit else 0
+            held[h] += m
         calls, n_valid = sum(drawn.values()), sum(valid.values())
         pooled = valid_mean(sum(held.values(), Moments()), alpha, None if not fpc else round(total * n_valid / calls))
         strata = [StratumDraws(sizes[h], drawn[h], held[h]) for h in sizes]

@@ -15,15 +15,19 @@ PROGRESS = "step int, calls bigint, calls_fraction double, grp string, n_valid b
 
 @dataclass(frozen=True)
 class Stop:
-    """Rules that end drawing; any one that holds does. bound is relative to the estimate, or absolute for shares."""
+    """Rules that end drawing; any one that holds does. bound is relative to the estimate, or absolute for shares; purity is
+    the greatest normalised heterogeneity that a stratum of a grouping may still have."""
 
     bound: float | None = None
     relative: bool = True
     budget: int | None = None
     max_steps: int | None = None
     min_valid: int = 30
+    purity: float | None = None
 
-    def reached(self, rows: list[dict], step: int, calls: int) -> bool:
+    def reached(self, rows: list[dict], step: int, calls: int, worst: float | None = None) -> bool:
+        if self.purity is not None and worst is not None and worst <= self.purity:
+            return True
         if self.budget is not None and calls >= self.budget:
             return True
         if self.max_steps is not None and step + 1 >= self.max_steps:
@@ -85,8 +89,9 @@ class ProgressLog:
         for step in sorted({r["step"] for r in self.rows}):
             yield self._frame([r for r in self.rows if r["step"] == step])
 
-    def frame(self) -> DataFrame:
-        return self._frame(self.rows)
+    def frame(self, half_width: str = "half_width") -> DataFrame:
+        """All answers; half_width names another interval that an engine has published beside its own, as half_width_own."""
+        return self._frame(self.rows if half_width == "half_width" else [{**r, "half_width": r.get(half_width)} for r in self.rows])
 
     def result(self) -> DataFrame:
         last = max((r["step"] for r in self.rows), default=0)

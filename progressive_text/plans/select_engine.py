@@ -5,10 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.estimate import Moments, moments_of, valid_mean
+from ..operators.estimate import Moments, StratumDraws, draw_moments, stratified_filter, valid_mean
 from ..operators.labelers import Labeler
-from ..operators.order import rank_pool
-from ..sources.store import saved
+from .layout import ALL, lay_out
 from .query import Clock, DrawLog, ProgressLog, Stop
 
 
@@ -18,39 +17,35 @@ def progressive_select(
 ) -> ProgressLog:
     """AVG, SUM or COUNT of valid extractions by group.
 
-    design 'uniform' draws from the whole table, 'by_group' as many from each group and step. The pool holds keys and
-    groups alone; texts are read for the drawn keys of a step. Empty tables give an empty log.
+    design 'uniform' draws from the whole table, 'by_group' as many from each group and step. SUM and COUNT expand a
+    group's draws to its rows, whose number is known: their intervals hold what the share of valid extractions varies by.
+    Empty tables give an empty log. Group columns may have any names; more than layout.MOST_GROUPS groups are refused.
     """
     spark, by, stop, clock = df.sparkSession, group_by or [], stop or Stop(), clock or Clock()
-    pool = df.select(F.col(key).alias("key"), *by)
-    pool = rank_pool(pool, "key", by if design == "by_group" else [], seed)
-    sizes = {tuple(r)[:-1]: r["n"] for r in pool.groupBy(*by).agg(F.count("*").alias("n")).collect()}
-    total = sum(sizes.values())
+    groups = {f"_g{i}": F.col(c) for i, c in enumerate(by)}
+    rows = lay_out(df, key, text, labeler, groups if design == "by_group" else {}, {} if design == "by_group" else groups, batch=batch, seed=seed)
+    total = rows.total
     log = ProgressLog(spark, total, clock)
     if not total:
         return log
+    sizes = rows.sizes(*groups) if groups else {(): total}
     batch = batch or max(1, total // 100)
     each = max(1, batch // len(sizes)) if design == "by_group" else batch
     steps = -(-(max(sizes.values()) if design == "by_group" else total) // each)
-    pool = saved(pool.withColumn("step", F.floor((F.col("position") - 1) / each).cast("int")).repartitionByRange("step").sortWithinPartitions("step"), "pool")
     draws, held, drawn, calls = DrawLog(spark), dict.fromkeys(sizes, Moments()), dict.fromkeys(sizes, 0), 0
     for step in range(steps):
-        keys = pool.where(F.col("step") == step).select("key")
-        rows = df.join(F.broadcast(keys) if each <= 100_000 else keys, F.col(key) == F.col("key"), "left_semi").select(key, text, *by)
-        new = draws.append(step, labeler.label(rows, text).drop(text))
-        for r in new.groupBy(*by).agg(F.count("*").alias("n")).collect():
-            drawn[tuple(r)[:-1]] += r["n"]
-        for r in moments_of(new.where("is_valid").withColumn("_v", F.col("label").cast("double")), "_v", *by).collect():
-            held[tuple(r)[:-3]] += Moments(r["n"], r["mean"], r["m2"])
-        before, calls = calls, sum(drawn.values())
+        new = draws.append(step, labeler.label(rows.take({ALL: (step * each, (step + 1) * each)}), text).select(key, *groups, "label", "is_valid"))
+        before = calls
+        for g, (n, m) in draw_moments(new, F.col("is_valid"), F.col("label"), *groups).items():
+            drawn[g] += n
+            held[g] += m
+        calls = sum(drawn.values())
         cells = []
         for g, m in held.items():
-            mean, width = valid_mean(m, alpha, sizes[g] if fpc else None)
-            scale = {"avg": 1.0, "sum": sizes[g] * m.n / max(1, drawn[g]), "count": 0.0}[agg]
-            if agg == "count":
-                mean, width = sizes[g] * m.n / max(1, drawn[g]), None
-            elif mean is not None:
-                mean, width = mean * scale, None if width is None else width * scale
+            if agg == "avg":
+                mean, width = valid_mean(m, alpha, sizes[g] if fpc else None)
+            else:
+                mean, width = stratified_filter([StratumDraws(sizes[g], drawn[g], m)], agg, alpha) if drawn[g] else (None, None)
             cells.append({"grp": ",".join(map(str, g)), "n_valid": m.n, "estimate": mean, "half_width": width})
         out = log.publish(step, calls, calls - before, cells, calls == total)
         if stop.reached(out, step, calls):

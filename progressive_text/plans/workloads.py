@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from dataclasses import dataclass, replace
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.extract import JsonExtractor, RegexExtractor
 from ..operators.embed import GivenVectors, HashedNgramEmbedder
-from ..operators.labelers import ExtractLabeler, Labeler, LookupLabeler, PredicateLabeler, RuleLabeler
+from ..operators.labelers import ExtractLabeler, Labeler, LookupLabeler, PredicateLabeler, RuleLabeler, ServiceLabeler, SimulatedService
 from ..functions import rules
 from ..operators.strata import kmeans_strata, strata_bounds
 from ..sources.store import saved
@@ -134,49 +136,122 @@ def run(w: Workload, method: str = "ours", stop: Stop | None = None, clock: Cloc
     return progressive_group(w.df, w.key, w.text, w.labeler, list(w.categories), w.value, "avg" if w.value else "proportion", config=config, stop=stop, clock=clock, seed=seed)
 
 
+def _union(rows: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, rows)
+
+
 def compare(w: Workload, methods: tuple[str, ...], bound: float = 0.05, column: str = "half_width", **how) -> DataFrame:
     """method, mean share of draws to the bound (null if not all groups reach it), final absolute error by group's mean."""
-    out, relative = None, w.kind != "group" or w.value is not None
+    out, relative = [], w.kind != "group" or w.value is not None
     for m in methods:
         log = run(w, m, **how)
-        frame = log.frame()
-        share = metrics.share_to_bound(frame, float(log.total), bound=bound, by=column if m != "random" else "half_width", relative=relative)
+        share = metrics.share_to_bound(log.frame(), float(log.total), bound=bound, by=column if m != "random" else "half_width", relative=relative)
+        error = metrics.absolute_error(log.result(), w.truth).agg(F.avg("error").alias("final_error"))
+        out.append(share.crossJoin(error).select(F.lit(w.name).alias("workload"), F.lit(m).alias("method"), "share", "speedup", "final_error", F.lit(log.total).cast("bigint").alias("n_rows")))
+    return _union(out)
+
+
+def compare_grouping(w: Workload, methods: tuple[str, ...] = ("ours", "static", "random"), bound: float = 0.05, config: GroupConfig | None = None, seed: int = 42) -> DataFrame:
+    """Mean share of draws to the bound of adjusted strata, strata as first clustered, and random draws, by like intervals.
+
+    interval 'own' has each category's variance, 'pooled' that of all categories added up; 'fresh' is the own interval of
+    the estimate that moved draws cannot bias (random draws have one estimate). A run goes on until the widest of them
+    holds, so all come from the same draws.
+    """
+    config, out = replace(config or GroupConfig(), scope="pooled"), []
+    for m in methods:
+        stop = Stop(bound=bound, relative=False)
+        if m == "random":
+            log = baselines.random_group(w.df, w.key, w.text, w.labeler, list(w.categories), round_fraction=config.round_fraction, stop=stop, seed=seed, scope="pooled")
+        else:
+            log = run(w, m, config=config, stop=stop, seed=seed)
         error = metrics.absolute_error(log.result(), w.truth).agg(F.avg("error").alias("final_error"))
-        row = share.crossJoin(error).select(F.lit(w.name).alias("workload"), F.lit(m).alias("method"), "share", "speedup", "final_error", F.lit(log.total).cast("bigint").alias("n_rows"))
-        out = row if out is None else out.unionByName(row)
-    return out
+        for interval in ("own", "pooled", *(("fresh",) if m != "random" else ())):
+            frame = log.frame("half_width_own" if interval == "own" else "half_width")
+            share = metrics.share_to_bound(frame, float(log.total), bound=bound, by="half_width_stratified" if interval == "fresh" else "half_width", relative=False)
+            out.append(share.crossJoin(error).select(F.lit(w.name).alias("workload"), F.lit(m).alias("method"), F.lit(interval).alias("interval"), "share", "speedup", "final_error"))
+    return _union(out)
+
+
+def error_against_draws(spark: SparkSession, d: str, strata: int = 5, batch_share: float = 0.05) -> DataFrame:
+    """Relative error of two averages (like and view counts) at each step, for priority and for random draws."""
+    out = []
+    for value in ("like_count", "view_count"):
+        w = with_strata(w5(spark, d, value), strata)
+        for m in ("ours", "random"):
+            log = run(w, m, batch_share=batch_share)
+            # the published mean, and beside it the expansion by stratum, which no order of draws can bias
+            for estimate in ("estimate", "estimate_stratified"):
+                rows = metrics.absolute_error(log.frame(), w.truth, estimate).select("step", "calls_fraction", "n_valid", "error", "relative_error")
+                out.append(rows.select(F.lit(value).alias("measure"), F.lit(m).alias("method"), F.lit(estimate).alias("form"), "*"))
+    return _union(out)
+
+
+def share_to_error(errors: DataFrame, bound: float = 0.01) -> DataFrame:
+    """Share of draws after which the relative error stays within the bound, by measure, method and form."""
+    over = Window.partitionBy("measure", "method", "form").orderBy(F.desc("step"))
+    good = errors.withColumn("_good", F.min((F.col("relative_error") <= bound).cast("int")).over(over))
+    return good.groupBy("measure", "method", "form").agg(F.min(F.when(F.col("_good") == 1, F.col("calls_fraction"))).alias("share"))
+
+
+def interval_panels(spark: SparkSession, d: str, batch_share: float = 0.05) -> DataFrame:
+    """Intervals against draws of four queries: two extractions, a filter and a grouping."""
+    out = []
+    for w, how in ((w1(spark, d), {}), (w2(spark, d), {}), (with_strata(w3(spark, d), 5), {}), (with_strata(w7(spark, d), 8), {"config": GroupConfig(h_max=16, gamma=0.97, scope="per_category")})):
+        log = run(w, batch_share=batch_share, **how)
+        shown = log.frame().select("step", "grp", "calls_fraction", "n_valid", "estimate", "half_width")
+        out.append(shown.select(F.lit(w.name).alias("workload"), "*"))
+    return _union(out)
 
 
 def ablation_strata(w: Workload, counts: tuple[int, ...] = (1, 2, 3, 4, 5, 8), **how) -> DataFrame:
-    out = None
-    for h in counts:
-        row = compare(with_strata(w, h), ("ours",), **how).withColumn("strata", F.lit(h))
-        out = row if out is None else out.unionByName(row)
-    return out
+    return _union([compare(with_strata(w, h), ("ours",), **how).withColumn("strata", F.lit(h)) for h in counts])
 
 
 def ablation_grouping(w: Workload, h0: tuple[int, ...] = (3, 6, 12, 24), theta: tuple[float, ...] = (0.15, 0.25, 0.35, 0.45, 0.55), gamma: tuple[float, ...] = (0.7, 0.8, 0.9, 0.95), base_h: int = 6, **how) -> DataFrame:
-    """One parameter at a time around the defaults."""
-    out, default = None, GroupConfig(gamma=0.95)
+    """One parameter at a time around the defaults; intervals are each category's own."""
+    out, default = [], GroupConfig(gamma=0.95, scope="per_category")
     grid = [("h0", h, h, default) for h in h0] + [("theta", t, base_h, replace(default, theta=t)) for t in theta] + [("gamma", g, base_h, replace(default, gamma=g)) for g in gamma]
-    index = {h: with_strata(w, h) for h in sorted({h for _, _, h, _ in grid})}
+    index, done = {h: with_strata(w, h) for h in sorted({h for _, _, h, _ in grid})}, {}
     for name, value, h, config in grid:
-        row = compare(index[h], ("ours",), config=replace(config, h_max=2 * h), **how).select(F.lit(name).alias("parameter"), F.lit(float(value)).alias("value"), "share", "final_error")
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
-def total_times(w: Workload, setup: float, seconds_per_call: float = 1.0, bound: float = 0.05) -> DataFrame:
-    """Virtual seconds of the naive scan, the batch system and ours (all draws, and to the bound)."""
-    log = run(w, clock=Clock(seconds_per_call, setup=setup))
-    full = Clock(seconds_per_call).full_scan(log.total)
-    reached = metrics.time_to_bound(log.frame(), bound, relative=w.kind != "group", cost="virtual_seconds").agg(F.max("cost").alias("s")).first().s
-    rows = [(w.name, "full_scan", full, None), (w.name, "batch_semantic", full, None), (w.name, "ours", log.seconds, reached)]
-    return w.df.sparkSession.createDataFrame(rows, "workload string, method string, total_seconds double, seconds_to_bound double")
-
-
-def scaleout(w: Workload, instances: tuple[int, ...] = (1, 2, 3, 4), serial_share: float = 0.3, bound: float = 0.05, **how) -> DataFrame:
-    """Virtual time to the same bound with more serving instances, a part of each call being serial."""
+        if (h, config) not in done:
+            done[h, config] = compare(index[h], ("ours",), config=replace(config, h_max=2 * h), **how).select("share", "final_error")
+        out.append(done[h, config].select(F.lit(name).alias("parameter"), F.lit(float(value)).alias("value"), "share", "final_error"))
+    return _union(out)
+
+
+def total_times(workloads: list[Workload], seconds_per_row: float = 0.002, bound: float = 0.05, batch_share: float = 0.1, **how) -> DataFrame:
+    """Wall seconds of the full scan, the batch system and ours, all of which run with a labeler that takes seconds_per_row
+    for each row; for ours also the share of draws and the estimated part of its time to the bound."""
+    rows = []
+    for w in workloads:
+        slow = SimulatedService(w.labeler, seconds_per_row, w.df.sparkSession.sparkContext.defaultParallelism, real=True)
+        answer = {"select": F.avg(F.col("label").cast("double")), "filter": F.avg(F.col(w.value or w.key).cast("double")), "group": F.count("*")}[w.kind].alias("answer")
+        by = list(w.group_by) if w.kind == "select" else ["label"]
+        where = "is_valid AND label" if w.kind == "filter" else "is_valid"
+
+        def scan(by=by, where=where, w=w, slow=slow, answer=answer):
+            return baselines.full_scan(w.df, slow, w.text, answer, by=[] if w.kind == "filter" else by, where=where, key=w.key).collect()
+
+        def batch(w=w, slow=slow, answer=answer):
+            if w.kind == "select":
+                return baselines.sem_map(w.df, slow, w.text, "label").where("is_valid").groupBy(*w.group_by).agg(answer).collect()
+            return (baselines.sem_filter(w.df, slow, w.text).agg(F.avg(w.value)) if w.kind == "filter" else baselines.sem_group(w.df, slow, w.text)).collect()
+
+        for method, f in (("full_scan", scan), ("batch_semantic", batch)):
+            start = time.perf_counter()
+            f()
+            rows.append((w.name, method, time.perf_counter() - start, None, None))
+        start = time.perf_counter()
+        log = run(replace(w, labeler=slow), batch_share=batch_share, **how)
+        seconds = time.perf_counter() - start
+        share = metrics.share_to_bound(log.frame("half_width_own" if w.kind == "group" else "half_width"), float(log.total), bound=bound, relative=w.kind != "group").first().share
+        rows.append((w.name, "ours", seconds, share, None if share is None else share * seconds))
+    return workloads[0].df.sparkSession.createDataFrame(rows, "workload string, method string, total_seconds double, share_to_bound double, seconds_to_bound double")
+
+
+def scaleout_model(w: Workload, instances: tuple[int, ...] = (1, 2, 3, 4), serial_share: float = 0.3, bound: float = 0.05, **how) -> DataFrame:
+    """A model, not a measure: virtual time to the same bound with more serving instances, a given part of a call being serial."""
     log, rows = run(w, **how), []
     relative = w.kind != "group"
     reached = metrics.time_to_bound(log.frame(), bound, relative=relative).agg(F.max("cost").alias("c")).first().c or log.total
@@ -189,5 +264,46 @@ def scaleout(w: Workload, instances: tuple[int, ...] = (1, 2, 3, 4), serial_shar
     return w.df.sparkSession.createDataFrame([(i, s, rows[0][1] / s) for i, s in rows], "instances int, virtual_seconds double, speedup double")
 
 
+def slow_client(answer: Callable[[str], object], seconds: float) -> Callable[[str], Callable[[list[str]], list]]:
+    """A stand-in for a served model: an endpoint answers one request at a time, `seconds` for each text of it."""
+
+    def client(endpoint: str) -> Callable[[list[str]], list]:
+        def ask(texts: list[str]) -> list:
+            time.sleep(seconds * len(texts))
+            return [answer(x) for x in texts]
+
+        return ask
+
+    return client
+
+
+def scaleout(w: Workload, answer: Callable[[str], object], label_type: str, instances: tuple[int, ...] = (1, 2, 3, 4), seconds: float = 0.02, bound: float = 0.05, steps: int | None = None, **how) -> DataFrame:
+    """Wall seconds of the same draws to the same bound (or of `steps` steps) through 1 to 4 served instances.
+
+    Laying out the table is timed apart: an index that later queries use again. Each instance is a task with one request
+    at a time, so the speed-up holds what Spark's own steps and uneven tasks cost.
+    """
+    rows, stop = [], Stop(bound=bound, relative=w.kind != "group", max_steps=steps)
+    for i in instances:
+        served = ServiceLabeler(slow_client(answer, seconds), tuple(f"instance-{j}" for j in range(i)), label_type, batch_size=4, max_inflight=1)
+        labeler = TimedLabeler(served if w.kind == "group" else PredicateLabeler(served, "true"))
+        start = time.perf_counter()
+        log = run(replace(w, labeler=labeler), stop=stop, **how)
+        rows.append((w.name, i, log.rows[-1]["calls"], time.perf_counter() - (labeler.first or start)))
+    first = rows[0][3]
+    return w.df.sparkSession.createDataFrame([(*r, first / r[3]) for r in rows], "workload string, instances int, calls bigint, seconds double, speedup double")
+
+
+class TimedLabeler(Labeler):
+    """Another labeler that knows when it was first asked."""
+
+    def __init__(self, base: Labeler):
+        self.base, self.first = base, None
+
+    def label(self, df: DataFrame, text: str = "text") -> DataFrame:
+        self.first = self.first or time.perf_counter()
+        return self.base.label(df, text)
+
+
 def bounds(w: Workload) -> tuple[int, int]:
     return strata_bounds(w.df.count(), max(2, len(w.categories)))

@@ -6,6 +6,7 @@ topic); another reads the transport and keeps moments by group as state. Both re
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
@@ -19,11 +20,30 @@ from ..operators.estimate import half_width
 from ..operators.labelers import Labeler
 
 
-def stage_draws(draws: DataFrame, path: str, step: str = "step") -> list[int]:
-    """Writes each step's rows as files of their own, oldest step first; returns the steps."""
-    steps = sorted(r[0] for r in draws.select(step).distinct().collect())
-    for s in steps:
-        draws.where(F.col(step) == s).coalesce(1).write.mode("append").parquet(path)
+def stage_draws(draws: DataFrame, path: str, step: str = "step", files_per_step: int = 1) -> list[int]:
+    """Writes each step's rows as files of their own, oldest step first; returns the steps.
+
+    One job writes all steps, a folder each, beside `path`; their files then move to `path` in order (names and times of
+    files only), so that a file source takes them step by step. A step is files_per_step tasks.
+    """
+    spark = draws.sparkSession
+    draft = f"{path.rstrip('/')}-draft"
+    names = [c for c in draws.columns if c != step]
+    dealt = draws.withColumn("_step", F.col(step)).withColumn("_file", F.pmod(F.xxhash64(*names), F.lit(files_per_step)))
+    dealt.repartition("_step", "_file").drop("_file").write.mode("overwrite").partitionBy("_step").parquet(draft)
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs
+    store = hadoop.Path(path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    store.mkdirs(hadoop.Path(path))
+    folders = {x.getPath().getName(): x.getPath() for x in store.listStatus(hadoop.Path(draft)) if x.isDirectory()}
+    steps = sorted(int(n.split("=")[1]) for n in folders if n.startswith("_step=") and n.split("=")[1].lstrip("-").isdigit())
+    now = int(time.time() * 1000) - 1000 * len(steps)
+    for i, s in enumerate(steps):
+        for x in store.listStatus(folders[f"_step={s}"]):
+            if not x.getPath().getName().startswith((".", "_")):
+                to = hadoop.Path(f"{path}/step-{s:06d}-{x.getPath().getName()}")
+                store.rename(x.getPath(), to)
+                store.setTimes(to, now + 1000 * i, -1)
+    store.delete(hadoop.Path(draft), True)
     return steps
 
 
