@@ -1,19 +1,26 @@
 """Near-duplicate documents from bottom-k sketches under one hash function.
 
-A document is the set of its word shingles, each a 64-bit hash. Sets that are equal form a class, and one of each class
-goes on. Its sketch is the k smallest values of its set, in one order for all: by how common a value is in the corpus
-(a count over all documents in a fixed number of cells), then by the hash. With k the size less what a partner must
-share, plus one, two sets that are similar enough share a retained value, so no link is lost. Inverted lists of the
-retained values give candidates: each list is first compared with its smallest member, then members that this did not
-join with the rest of their list are compared with all others of it. Only pairs whose sizes and places of the value
-leave room for a link count, and whose parity maps do (maps of two sets differ in no more bits than the sets differ in
-values), then those whose overlap of all retained values does. Estimates on the smallest hashes of
-the union of two sets drop hopeless pairs, exact Jaccard on the full sets confirms the others.
+A document is the set of its word shingles, each a 64-bit hash. Its sketch is the K smallest hashes, K being the same for
+all; a set of up to K values is its own sketch. Sets that are equal form a class, and classes are what is compared.
+
+Of two sets, the K smallest hashes of their union are a random sample of it, so the shared ones among them estimate the
+similarity, and both sketches hold them. At the threshold at least `least_shared` of them are shared (but for a
+probability below RISK for a linked pair; sets of up to K values leave nothing to chance). So two linked sketches overlap
+in that many values, and among their K - least_shared + 1 rarest values, in an order by commonness in the corpus that is
+the same for all, they share one. Inverted lists of these retained values give the candidates. A candidate is dropped if
+the sizes, the places of the value or the parity maps of the sets (which differ in no more bits than the sets do in
+values) leave no room for a link, then if its union sketch shares too few values. Where both sketches are whole sets that is the exact
+answer; for the others exact Jaccard on the full sets, from the texts, decides.
+
+Each list is first compared with its smallest member. Members that this did not join with it are then compared with all
+others of their list and neighbouring sizes, a long list in blocks.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from functools import lru_cache
+from math import exp, lgamma
 
 import numpy as np
 import pyarrow as pa
@@ -22,15 +29,16 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Memo, _arrow_schema, map_rows, saved
+from .common import _arrow_schema, saved
 
+#: Size of a sketch, and the probability that a linked pair shares fewer of its union's K smallest values than assumed.
+K, RISK = 128, 1e-15
 CELLS, CHUNKS = 1 << 22, 64
-#: Size of the sketches that estimates use, and how far below the threshold an estimate may fall: at k = 128 a pair at
-#: the threshold of 0.8 falls below 0.5 with a probability under 1e-13.
-ESTIMATE_K, SLACK = 128, 0.3
 #: Words of 64 bits in a parity map.
 PARITY = 8
 BITMAP_BUCKETS = 512
+#: Members of a list that one key of the second comparison holds, about.
+BLOCK = 1000
 
 
 def _mix(h: np.ndarray) -> np.ndarray:
@@ -58,36 +66,55 @@ def similar(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
     return 100 * both >= percent * (len(a) + len(b) - both) and both > 0
 
 
-def _signed(values: np.ndarray) -> list[int]:
-    return values.view(np.int64).tolist()
+@lru_cache(maxsize=1 << 16)
+def least_shared(n: int, percent: int, k: int = K) -> int:
+    """How many values the sketches of a set of n values and of any set linked with it share at the least.
 
+    Their union has at most n * 100 / percent values. Where it has no more than k, its sketch is all of it. Else the
+    shared ones among its k smallest are a draw without replacement, and this is the quantile of RISK.
+    """
+    exact, union = -(-percent * n // 100), min(n * 100 // percent, 1 << 20)
+    if union <= k:
+        return exact
+    shared = -(-percent * union // 100)
+    log = lambda a, b: lgamma(a + 1) - lgamma(b + 1) - lgamma(a - b + 1)
+    below, x = 0.0, max(0, k - (union - shared))
+    while True:
+        below += exp(log(shared, x) + log(union - shared, k - x) - log(union, k)) if x <= shared and k - x <= union - shared else 0.0
+        if below > RISK:
+            return max(1, min(exact, x))
+        x += 1
 
-def _survey(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n, print (128 bits of the set), and rows without id that hold a task's counts of values by cell."""
-    schema = "doc_id bigint, n bigint, print binary, chunk int, cells binary"
+
+def _sketched(docs: DataFrame, words: int) -> DataFrame:
+    """doc_id, n, print (128 bits of the set), sketch, parity map of each row, and rows without them that hold a task's
+    counts of retained values by cell. Whole texts are read here, once."""
+    schema = "doc_id bigint, n bigint, print binary, sketch binary, " + ", ".join(f"o{k} bigint" for k in range(PARITY)) + ", chunk int, cells binary"
     arrow = _arrow_schema(docs.sparkSession, schema)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells = np.zeros(CELLS, np.uint32)
+        cells, seen = np.zeros(CELLS, np.uint32), False
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
-                part, n, prints = batch.slice(at, 512), [], []
-                seen = []
+                part, n, prints, kept, maps = batch.slice(at, 512), [], [], [], []
                 for text in part.column(1).to_pylist():
                     values = shingle_set(text, words)
-                    seen.append(values % np.uint64(CELLS))
                     n.append(len(values))
                     prints.append(xxhash.xxh3_128_digest(values.tobytes()))
-                at_cell, times = np.unique(np.concatenate(seen).astype(np.int64), return_counts=True)
+                    kept.append(values[:K])
+                    bits = np.bincount((values >> np.uint64(40)).astype(np.int64) % (64 * PARITY), minlength=64 * PARITY) & 1
+                    maps.append(np.packbits(bits.astype(np.uint8)).view(np.int64))
+                at_cell, times = np.unique((np.concatenate(kept) % np.uint64(CELLS)).astype(np.int64), return_counts=True)
                 cells[at_cell] += times.astype(np.uint32)
-                yield pa.RecordBatch.from_pydict({"doc_id": part.column(0).to_pylist(), "n": n, "print": prints, "chunk": [None] * len(n), "cells": [None] * len(n)}, schema=arrow)
-        if cells.any():
-            size = CELLS // CHUNKS
-            pack = zstandard.ZstdCompressor(level=1)
-            rows = [{"chunk": k, "cells": pack.compress(cells[k * size : (k + 1) * size].tobytes())} for k in range(CHUNKS)]
-            yield pa.RecordBatch.from_pylist(rows, schema=arrow)
+                seen = seen or len(at_cell) > 0
+                odd, none = np.stack(maps), pa.nulls(len(n))
+                columns = [part.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), pa.array([x.tobytes() for x in kept], pa.binary()), *[pa.array(odd[:, k]) for k in range(PARITY)], none.cast(pa.int32()), none.cast(pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, schema=arrow)
+        if seen:
+            size, pack = CELLS // CHUNKS, zstandard.ZstdCompressor(level=1)
+            yield pa.RecordBatch.from_pylist([{"chunk": k, "cells": pack.compress(cells[k * size : (k + 1) * size].tobytes())} for k in range(CHUNKS)], schema=arrow)
 
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(run, schema)
 
 
 def _common(survey: DataFrame) -> np.ndarray:
@@ -113,83 +140,130 @@ def _common(survey: DataFrame) -> np.ndarray:
     return out
 
 
-def _sketches(docs: DataFrame, words: int, percent: int, common: np.ndarray) -> DataFrame:
-    """doc_id, n, the retained values in order, and the last one's place in the order, of every set that is not empty."""
-    held = docs.sparkSession.sparkContext.broadcast(common)  # CELLS numbers, whatever the data
+def _posted(classes: DataFrame, percent: int, common: np.ndarray) -> DataFrame:
+    """v, cls, h for the rarest values of each sketch: as many as make sure that two linked sets share one. h holds the
+    size, how many values of the sketch come from this one on, and how many a link must share."""
+    held = classes.sparkSession.sparkContext.broadcast(common)  # CELLS numbers, whatever the data
+    arrow = _arrow_schema(classes.sparkSession, "v bigint, cls bigint, h bigint")
 
-    def make():
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order = held.value
+        for batch in batches:
+            v, times, h = [], [], []
+            for n, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                values = np.frombuffer(data, np.uint64)
+                shared = least_shared(n, percent)
+                first = np.lexsort((values, order[(values % np.uint64(CELLS)).astype(np.int64)]))[: len(values) - shared + 1]
+                v.append(values[first])
+                times.append(len(first))
+                h.append((n << 20 | shared) + ((len(values) - np.arange(len(first), dtype=np.int64)) << 10))
+            if v:
+                columns = [pa.array(np.concatenate(v).view(np.int64)), pa.array(np.repeat(batch.column(0).to_numpy(), times)), pa.array(np.concatenate(h))]
+                yield pa.RecordBatch.from_arrays(columns, schema=arrow)
 
-        def each(c):
-            ids, sizes, kept, cells, last, maps = [], [], [], [], [], []
-            for doc_id, text in zip(c["doc_id"], c["text"], strict=True):
-                values = shingle_set(text, words)
-                n = len(values)
-                if n:
-                    k = n - -(-percent * n // 100) + 1
-                    count = order[(values % np.uint64(CELLS)).astype(np.int64)]
-                    first = np.lexsort((values, count))[:k]
-                    ids.append(doc_id)
-                    sizes.append(n)
-                    kept.append(_signed(values[first]))
-                    cells.append(int(count[first[-1]]))
-                    last.append(int(values[first[-1]]) - (1 << 63))
-                    bits = np.bincount((values >> np.uint64(40)).astype(np.int64) % (64 * PARITY), minlength=64 * PARITY) & 1
-                    maps.append(np.packbits(bits.astype(np.uint8)).view(np.int64).tolist())
-            words_of = {f"o{k}": [x[k] for x in maps] for k in range(PARITY)}
-            return {"doc_id": ids, "n": sizes, "kept": kept, "last_cell": cells, "last": last, **words_of}
+    return classes.select("cls", "n", "sketch").mapInArrow(run, "v bigint, cls bigint, h bigint")
 
-        return each
 
-    schema = "doc_id bigint, n bigint, kept array<bigint>, last_cell bigint, last bigint, " + ", ".join(f"o{k} bigint" for k in range(PARITY))
-    return map_rows(docs.select("doc_id", "text"), make, schema)
+def _col(x: str | Column) -> Column:
+    return F.col(x) if isinstance(x, str) else x
 
 
-def _confirm(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """Of pairs (a, b), those whose full sets are similar enough. Only texts of documents in pairs are moved: the others
-    are left out by a bitmap of hashed ids of a fixed size."""
+def _needed(percent: int, n: str | Column, m: str | Column) -> Column:
+    """Values that two sets of n and m must share to be linked."""
+    return F.ceil(F.lit(percent) * (_col(n) + _col(m)) / (100 + percent))
+
+
+def _parity(percent: int, n: str | Column, m: str | Column, a: str, b: str, names: list[str]) -> Column:
+    """The maps (or the same words of both) differ in no more bits than linked sets of these sizes may differ in values."""
+    bits = sum((F.bit_count(F.col(f"{a}{k}").bitwiseXOR(F.col(f"{b}{k}"))) for k in names), F.lit(0))
+    return bits <= _col(n) + _col(m) - 2 * _needed(percent, n, m)
+
+
+def _size(h: str) -> Column:
+    return F.shiftright(h, 20)
+
+
+def _possible(percent: int, a: str, b: str) -> Column:
+    """Sizes may be linked, and enough values are left in both sketches from the shared one on (it may be the first that
+    they share)."""
+    n, m = _size(a), _size(b)
+    left = lambda h: F.shiftright(h, 10).bitwiseAND(1023)
+    least = lambda h: F.col(h).bitwiseAND(1023)
+    return (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (F.least(left(a), left(b)) >= F.greatest(least(a), least(b)))
+
+
+def _star(posted: DataFrame) -> DataFrame:
+    """v, cls, h, head, hh, c for each member but the smallest of each inverted list of c members."""
+    lists = posted.groupBy("v").agg(F.min(F.struct("cls", "h")).alias("low"), F.count("*").alias("c")).where("c > 1")
+    lists = lists.select(F.col("v").alias("_v"), F.col("low.cls").alias("head"), F.col("low.h").alias("hh"), "c")
+    return posted.join(lists, F.col("v") == F.col("_v")).where("cls <> head").drop("_v")
+
+
+def _estimated(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Of pairs (a, b) those that the parity maps and the union sketch leave, with `sure`: both sketches are whole sets, so
+    the union sketch is the answer. No text is read."""
+    side = lambda x, *c: classes.select(F.col("cls").alias(x), *[F.col(k).alias(f"{x}_{k}") for k in c])
+    odd = [f"o{k}" for k in range(PARITY)]
+    near = pairs.join(side("a", "n", *odd), "a").join(side("b", "n", *odd), "b").where(_parity(percent, "a_n", "b_n", "a_", "b_", odd)).select("a", "b", "a_n", "b_n")
+    both = saved(near, "near").join(side("a", "sketch"), "a").join(side("b", "sketch"), "b").select("a", "b", "a_n", "b_n", "a_sketch", "b_sketch")
+    arrow = _arrow_schema(pairs.sparkSession, "a bigint, b bigint, sure boolean")
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b, sure = [], [], []
+            for x, y, n, m, p, q in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
+                p, q = np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)
+                if n <= K and m <= K:
+                    good, whole = similar(p, q, percent), True
+                else:
+                    union, whole = np.union1d(p, q)[:K], False
+                    shared = np.intersect1d(p, q, assume_unique=True)
+                    good = np.searchsorted(shared, union[-1], "right") >= max(least_shared(n, percent), least_shared(m, percent))
+                if good:
+                    a.append(x), b.append(y), sure.append(whole)
+            yield pa.RecordBatch.from_pydict({"a": a, "b": b, "sure": sure}, schema=arrow)
+
+    return both.mapInArrow(run, "a bigint, b bigint, sure boolean")
+
+
+def _confirmed(pairs: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """Of pairs (a, b), those whose full sets are similar enough. A class's set comes from a text of its document of smallest
+    id; only rows of documents in pairs are moved, the others are left out by a bitmap of hashed ids of a fixed size."""
     spark = docs.sparkSession
-    ids = pairs.select(F.col("a").alias("x")).union(pairs.select(F.col("b").alias("x")))
-    place = F.pmod(F.xxhash64("x"), F.lit(BITMAP_BUCKETS * 32768))
-    bits = ids.select(F.floor(place / 32768).cast("int").alias("bucket"), (place % 32768).alias("bit")).groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("bits"))
+    ids = pairs.select(F.col("a").alias("cls")).union(pairs.select(F.col("b").alias("cls"))).distinct()
+    wanted = saved(classes.select("cls", "rep", "print").join(ids, "cls", "left_semi"), "wanted")
+    place = F.pmod(F.xxhash64("rep"), F.lit(BITMAP_BUCKETS * 32768))
+    bits = wanted.select(F.floor(place / 32768).cast("int").alias("bucket"), (place % 32768).alias("bit")).groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("bits"))
     held = bytearray(BITMAP_BUCKETS * 4096)
     for r in bits.collect():  # BITMAP_BUCKETS rows of 4 KB at most
         held[r.bucket * 4096 : (r.bucket + 1) * 4096] = r.bits
     shared = spark.sparkContext.broadcast(bytes(held))
-    hashed = docs.select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(BITMAP_BUCKETS * 32768)).alias("place"))
+    hashed = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").where("doc_id IS NOT NULL").withColumn("place", F.pmod(F.xxhash64("doc_id"), F.lit(BITMAP_BUCKETS * 32768)))
+    schema = "doc_id bigint, print binary, full binary"
+    arrow = _arrow_schema(spark, schema)
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bitmap = np.frombuffer(shared.value, np.uint8)
         for batch in batches:
             at = batch.column(2).to_numpy()
-            yield batch.select([0, 1]).filter(pa.array((bitmap[at >> 3] >> (at & 7) & 1).astype(bool)))
-
-    texts = hashed.mapInArrow(run, "doc_id bigint, text string").dropDuplicates(["doc_id"])
-    texts = saved(texts, "texts")
-    joined = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a")
-    joined = joined.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
-
-    def make():
-        sets = Memo(lambda text: shingle_set(text, words), 256)
-
-        def one(x: str, y: str) -> bool:
-            a, b = shingle_set(x, words), sets[y]
-            if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
-                return False
-            least_a, least_b = a[:ESTIMATE_K], b[:ESTIMATE_K]
-            union = np.union1d(least_a, least_b)[:ESTIMATE_K]
-            both = np.isin(union, least_a, assume_unique=True) & np.isin(union, least_b, assume_unique=True)
-            if both.sum() < (percent / 100 - SLACK) * len(union):
-                return False
-            return similar(a, b, percent)
-
-        def each(c):
-            good = [one(x, y) for x, y in zip(c["text_a"], c["text_b"], strict=True)]
-            return {k: [v for v, g in zip(c[k], good, strict=True) if g] for k in ("a", "b")}
-
-        return each
+            left = batch.filter(pa.array((bitmap[at >> 3] >> (at & 7) & 1).astype(bool)))
+            for k in range(0, left.num_rows, 256):
+                part = left.slice(k, 256)
+                values = [shingle_set(x, words).tobytes() for x in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([xxhash.xxh3_128_digest(x) for x in values], pa.binary()), pa.array(values, pa.binary())], schema=arrow)
+
+    found = hashed.mapInArrow(sets, schema).join(wanted, "print")
+    found = saved(found.where("doc_id = rep").select("cls", "full").dropDuplicates(["cls"]), "full-sets")
+    joined = pairs.select("a", "b").join(found.select(F.col("cls").alias("a"), F.col("full").alias("full_a")), "a")
+    joined = joined.join(found.select(F.col("cls").alias("b"), F.col("full").alias("full_b")), "b").select("a", "b", "full_a", "full_b")
+    out = _arrow_schema(spark, "a bigint, b bigint")
+
+    def exact(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = [similar(np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64), percent) for x, y in zip(batch.column(2), batch.column(3), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(i).filter(pa.array(good, pa.bool_())) for i in (0, 1)], schema=out)
 
-    return map_rows(joined.select("a", "b", "text_a", "text_b"), make, "a bigint, b bigint")
+    return joined.mapInArrow(exact, "a bigint, b bigint")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -208,99 +282,75 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _needed(percent: int, n: str, m: str) -> Column:
-    """Values that two sets of n and m must share to be linked."""
-    return F.ceil(F.lit(percent) * (F.col(n) + F.col(m)) / (100 + percent))
-
-
-def _possible(percent: int, n: str, i: str, m: str, j: str) -> Column:
-    """Sizes may be linked, and enough values are left from the shared one on (it may be the first that they share)."""
-    sizes = F.least(n, m) * 100 >= F.greatest(n, m) * percent
-    return sizes & (F.least(F.col(n) - F.col(i), F.col(m) - F.col(j)) >= _needed(percent, n, m))
-
-
-def _parity(percent: int, n: str, m: str, a: str, b: str, names: list[str]) -> Column:
-    """The maps (or the same words of both) differ in no more bits than linked sets of these sizes may differ in values."""
-    bits = sum((F.bit_count(F.col(f"{a}{k}").bitwiseXOR(F.col(f"{b}{k}"))) for k in names), F.lit(0))
-    return bits <= F.col(n) + F.col(m) - 2 * _needed(percent, n, m)
-
-
-def _star(sketches: DataFrame, percent: int) -> DataFrame:
-    """v, doc, n, i, head, head_n, head_i, c for each member but the smallest of each inverted list of c members; i is the
-    value's place in the order of a member's set.
-
-    A list is kept for each value and class of sizes. Sets that can be linked are of one class, or the smaller one is of
-    the class below: so a set enters its own class by all retained values, and the next one by those that may be the
-    first that it shares with a larger set.
-    """
-    size_class = F.floor(F.log("n") / F.log(F.lit(100 / percent))).cast("int")
-    k = F.size("kept")
-    above = (F.col("n") - F.ceil(F.lit(2 * percent) * F.col("n") / (100 + percent)) + 1).cast("int")
-    keys = F.concat(F.transform("kept", lambda v: F.xxhash64(v, "class")), F.transform(F.slice("kept", F.lit(1), F.least(above, k)), lambda v: F.xxhash64(v, F.col("class") + 1)))
-    posted = sketches.withColumn("class", size_class).select(F.col("doc_id").alias("doc"), "n", k.alias("k"), F.posexplode(keys).alias("p", "v"))
-    posted = posted.select("doc", "v", (F.shiftleft("n", 31) + F.when(F.col("p") < F.col("k"), F.col("p")).otherwise(F.col("p") - F.col("k"))).alias("h"))  # n and i in one number
-    lists = posted.groupBy("v").agg(F.min("doc").alias("head"), F.min_by("h", "doc").alias("hh"), F.count("*").alias("c")).where("c > 1")
-    apart = lambda h, *names: [F.shiftright(h, 31).alias(names[0]), F.col(h).bitwiseAND((1 << 31) - 1).alias(names[1])]
-    return posted.join(lists, "v").where("doc <> head").select("v", "doc", *apart("h", "n", "i"), "head", *apart("hh", "head_n", "head_i"), "c")
-
-
-def _overlapping(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose retained values overlap so much that the sets can be linked: beyond the retained values of the
-    set whose last one comes first, only its own rest can be shared."""
-    side = lambda x, *c: sketches.select(F.col("doc_id").alias(x), *[F.col(k).alias(f"{x}_{k}") for k in c])
+def _unjoined(star: DataFrame, roots: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of list members that are not yet joined with the head of their list with the members of it that are
+    elsewhere too. The key is a list, a class of sizes (linked sets are of one class or of neighbouring ones) and, for
+    each BLOCK members of a long list, a part of them."""
+    root = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
     odd = [f"o{k}" for k in range(PARITY)]
-    near = pairs.join(side("a", "n", *odd), "a").join(side("b", "n", *odd), "b").where(_parity(percent, "a_n", "b_n", "a_", "b_", odd)).select("a", "b", "a_n", "b_n")
-    both = near.join(side("a", "kept", "last_cell", "last"), "a").join(side("b", "kept", "last_cell", "last"), "b")
-    rest = F.when(F.struct("a_last_cell", "a_last") <= F.struct("b_last_cell", "b_last"), F.col("a_n") - F.size("a_kept")).otherwise(F.col("b_n") - F.size("b_kept"))
-    overlap = F.size(F.array_intersect("a_kept", "b_kept"))
-    return both.where(overlap + rest >= _needed(percent, "a_n", "b_n")).select("a", "b")
+    rooted = star.where("c > 2").join(root("cls"), "cls", "left").join(root("head"), "head", "left")
+    rooted = saved(rooted.select("v", "cls", "h", "c", F.coalesce("cls_root", "cls").alias("r"), F.coalesce("head_root", "head").alias("hr")), "rooted")
+    open_lists = rooted.where("r <> hr").select("v").distinct()
+    grade = F.floor(F.log(_size("h").cast("double")) / F.log(F.lit(100 / percent)) + 1e-9).cast("int")
+    blocks = F.ceil(F.col("c") / BLOCK).cast("int")
+    members = rooted.join(open_lists, "v", "left_semi").join(classes.select("cls", *odd), "cls").withColumn("grade", grade)
+    members = saved(members.withColumn("part", F.pmod(F.xxhash64("cls"), blocks).cast("int")), "members")
+    left = members.where("r <> hr").select(F.col("cls").alias("a"), "h", "r", *odd, "v", F.explode(F.sequence(F.col("grade") - 1, F.col("grade") + 1)).alias("grade"), "c")
+    left = left.withColumn("part", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("c")
+    right = members.select("v", "grade", "part", F.col("cls").alias("b"), F.col("h").alias("g"), F.col("r").alias("s"), *[F.col(c).alias(f"b_{c}") for c in odd])
+    near = _parity(percent, _size("h"), _size("g"), "", "b_", odd)
+    pairs = left.join(right, ["v", "grade", "part"]).where((F.col("r") != F.col("s")) & _possible(percent, "h", "g") & near)
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _same_document(known: DataFrame, classes: DataFrame) -> DataFrame:
+    """Links (a, b) between the classes of a document that has several texts under one id."""
+    several = known.where("n > 0 AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("print").alias("low"), F.max("print").alias("high")).where("low <> high").select("doc_id")
+    own = known.where("n > 0").join(several, "doc_id", "left_semi").select("doc_id", "print").distinct().join(classes.select("print", "cls"), "print")
+    first = own.groupBy("doc_id").agg(F.min("cls").alias("a"))
+    return own.join(first, "doc_id").where("cls <> a").select("a", F.col("cls").alias("b"))
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row.
 
     Documents are linked where 100 x intersection >= percent x union. Null and empty texts have no shingles and are
-    linked with nothing. Rows of one id are one document for linking. Rows with a null id have a null component and are
-    kept; they link nothing.
+    linked with nothing. Equal texts, and texts of equal shingles, are one class, however many rows hold them. Rows of one
+    id are one document: it is linked by each of its texts, and each row has the n_shingles of its own text. Rows with a
+    null id have a null component and are kept; they link nothing. Other columns are left out, whatever their names. An
+    empty table gives an empty one. A text of any length is one row's work, and its sketch has K values.
     """
     docs = docs.select("doc_id", "text")
-    survey = saved(_survey(docs, words), "survey")
+    survey = saved(_sketched(docs, words), "sketches")
     common = _common(survey)
     known = survey.where("chunk IS NULL").select("doc_id", "n", "print")
-    classes = known.where("n > 0 AND doc_id IS NOT NULL").groupBy("print").agg(F.min("doc_id").alias("rep"))
-    classes = saved(classes, "classes")
-    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    sketches = saved(_sketches(docs, words, percent, common).join(reps, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "sketches")
-    star = saved(_star(sketches, percent), "star")
+    odd = [f"o{k}" for k in range(PARITY)]
+    own = survey.where("chunk IS NULL AND n > 0 AND doc_id IS NOT NULL").groupBy("print").agg(F.min("doc_id").alias("rep"), *[F.first(c).alias(c) for c in ("n", "sketch", *odd)])
+    classes = saved(own.withColumn("cls", F.monotonically_increasing_id()), "classes")  # written, so the numbers stay
+    star = saved(_star(_posted(classes, percent, common)), "star")
 
     def confirm(pairs: DataFrame) -> DataFrame:
-        return saved(_confirm(saved(_overlapping(pairs, sketches, percent), "overlapping"), docs, words, percent), "links")
+        left = saved(_estimated(pairs, classes, percent), "estimated")
+        return saved(left.where("sure").select("a", "b").union(_confirmed(left.where("NOT sure"), classes, docs, words, percent)), "links")
 
-    first = saved(star.where(_possible(percent, "n", "i", "head_n", "head_i")).select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct(), "pairs")
-    links = confirm(first)
+    first = saved(star.where(_possible(percent, "h", "hh")).select(F.col("head").alias("a"), F.col("cls").alias("b")).distinct(), "pairs")
+    links = confirm(first).union(_same_document(known, classes))
     roots = components(links)
-
-    # members that are not yet with the head of their list, against all other members that are elsewhere too
-    root = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
-    odd = ["o0", "o1"]  # enough for short texts, of which many are a little alike
-    rooted = star.where("c > 2").join(sketches.select(F.col("doc_id").alias("doc"), *odd), "doc").join(root("doc"), "doc", "left").join(root("head"), "head", "left")
-    rooted = saved(rooted.select("v", "doc", "n", "i", *odd, F.coalesce("doc_root", "doc").alias("r"), F.coalesce("head_root", "head").alias("hr")), "rooted")
-    members = rooted.select("v", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("i").alias("j"), F.col("r").alias("s"), *[F.col(c).alias(f"b_{c}") for c in odd])
-    second = rooted.where("r <> hr").select("v", F.col("doc").alias("a"), "n", "i", "r", *odd).join(members, "v")
-    second = second.where((F.col("r") != F.col("s")) & _possible(percent, "n", "i", "m", "j") & _parity(percent, "n", "m", "", "b_", odd))
-    second = second.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    second = saved(second.join(first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "pairs")
+    second = saved(_unjoined(star, roots, classes, percent).join(first, ["a", "b"], "left_anti"), "pairs")
     if not second.isEmpty():
         roots = components(links.union(confirm(second)))
 
-    # one id may hold several texts; its classes are one node
-    spread = classes.join(roots, classes.rep == roots.node, "left").select("print", "rep", F.coalesce("root", "rep").alias("root"))
-    out = known.join(spread, "print", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("n") > 0, F.col("root")), F.col("doc_id")).alias("component_id"))
-    out = out.withColumn("component_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")))
+    placed = classes.select("print", "cls", "rep").join(roots, F.col("cls") == F.col("node"), "left").withColumn("root", F.coalesce("root", "cls"))
+    least = placed.groupBy("root").agg(F.min("rep").alias("component"))
+    spread = placed.join(least, "root").select("print", "component")
+    out = known.join(spread, "print", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce(F.when(F.col("n") > 0, F.col("component")), F.col("doc_id"))).alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
-    """docs with the document of smallest id of each group, all columns."""
-    gone = near_duplicates(docs, words, percent).where("NOT kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """docs with the document of smallest id of each group, all its columns and all its rows (repeated rows too).
+
+    Rows without text or without an id stay; a document that has both empty and other texts goes or stays as a whole.
+    """
+    gone = near_duplicates(docs, words, percent).where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct()
+    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")

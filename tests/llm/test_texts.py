@@ -274,6 +274,91 @@ def test_near_duplicates_are_brute_force_ones(odd, docs, none, words):
             assert r.kept == (r.doc_id is None or r.doc_id == r.component_id)
 
 
+def test_least_shared_values():
+    rng = np.random.default_rng(3)
+    for n in (1, 2, 9, 60, 102):
+        assert near_dup.least_shared(n, 80) == -(-80 * n // 100)  # no set that is linked with one of these has a union beyond K
+    found = [near_dup.least_shared(n, 80) for n in (130, 200, 400, 5000, 10**6)]
+    assert found == sorted(found, reverse=True) and found[-1] > 55
+    for union in (250, 2000):
+        shared = -(-80 * union // 100)
+        draws = rng.hypergeometric(shared, union - shared, near_dup.K, 200_000)
+        assert draws.min() >= near_dup.least_shared(union * 80 // 100, 80)
+
+
+def test_links_of_long_texts_are_brute_force_ones(spark):
+    """Sets beyond a sketch: pairs on both sides of the threshold, and as many far from it."""
+    rng = np.random.default_rng(11)
+    data, at = [], 0
+    for size in (90, 125, 150, 400, 1500):
+        for edits in (0.02, 0.1, 0.11, 0.115, 0.12, 0.2):
+            words = [f"{size}-{edits}-{k}" for k in range(size)]
+            for _ in range(6):
+                changed = list(words)
+                for k in rng.choice(size, int(edits * size), replace=False):
+                    changed[k] = f"x{at}-{k}"
+                data.append((at, " ".join(changed)))
+                at += 1
+    df = spark.createDataFrame(data, "doc_id bigint, text string")
+    for words in (1, 2):
+        roots, _ = brute(data, words)
+        assert {r.doc_id: r.component_id for r in near_dup.near_duplicates(df, words=words).collect()} == roots
+        assert 5 < len(set(roots.values())) < len(data)
+
+
+def by_rows(held, words, percent=80):
+    """Components where rows of one id are one document, linked by each of its texts."""
+    alone = [(i, t) for i, (_, t) in enumerate(held)]
+    roots, _ = brute(alone, words, percent)
+    link = {}
+    for i, (doc_id, _) in enumerate(held):
+        link.setdefault(("set", roots.get(i, i)), set()).add(doc_id)
+    parent = {d: d for d, _ in held}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for ids in link.values():
+        low = min(map(find, ids))
+        for x in ids:
+            parent[find(x)] = low
+    return {d: find(d) for d in parent}
+
+
+def test_documents_with_several_texts(spark):
+    a, b = ([f"{c}{k}" for k in range(40)] for c in "ab")
+    near = lambda words, k: " ".join(w if i != k else "other" for i, w in enumerate(words))
+    held = [(1, " ".join(a)), (1, " ".join(b)), (2, near(b, 3)), (3, near(a, 5)), (4, "alone here"), (4, ""), (7, "quite another text"), (6, "alone here"), (6, "quite another text"), (5, None), (8, ""), (8, " ".join(f"z{k}" for k in range(30)))]
+    for order in (held, held[::-1]):
+        df = spark.createDataFrame(order, "doc_id bigint, text string")
+        got = near_dup.near_duplicates(df, words=2).collect()
+        assert len(got) == len(held)
+        assert {r.doc_id: r.component_id for r in got if r.n_shingles} == {1: 1, 2: 1, 3: 1, 4: 4, 6: 4, 7: 4, 8: 8}
+        assert {r.doc_id: r.component_id for r in got if r.n_shingles} == {k: v for k, v in by_rows([(d, t) for d, t in held if t], 2).items()}
+        assert {r.doc_id for r in near_dup.keep_one(df, words=2).collect()} == {1, 4, 5, 8}
+
+
+def test_long_list_of_unlinked_members(spark):
+    """A value that 20,000 sets hold and that is as rare as all others: no task holds the list, and no pair is emitted that
+    the sizes, places and maps rule out."""
+    n = 20_000
+    data = spark.range(n).selectExpr("id AS doc_id", "concat('shared words here ', concat_ws(' ', transform(sequence(0, 3 + cast(id % 5 as int)), k -> concat('u', id, '-', k)))) AS text")
+    twins = spark.range(0, n, 500).selectExpr("id + 1000000 AS doc_id", "concat('shared words here ', concat_ws(' ', transform(sequence(0, 3 + cast(id % 5 as int)), k -> concat('u', id, '-', k)))) AS text")
+    got = near_dup.near_duplicates(data.unionByName(twins), words=2)
+    assert got.where("component_id <> doc_id").select("doc_id", "component_id").exceptAll(spark.range(0, n, 500).selectExpr("id + 1000000", "id")).isEmpty()
+    assert got.where("NOT kept").count() == n // 500
+    posted = spark.range(4000).selectExpr("CAST(7 AS BIGINT) AS v", "id AS cls", "CAST((60 << 20) + (30 << 10) + 20 AS BIGINT) AS h")
+    star = near_dup._star(posted)
+    classes = posted.select("cls", *[F.expr(f"xxhash64(cls, {k})").alias(f"o{k}") for k in range(near_dup.PARITY)])
+    roots = spark.createDataFrame([(0, 0)], "node bigint, root bigint")
+    pairs = near_dup._unjoined(star, roots, classes, 80)
+    assert pairs.count() < 4000 * 4000 / 2000  # unlike maps: few of eight million pairs are left
+    plan = pairs._jdf.queryExecution().toString()
+    assert "CartesianProduct" not in plan and "NestedLoop" not in plan
+
+
 def test_chains_and_hot_groups(spark):
     rng = np.random.default_rng(5)
     base = [f"w{i}" for i in range(60)]
