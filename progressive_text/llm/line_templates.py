@@ -12,8 +12,10 @@ a band are compared; each with the earliest of its bands first, and what that le
 every length take part, and words end at any white space. Of lines of fewer than three words only runs of digits become
 wildcards, and only beside a letter: one long word of a script without spaces is not lost to its digits.
 
-Lines end at a line feed. In `recurring` words end at a space. Blank lines stay, and so do lines of fewer than `min_words` words. A null
-text stays null, rows with a null id stay as they are and count as no document, rows of one id are one document.
+Lines end at a line feed. In `recurring`, the plainer rule, words end at a space and lines of fewer than `min_words` words
+stay. Blank lines stay. A null text stays null, an empty one empty; rows with a null id stay as they are and count as no
+document; rows of one id, equal or not, are one document. Of equal lines in several documents that of the smallest id
+stays. A line of any length is one row's work. An empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -27,6 +29,10 @@ from .common import saved
 
 DEPTH, MIN_WORDS, SIMILARITY = 3, 3, 0.8
 WILDCARD = "<*>"
+#: Two bits of each word's hash, by its place: templates that differ in m places differ in no more than 2 m of them.
+BITS = "aggregate(transform(words, (w, i) -> shiftleft(w & 3L, cast(2 * i % 64 as int))), 0L, (s, x) -> s ^ x)"
+#: Templates of a band that one key of the second comparison holds, about; lines that make a template a hot one.
+BLOCK, HOT = 1000, 1_000_000
 #: White space but for U+0020, for regular expressions of Java and of DuckDB.
 WHITE = r"\t\x0b\x0c\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
 
@@ -69,8 +75,8 @@ def recurring(docs: DataFrame, similarity: float = SIMILARITY, min_words: int =
     templates = saved(seen.groupBy("leaf", "template", "n").agg(*ends), "templates")
     # leaves that more than one template and more than one document share
     open_leaves = templates.groupBy("leaf").agg(F.count("*").alias("k"), F.min("lo").alias("a"), F.max("hi").alias("b")).where("k > 1 AND a < b").select("leaf")
-    one_each = templates.join(open_leaves, "leaf", "left_semi").groupBy(F.col("lo").alias("doc_id")).agg(F.collect_set("template").alias("wanted"))
-    words = _lines(docs.select("doc_id", "text").join(one_each.select("doc_id"), "doc_id", "left_semi")).where(F.col("n") >= min_words)
+    one_each = templates.join(open_leaves, "leaf", "left_semi").select(F.col("lo").alias("doc_id"))
+    words = _lines(docs.select("doc_id", "text").join(one_each, "doc_id", "left_semi")).where(F.col("n") >= min_words)
     words = words.select("doc_id", "mask", "n", _leaf().alias("leaf"), F.xxhash64("mask").alias("template"))
     words = words.join(templates.join(open_leaves, "leaf", "left_semi").select("leaf", "template", F.col("lo").alias("doc_id")), ["leaf", "template", "doc_id"], "left_semi")
     words = words.dropDuplicates(["leaf", "template"]).select("leaf", "template", "n", F.posexplode(F.split("mask", " ")).alias("pos", "word"))
@@ -89,56 +95,81 @@ def like_lines(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id and `lines`, hashes of the lines whose template, or one alike, is in a document of smaller id."""
     lines = _all_lines(docs)
     seen = saved(lines.select("doc_id", F.xxhash64("line").alias("line"), _leaf().alias("leaf"), F.xxhash64("mask").alias("template"), "n"), "lines")
-    templates = saved(seen.groupBy("leaf", "template", "n").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")), "templates")
+    templates = saved(seen.groupBy("leaf", "template", "n").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count("*").alias("c")), "templates")
     most = (F.col("n") - F.ceil(similarity * F.col("n"))).cast("int")  # places that may differ
     leaves = templates.where(most > 0).groupBy("leaf").agg(F.count("*").alias("k"), F.min("lo").alias("a"), F.max("lo").alias("b")).where("k > 1 AND a < b").select("leaf")
     open_ones = templates.where(most > 0).join(leaves, "leaf", "left_semi").select("template", F.col("lo").alias("doc_id"))
     words = _all_lines(docs.select("doc_id", "text").join(open_ones.select("doc_id"), "doc_id", "left_semi"))
     words = words.select("doc_id", "mask", "n", _leaf().alias("leaf"), F.xxhash64("mask").alias("template")).join(open_ones, ["template", "doc_id"], "left_semi")
     hashes = F.transform(F.split("mask", " "), lambda x: F.xxhash64(x)).alias("words")
-    words = saved(words.dropDuplicates(["template"]).select("template", F.col("doc_id").alias("lo"), "leaf", "n", hashes), "words")
+    words = words.dropDuplicates(["template"]).select("template", F.col("doc_id").alias("lo"), "leaf", "n", hashes)
+    words = saved(words.withColumn("bits", F.expr(BITS)), "words")
     rest = F.greatest(F.col("n") - DEPTH, F.lit(0))
     start = lambda j: F.floor(rest * j / (most + 1)).cast("int")
     band = lambda j: F.xxhash64("leaf", j, F.slice("words", start(j) + DEPTH + 1, start(j + 1) - start(j)))
-    bands = words.select("template", "lo", F.explode(F.transform(F.sequence(F.lit(0), most), band)).alias("band"))
-    shared = bands.groupBy("band").agg(F.min(F.struct("lo", "template")).alias("head"), F.max("lo").alias("b")).where("head.lo < b").select("band", "head")
+    bands = words.select("template", "lo", "n", "bits", F.explode(F.transform(F.sequence(F.lit(0), most), band)).alias("band"))
+    shared = bands.groupBy("band").agg(F.min(F.struct("lo", "template", "bits")).alias("head"), F.max("lo").alias("b"), F.count("*").alias("k")).where("head.lo < b").select("band", "head", "k")
     members = saved(bands.join(shared, "band"), "bands")
+    near = lambda x, y: F.bit_count(F.col(x).bitwiseXOR(F.col(y))) <= 2 * most
     later = members.where("lo > head.lo")
-    like = _alike(later.select("template", F.col("head.template").alias("other")), words, similarity)
+    like = _alike(later.where(near("bits", "head.bits")).select("template", F.col("head.template").alias("other")).distinct(), words, similarity)
     like = saved(like, "like")
-    open_later = later.select("band", "template", "lo").join(like, "template", "left_anti")
-    earlier = members.select("band", F.col("template").alias("other"), F.col("lo").alias("other_lo"), "head").where("other <> head.template")
-    more = _alike(open_later.join(earlier, "band").where("other_lo < lo").select("template", "other"), words, similarity)
+    # a long band is met in parts, and pairs that the bits rule out are never rows
+    parts = F.ceil(F.col("k") / BLOCK).cast("int")
+    open_later = later.join(like, "template", "left_anti").select("template", "lo", "n", "bits", "band", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
+    earlier = members.where("template <> head.template").select("band", F.pmod(F.xxhash64("template"), parts).cast("int").alias("part"), F.col("template").alias("other"), F.col("lo").alias("other_lo"), F.col("bits").alias("other_bits"))
+    more = open_later.join(earlier, ["band", "part"]).where((F.col("other_lo") < F.col("lo")) & near("bits", "other_bits"))
+    more = _alike(more.select("template", "other").distinct(), words, similarity)
     lost = templates.where("lo < hi").select("template", F.col("lo").alias("first")).unionByName(like).unionByName(more)
-    lost = lost.groupBy("template").agg(F.min("first").alias("first"))
-    return seen.join(lost, "template").where("doc_id > first").groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
+    lost = lost.groupBy("template").agg(F.min("first").alias("first")).join(templates.select("template", (F.col("c") > HOT).alias("hot")), "template")
+    return _rows_of(seen, lost).where("doc_id > first").groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
+
+
+def _rows_of(seen: DataFrame, lost: DataFrame) -> DataFrame:
+    """doc_id, line, first of the lines of lost templates. A template of more than HOT lines would be one key of many rows:
+    there is at most one for each HOT lines of the corpus, so these few are broadcast, and the rows of the others joined."""
+    hot = lost.where("hot").select("template", "first")
+    rows = seen.select("doc_id", "line", "template")
+    others = rows.join(F.broadcast(hot.select("template")), "template", "left_anti").join(lost.where("NOT hot").select("template", "first"), "template")
+    return rows.join(F.broadcast(hot), "template").unionByName(others)
 
 
 def _alike(pairs: DataFrame, words: DataFrame, similarity: float) -> DataFrame:
     """template and `first`, the smallest document of its others that agree in enough places."""
     others = words.select(F.col("template").alias("other"), F.col("lo").alias("first"), F.col("words").alias("other_words"))
-    both = pairs.distinct().join(words.select("template", "n", "words"), "template").join(others, "other")
+    both = pairs.join(words.select("template", "n", "words"), "template").join(others, "other")
     same = F.size(F.filter(F.zip_with("words", "other_words", lambda x, y: x == y), lambda x: x))
     return both.where(same >= similarity * F.col("n")).groupBy("template").agg(F.min("first").alias("first"))
 
 
+def _free(columns: list[str], *names: str) -> list[str]:
+    """The names, each with as many underscores before it as no column of a table needs."""
+    held, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in held:
+            name = f"_{name}"
+        out.append(name)
+    return out
+
+
 def drop_recurring(docs: DataFrame, report: bool = False, by: Callable[..., DataFrame] = recurring, **how) -> DataFrame:
-    """docs without recurring lines. With `report`: doc_id, text, n_lines, n_dropped of all rows, those left empty too."""
-    lost = by(docs, **how).withColumnRenamed("doc_id", "_id").withColumnRenamed("lines", "_lost")
-    joined = docs.join(lost, F.col("doc_id") == F.col("_id"), "left")
-    split = F.split("text", "\n")
-    kept = F.when(F.col("_lost").isNull(), split).otherwise(F.filter(split, lambda x: ~F.array_contains("_lost", F.xxhash64(x))))
-    joined = joined.withColumn("_kept", kept)
-    text = F.when(F.col("_lost").isNull(), F.col("text")).otherwise(F.array_join("_kept", "\n"))
+    """docs without recurring lines, all its columns under their names, whatever those are; a document that loses all its
+    lines goes, and n_chars (if it is there) follows the text. With `report`: doc_id, text, n_lines, n_dropped of all rows,
+    those left empty too."""
+    own_id, gone, left_lines = _free(docs.columns, "_id", "_lost", "_kept")
+    lost = by(docs.select("doc_id", "text"), **how).withColumnRenamed("doc_id", own_id).withColumnRenamed("lines", gone)
+    joined = docs.join(lost, F.col("doc_id") == F.col(own_id), "left")
+    split, same = F.split("text", "\n"), F.col(gone).isNull()
+    joined = joined.withColumn(left_lines, F.when(same, split).otherwise(F.filter(split, lambda x: ~F.array_contains(gone, F.xxhash64(x)))))
+    text = F.when(same, F.col("text")).otherwise(F.array_join(left_lines, "\n"))
     if report:
         count = lambda c: F.coalesce(F.size(c), F.lit(0)).cast("bigint")
         n_lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(count(split)).cast("bigint")
-        n_kept = F.when(F.col("text").isNull(), F.lit(0)).otherwise(count(F.col("_kept"))).cast("bigint")
+        n_kept = F.when(F.col("text").isNull(), F.lit(0)).otherwise(count(F.col(left_lines))).cast("bigint")
         return joined.select("doc_id", text.alias("text"), n_lines.alias("n_lines"), (n_lines - n_kept).alias("n_dropped"))
-    left = F.col("_lost").isNull() | (F.trim(F.array_join("_kept", "")) != "")
+    left = same | (F.trim(F.array_join(left_lines, "")) != "")
     fields = [F.col(c) for c in docs.columns]
     if "n_chars" in docs.columns:
-        same = F.col("_lost").isNull()
         fields = [F.when(same, F.col(c)).otherwise(F.length(text)).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
     fields = [text.alias("text") if c == "text" else f for c, f in zip(docs.columns, fields, strict=True)]
     return joined.where(left).select(*fields)

@@ -18,8 +18,7 @@ def _quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_classifier": _quality,
     "op2_byte_bpe": lambda spark, d: byte_bpe.round_trip(documents(spark, d)),
-    "op3_line_dedup": lambda spark, d: line_templates.drop_recurring(documents(spark, d), report=True),
-    "op3_like_lines": lambda spark, d: line_templates.drop_recurring(documents(spark, d), report=True, by=line_templates.like_lines),
+    "op3_line_dedup": lambda spark, d: line_templates.drop_recurring(documents(spark, d), report=True, by=line_templates.like_lines),
     "op4_sharding": lambda spark, d: shard_table.store_and_read(documents(spark, d)),
     "op5_best_fit_packing": lambda spark, d: packing.pack(documents(spark, d)),
     "op6_token_counts": lambda spark, d: token_counts.count_tokens(documents(spark, d)),
@@ -29,4 +28,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_media_columns": lambda spark, d: media.store_and_describe(documents(spark, d), media.BOTH),
 }
 
-ORACLES: dict[str, str] = {"op3_line_dedup": line_templates.ORACLE_SQL, "op3_like_lines": line_templates.LIKE_SQL, "op4_sharding": shard_table.ORACLE_SQL}
+ORACLES: dict[str, str] = {"op3_line_dedup": line_templates.LIKE_SQL, "op4_sharding": shard_table.ORACLE_SQL}

@@ -32,6 +32,13 @@ def test_oracle(spark, name):
     assert sorted(got.columns) == sorted(want.columns) and line(got) == line(want)
 
 
+def test_plainer_line_rule_is_its_sql(spark):
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{SF}/documents.parquet'")
+    got = Counter(tuple(r) for r in line_templates.drop_recurring(spark.read.parquet(f"{SF}/documents.parquet"), report=True).collect())
+    assert got == Counter(con.sql(line_templates.ORACLE_SQL).fetchall())
+
+
 # quality
 
 
@@ -104,6 +111,23 @@ def test_like_lines_of_many_variants(spark, none, odd):
     assert line_templates.drop_recurring(none, by=line_templates.like_lines).count() == 0
 
 
+def test_like_lines_in_parts_of_a_band_and_hot_templates(spark, odd, monkeypatch):
+    rng = np.random.default_rng(9)
+    middle = "in the very middle of it all"
+    held = [f"all begin so {a} {b} {c} {middle} {d} {e} {f} {g}" for a, b, c, d, e, f, g in rng.integers(0, 10, (300, 7)).astype(str)]
+    held = [" ".join("abcdefghij"[int(w)] if w.isdigit() else w for w in x.split()) for x in held]
+    df = spark.createDataFrame(list(enumerate(held)), "doc_id bigint, text string").withColumns({"_id": F.lit(1), "_LOST": F.lit("x"), "_kept": F.lit(2)})
+    want = {i for i, x in enumerate(held) if any(5 * sum(p == q for p, q in zip(x.split(), y.split(), strict=True)) >= 4 * len(x.split()) for y in held[:i])}
+    for block, hot in ((1000, 10**6), (7, 0)):
+        monkeypatch.setattr(line_templates, "BLOCK", block)
+        monkeypatch.setattr(line_templates, "HOT", hot)
+        got = line_templates.drop_recurring(df, by=line_templates.like_lines)
+        assert {r.doc_id for r in got.collect()} == set(range(300)) - want and got.columns == df.columns
+    assert 50 < len(want) < 290
+    out = line_templates.drop_recurring(odd, by=line_templates.like_lines)
+    assert out.columns == odd.columns
+
+
 def test_like_lines_are_those_of_all_pairs(spark):
     rng = np.random.default_rng(7)
     data = []
