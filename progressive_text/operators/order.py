@@ -29,9 +29,9 @@ def slice_of(rank: str | Column, slices: int = SLICES) -> Column:
 
 
 def slices_for(total: int, batch: int = SLICE_ROWS) -> int:
-    """Slices for a table of `total` rows that is drawn from in batches: no slice is much larger than SLICE_ROWS or, beyond a
-    thousand rows, than a batch."""
-    return max(1, min(65536, -(-total // min(SLICE_ROWS, max(1000, batch)))))
+    """Slices for a table of `total` rows that is drawn from in batches: a slice holds some batches, and few more than
+    SLICE_ROWS rows."""
+    return max(1, min(65536, -(-total // min(SLICE_ROWS, max(8000, 8 * batch)))))
 
 
 def positions(df: DataFrame, by: Sequence[str], rank: str = "draw_rank", slices: int = SLICES, name: str = "position") -> DataFrame:

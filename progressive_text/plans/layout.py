@@ -66,6 +66,7 @@ def lay_out(df: DataFrame, key: str, text: str, labeler: Labeler, strata: dict[s
     ready = labeler.prepare(df)
     own = [c for c in ready.columns if c.startswith("_truth")]
     columns = [F.col(c) for c in dict.fromkeys([key, text])] + [c.alias(n) for n, c in (strata | (more or {})).items()]
-    ranked = positions(ready.select(*columns, *own, draw_rank(key, seed).alias("_rank")), list(strata), "_rank", slices_for(total, batch), "_position")
-    rows_in_group = max(100, min(batch, 1_000_000))
+    slices = slices_for(total, batch)
+    ranked = positions(ready.select(*columns, *own, draw_rank(key, seed).alias("_rank")), list(strata), "_rank", slices, "_position")
+    rows_in_group = max(100, min(batch, total // slices // 8))  # many to a slice: few row groups hold the ends of two
     return Layout(saved(ranked, "draw-order", options={"parquet.block.row.count.limit": str(rows_in_group)}), tuple(strata), total)

@@ -4,21 +4,30 @@ from __future__ import annotations
 
 from math import isclose
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from progressive_text.functions import rules
 from progressive_text.functions.extract import JsonExtractor
 from progressive_text.operators import refine
+from progressive_text.operators.embed import HashedNgramEmbedder, ModelEmbedder
 from progressive_text.operators.labelers import CachedLabeler, ExtractLabeler, LookupLabeler, NoisyLabeler, PredicateLabeler, RuleLabeler, ServiceLabeler, SimulatedService
-from progressive_text.operators.order import draw_rank, positions, rank_pool, take_next
+from progressive_text.operators.order import draw_rank, positions, rank_pool, slices_for, take_next
+from progressive_text.operators.stats import group_states
 from progressive_text.operators.strata import assign_nearest, column_strata, kmeans_strata, lloyd_strata, overlay
 from progressive_text.plans import baselines, filter_engine, group_engine, metrics, select_engine
-from progressive_text.plans.query import ProgressiveQuery, Stop
+from progressive_text.plans import workloads as W
+from progressive_text.plans.layout import ALL, lay_out
+from progressive_text.plans.query import DrawLog, ProgressiveQuery, Stop
 from progressive_text.plans.sql import progressive, register
 from progressive_text.sources.store import new_path
 from progressive_text.sources.tables import labelled, table
 
 
+CATEGORIES = [str(i) for i in range(10)]
+
+
 @pytest.fixture(scope="module")
 def docs(spark):
     return labelled(spark, "/root/testdata/sf0.001").cache()
@@ -202,3 +211,208 @@ def test_sql_surface(spark, docs, sf):
     assert isclose(log.rows[-1]["estimate"], want)
     query = ProgressiveQuery("filter", column_strata(docs, "lang"), {"key": "doc_id", "text": "text", "labeler": good(docs), "value": "n_chars", "batch": 60})
     assert query.run(Stop(max_steps=1)).rows[-1]["step"] == 0
+
+
+def rows_read(spark, df) -> int:
+    """Rows that the scans of a frame give, by the metrics of its plan."""
+    df.collect()
+    found, todo = 0, [df._jdf.queryExecution().executedPlan()]
+    while todo:
+        node = todo.pop()
+        if node.getClass().getSimpleName() == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+            continue
+        if node.getClass().getSimpleName().endswith("QueryStageExec"):
+            todo.append(node.plan())
+            continue
+        if node.getClass().getSimpleName() == "FileSourceScanExec":
+            found += node.metrics().apply("numOutputRows").value()
+        children = node.children()
+        todo += [children.apply(i) for i in range(children.size())]
+    return found
+
+
+def test_a_step_reads_about_its_draws(spark):
+    docs = column_strata(table(spark, "/root/testdata/sf0.1", "documents"), "lang")
+    rows = lay_out(docs, "doc_id", "text", RuleLabeler(F.lit(True)), {"_stratum": F.col("stratum")}, {"_value": F.col("n_chars").cast("double")}, batch=100)
+    sizes = {h: n for (h,), n in rows.sizes().items()}
+    assert rows.total == sum(sizes.values()) == 10_000
+    one = rows.take({1: (1000, 1100)})
+    assert one.count() == 100 and rows_read(spark, one) <= 500
+    pilot = rows.take({h: (0, n // 20) for h, n in sizes.items()})
+    assert pilot.count() == sum(n // 20 for n in sizes.values()) and rows_read(spark, pilot) <= 2000
+    plan = one._jdf.queryExecution().toString()
+    assert "GreaterThan(_position,1000)" in plan and "EqualTo(_stratum,1)" in plan
+    whole = lay_out(docs, "doc_id", "text", RuleLabeler(F.lit(True)), {}, batch=100)
+    assert rows_read(spark, whole.take({ALL: (5000, 5100)})) <= 500
+
+
+def test_texts_move_once_when_they_are_laid_out(spark, sf):
+    docs = column_strata(table(spark, sf, "documents"), "lang")
+    plan = positions(docs.select("doc_id", "text", "stratum", draw_rank("doc_id").alias("_rank")), ["stratum"], "_rank", 4, "_position")._jdf.queryExecution().executedPlan().toString()
+    moved = [x for x in plan.split("\n") if "Exchange hashpartitioning" in x and "_slice" in x.split("), ENSURE")[0]]
+    assert len(moved) == 2 and "rangepartitioning" not in plan  # the rows, and the counts by slice
+    assert slices_for(10**11, 10**9) == 65536 and slices_for(10**7, 10**5) == 13 and slices_for(50, 5) == 1 and slices_for(0, 1) == 1
+
+
+def test_names_of_user_columns_do_not_clash(spark, docs):
+    truth = docs.where("quality = 1").agg(F.avg("n_chars")).first()[0]
+    odd = column_strata(docs, "lang").select("doc_id", "text", F.col("stratum").alias("key"), F.col("n_chars").alias("label"), F.lit("x").alias("is_valid"), F.lit(1).alias("step"), F.lit(3).alias("stratum"), F.lit(2).alias("_lost"), F.lit(9).alias("position"))
+    for mode in ("strict", "random"):
+        last = filter_engine.progressive_filter(odd, "doc_id", "text", good(docs), "label", stratum="key", batch=60, mode=mode).rows[-1]
+        assert isclose(last["estimate"], truth)
+    log = select_engine.progressive_select(odd.withColumn("event", F.concat(F.lit("{\"k\": "), F.col("label") % 50, F.lit("}"))), "doc_id", "event", ExtractLabeler(JsonExtractor("k INT", "k", 0, 99)), ["step", "is_valid"], batch=60)
+    want = docs.agg(F.avg(F.col("n_chars") % 50)).first()[0]
+    assert log.rows[-1]["grp"] == "1,x" and isclose(log.rows[-1]["estimate"], want)
+    labeler = LookupLabeler(docs.select("doc_id", "class3"), "doc_id", "class3")
+    log = group_engine.progressive_group(odd, "doc_id", "text", labeler, ["clean", "junk", "toxic"], "label", "avg", stratum="key", config=group_engine.GroupConfig(adjust=False, round_fraction=0.5))
+    want = {r.class3: r.m for r in docs.groupBy("class3").agg(F.avg("n_chars").alias("m")).collect()}
+    assert all(isclose(r["estimate"], want[r["grp"]]) for r in log.rows if r["is_final"])
+    with pytest.raises(ValueError):
+        filter_engine.progressive_filter(odd, "label", "text", good(docs), "key")
+
+
+def test_strata_may_be_null_and_are_not_too_many(spark, docs):
+    holed = column_strata(docs, "lang").withColumn("stratum", F.when(F.col("stratum") > 0, F.col("stratum")))
+    last = filter_engine.progressive_filter(holed, "doc_id", "text", good(docs), "n_chars", batch=60).rows[-1]
+    assert last["calls"] == docs.count()
+    with pytest.raises(ValueError):
+        column_strata(docs, "doc_id", most=10)
+
+
+@pytest.mark.parametrize("how", [{"refresh_rates": True}, {"fpc": True}, {"estimator": "stratified"}])
+def test_filter_variants(docs, how):
+    log = filter_engine.progressive_filter(column_strata(docs, "lang"), "doc_id", "text", good(docs), "n_chars", batch=20, **how)
+    truth = docs.where("quality = 1").agg(F.avg("n_chars")).first()[0]
+    assert isclose(log.rows[-1]["estimate"], truth) and log.rows[-1]["calls"] == docs.count()
+    plain = filter_engine.progressive_filter(column_strata(docs, "lang"), "doc_id", "text", good(docs), "n_chars", batch=20)
+    if "fpc" in how:
+        assert log.rows[-1]["half_width"] == 0 and all(a["half_width"] <= b["half_width"] for a, b in zip(log.rows, plain.rows, strict=True) if a["half_width"] is not None)
+    if "estimator" in how:
+        assert [r["estimate"] for r in log.rows] == [r["estimate_stratified"] for r in plain.rows]
+
+
+def test_sum_and_count_of_a_projection(spark, sf):
+    events = table(spark, sf, "events")
+    labeler = ExtractLabeler(JsonExtractor("k INT", "k", 20, 99))
+    k = F.get_json_object("props", "$.k").cast("int")
+    want = events.where(k.between(20, 99)).agg(F.sum(k).alias("sum"), F.count("*").alias("count")).first()
+    for agg in ("sum", "count"):
+        inside = 0
+        for seed in range(6):
+            log = select_engine.progressive_select(events, "event_id", "props", labeler, agg=agg, batch=200, seed=seed, stop=Stop(max_steps=1))
+            r = log.rows[0]
+            inside += abs(r["estimate"] - want[agg]) <= r["half_width"]
+        assert inside >= 4
+        log = select_engine.progressive_select(events, "event_id", "props", labeler, agg=agg, batch=200, stop=Stop(bound=0.5))
+        assert len(log.rows) == 1  # COUNT has an interval that a bound can end it by
+        assert isclose(select_engine.progressive_select(events, "event_id", "props", labeler, agg=agg, batch=500).rows[-1]["estimate"], want[agg])
+
+
+def test_purity_ends_a_grouping(spark, docs):
+    labeler = LookupLabeler(docs.select("doc_id", "lang"), "doc_id", "lang")
+    df = column_strata(docs, "lang")
+    log = group_engine.progressive_group(df, "doc_id", "text", labeler, ["de", "en", "es", "fr"], config=group_engine.GroupConfig(adjust=False, round_fraction=0.2), stop=Stop(purity=0.1, relative=False))
+    assert log.rows[-1]["step"] == 0 and log.details["purity"][0]["worst"] == 0
+    smooth = group_engine.progressive_group(df, "doc_id", "text", labeler, ["de", "en", "es", "fr"], config=group_engine.GroupConfig(adjust=False, round_fraction=0.2, smoothing=1.0, floor=0))
+    assert smooth.rows[-1]["is_final"]
+
+
+def test_lookalikes_of_many_vectors(spark):
+    rng = np.random.default_rng(1)
+    base = rng.normal(size=(40, 16))
+    vectors = [(i, int(i % 3), [float(x) for x in base[i % 40] + rng.normal(size=16) * 0.25]) for i in range(600)]
+    pool = spark.createDataFrame(vectors[60:], "key bigint, stratum int, embedding array<double>")
+    few = spark.createDataFrame([(k, h, "y", v) for k, h, v in vectors[:60]], "key bigint, stratum int, label string, embedding array<double>")
+    want = {r.key for r in refine.lookalikes(pool, few, 0.85, method="matrix").collect()}
+    assert 20 < len(want) < 500
+    for method in ("join", "prune"):
+        assert {r.key for r in refine.lookalikes(pool, few, 0.85, method=method).collect()} == want
+    found = {r.key for r in refine.lookalikes(pool, few, 0.85, method="lsh").collect()}
+    assert found <= want and len(found) >= 0.8 * len(want)
+    none = few.withColumn("embedding", F.lit(None).cast("array<double>"))
+    assert all(refine.lookalikes(pool, none, 0.85, method=m).count() == 0 for m in ("lsh", "matrix", "join", "prune"))
+
+
+@pytest.mark.parametrize("way", ["keep", "nearest"])
+def test_merge_without_a_stratum_of_that_category(way):
+    means = {0: np.array([1.0, 0.0]), 1: np.array([0.0, 1.0]), 2: np.array([0.7, 0.7])}
+    got = refine.merge_target("x", np.array([0.1, 0.9]), 0, {0: "x", 1: "y", 2: "z"}, means, way)
+    assert got == (1 if way == "nearest" else None)
+
+
+def test_moves_keep_rows_draws_and_means(spark):
+    """After rounds of splits and merges: sizes, mean vectors and undrawn rows are those of the assignment."""
+    e = table(spark, "/root/testdata/sf0.001", "embeddings").select("vec_id", "embedding", F.col("label").cast("string").alias("kind")).where("vec_id < 300")
+    strata, _ = kmeans_strata(e, 4)
+    labeler = LookupLabeler(e.select("vec_id", "kind"), "vec_id", "kind")
+    rows = lay_out(strata, "vec_id", "kind", labeler, {"_stratum": F.col("stratum")}, {"_vector": F.col("embedding")}, 0.2)
+    held, draws = group_engine.Strata(rows, "vec_id", {h: n for (h,), n in rows.sizes().items()}), DrawLog(spark)
+    config = group_engine.GroupConfig(h_max=6, gamma=0.2, theta=0.1)
+    for t in range(4):
+        drawn = draws.all().count() if t else 0
+        states = group_states(held.placed(draws), held.sizes, CATEGORIES) if t else {}
+        left = {h: n - (states[h].n_drawn if t else 0) for h, n in held.sizes.items()}
+        take = {h: min(10, n) for h, n in left.items()}
+        new = draws.append(t, labeler.label(held.next_rows(take, draws), "kind").select("vec_id", "stratum", "_first", "_position", "_rank", "_vector", "label", "is_valid"))
+        assert {r.stratum: r["count"] for r in new.groupBy("stratum").count().collect()} == {h: n for h, n in take.items() if n}
+        held.advance(new)
+        assert draws.all().select("vec_id").distinct().count() == drawn + sum(take.values())
+        now = {r.key: r.stratum for r in held.assignment().collect()}
+        ids = {r.vec_id for r in draws.all().collect()}
+        assert {(r.key, r.stratum) for r in held.undrawn(list(held.sizes), draws).collect()} == {(k, h) for k, h in now.items() if k not in ids}
+        states = group_states(held.placed(draws), held.sizes, CATEGORIES)
+        actions = group_engine._adjust(held, draws, new, states, sorted(held.sizes), config, t)
+        now = {r.key: r.stratum for r in held.assignment().collect()}
+        assert len(now) == 300 and held.sizes == {h: list(now.values()).count(h) for h in set(now.values())} and len(held.sizes) <= 6
+        means = held.mean_vectors()
+        vectors = {r.vec_id: np.array(r.embedding) / np.linalg.norm(r.embedding) for r in e.collect()}
+        for h in held.sizes:
+            assert np.allclose(means[h], np.mean([vectors[k] for k, g in now.items() if g == h], axis=0), atol=1e-6)
+    assert {a["action"] for a in actions} <= {"merge", "none", "split"}
+
+
+def test_comparisons_use_like_intervals(spark):
+    got = W.compare_grouping(W.with_strata(W.w8(spark, "/root/testdata/sf0.001"), 4), bound=0.2, config=group_engine.GroupConfig(h_max=8, gamma=0.97)).collect()
+    by = {(r.method, r.interval): r.share for r in got}
+    assert set(by) == {(m, i) for m in ("ours", "static") for i in ("own", "pooled", "fresh")} | {("random", i) for i in ("own", "pooled")}
+    for m in ("ours", "static", "random"):
+        assert by[m, "own"] <= by[m, "pooled"]
+
+
+def test_errors_end_at_zero_and_scale_out_gains(spark):
+    errors = W.error_against_draws(spark, "/root/testdata/sf0.001", strata=3, batch_share=0.25)
+    last = errors.where("calls_fraction = 1").collect()
+    assert len(last) == 8 and all(r.error < 1e-6 for r in last)
+    assert all(0 < r.share <= 1 for r in W.share_to_error(errors).collect())
+    w = W.with_strata(W.w8(spark, "/root/testdata/sf0.001"), 4)
+    got = W.scaleout(w, rules.language_of, "string", (1, 4), seconds=0.1, steps=1, config=group_engine.GroupConfig(adjust=False, round_fraction=0.5)).orderBy("instances").collect()
+    assert got[0].calls == got[1].calls == 100 and got[1].speedup > 1.5
+
+
+def test_rule_twins(spark, sf):
+    docs = table(spark, sf, "documents").select("text", rules.language().alias("l"), rules.low_quality().alias("q")).collect()
+    assert [(r.l, r.q) for r in docs] == [(rules.language_of(r.text), rules.low_quality_of(r.text)) for r in docs]
+
+
+def test_embedders(spark, sf):
+    docs = table(spark, sf, "documents").select("doc_id", "text", "lang")
+    got = HashedNgramEmbedder(d=32).embed(docs, "text")
+    assert got.where(F.size("embedding") == 32).count() == docs.count()
+    assert HashedNgramEmbedder(d=32).embed(docs, "text").exceptAll(got).isEmpty()
+    by_model = ModelEmbedder(lambda: lambda texts: np.array([[len(t), t.count("e"), 1.0] for t in texts], np.float32)).embed(docs, "text")
+    assert all([*r.embedding] == [len(r.text), r.text.count("e"), 1.0] for r in by_model.collect())
+
+
+def test_mean_time(spark):
+    runs = spark.createDataFrame([("a", 1.0), ("a", 3.0), ("b", 5.0)], "query string, seconds double")
+    assert {(r["query"], r.mean_seconds, r.runs) for r in metrics.mean_time(runs).collect()} == {("a", 2.0, 2), ("b", 5.0, 1)}
+
+
+def test_simulated_service_takes_its_time(spark):
+    import time
+
+    rows = spark.range(40).select(F.col("id").alias("doc_id"), F.lit("x").alias("text"))
+    start = time.perf_counter()
+    assert SimulatedService(RuleLabeler(F.lit("a")), 0.05, 2, real=True).label(rows).where("is_valid").count() == 40
+    assert time.perf_counter() - start >= 0.9
