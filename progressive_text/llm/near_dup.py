@@ -32,8 +32,9 @@ from pyspark.sql import functions as F
 from .common import _arrow_schema, saved
 
 #: Size of a sketch, and the probability that a linked pair shares fewer of its union's K smallest values than assumed.
-K, RISK = 128, 1e-15
-CELLS, CHUNKS = 1 << 22, 64
+K, RISK = 128, 1e-13
+#: Cells that count how common values are; the broadcast order has two bytes for each, whatever the data.
+CELLS, CHUNKS = 1 << 24, 64
 #: Words of 64 bits in a parity map.
 PARITY = 8
 BITMAP_BUCKETS = 512
@@ -118,7 +119,7 @@ def _sketched(docs: DataFrame, words: int) -> DataFrame:
 
 
 def _common(survey: DataFrame) -> np.ndarray:
-    """Counts by cell over all documents: a fixed number of cells, added up chunk by chunk as they stream in."""
+    """How common values are, by cell, on a scale of logarithms: counts over all documents, added up chunk by chunk."""
     schema = "chunk int, cells binary"
     arrow = _arrow_schema(survey.sparkSession, schema)
 
@@ -133,10 +134,10 @@ def _common(survey: DataFrame) -> np.ndarray:
 
     parts = survey.where("chunk IS NOT NULL").select("chunk", "cells")
     rows = parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).collect()
-    out = np.zeros(CELLS, np.uint32)
+    out = np.zeros(CELLS, np.uint16)
     for r in rows:
         size = CELLS // CHUNKS
-        out[r.chunk * size : (r.chunk + 1) * size] += np.frombuffer(r.cells, np.uint32)
+        out[r.chunk * size : (r.chunk + 1) * size] = np.log2(1.0 + np.frombuffer(r.cells, np.uint32)) * 2047
     return out
 
 
