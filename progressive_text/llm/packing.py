@@ -76,33 +76,42 @@ def places(bins: list[tuple[list[int], int]]) -> list[tuple[int, int, int, int,
 
 
 def assign(pieces: DataFrame, length: str = "length", order: tuple[str, ...] = ("doc_id", "piece"), capacity: int = CAPACITY) -> DataFrame:
-    """pieces with sequence_id and offset. Lengths are 1 to capacity; pieces is read three times, so it should be a table.
+    """pieces, all their columns, with sequence_id and offset. Lengths are 1 to capacity; pieces is read three times, so it
+    should be a table.
 
     Numbers within a length come from counts by (length, bucket) and a sort inside each bucket, so a length that many
     pieces share spreads over as many tasks. Equal rows are numbered apart; which gets which number is of no account.
+    Columns of pieces named sequence_id or offset are kept as own_sequence_id and own_offset. Null ids are ordered by the
+    rest of `order`. An empty table gives an empty one.
     """
-    spark = pieces.sparkSession
+    spark, names = pieces.sparkSession, pieces.columns
+    taken = {c.lower() for c in names}
+    kept = [f"own_{c}" if c.lower() in ("sequence_id", "offset") and f"own_{c}".lower() not in taken else c for c in names]
+    plain = [f"c{i}" for i in range(len(names))]  # whatever the columns are called
+    at = dict(zip(names, plain, strict=True))
+    pieces, length, order = pieces.toDF(*plain), at[length], [at[c] for c in order]
     buckets = max(256, 1 << (pieces.count() // 1_000_000).bit_length())
-    bucketed = pieces.withColumn("_bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)))
-    by_bucket = bucketed.groupBy(F.col(length).alias("_length"), "_bucket").agg(F.count("*").alias("_n"))
-    before = F.sum("_n").over(Window.partitionBy("_length").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1))
-    starts = saved(by_bucket.withColumn("_before", F.coalesce(before, F.lit(0))), "starts")
-    histogram = {r[0]: r[1] for r in starts.groupBy("_length").agg(F.sum("_n")).collect()}  # at most `capacity` rows
+    bucketed = pieces.withColumn("bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)))
+    by_bucket = bucketed.groupBy(F.col(length).alias("own_length"), F.col("bucket").alias("own_bucket")).agg(F.count("*").alias("n"))
+    before = F.sum("n").over(Window.partitionBy("own_length").orderBy("own_bucket").rowsBetween(Window.unboundedPreceding, -1))
+    starts = saved(by_bucket.withColumn("before", F.coalesce(before, F.lit(0))), "starts")
+    histogram = {r[0]: r[1] for r in starts.groupBy("own_length").agg(F.sum("n")).collect()}  # at most `capacity` rows
     table = places(plan(histogram, capacity))
-    known = spark.createDataFrame(table or [(0,) * 6], "_len int, _lo bigint, _hi bigint, _each bigint, _bin bigint, _offset bigint")
-    by_length = known.groupBy("_len").agg(F.array_sort(F.collect_list(F.struct("_lo", "_hi", "_each", "_bin", "_offset"))).alias("_ranges"))
-    rank = F.row_number().over(Window.partitionBy(length, "_bucket").orderBy(*order)) - 1
-    ranked = bucketed.withColumn("_rank", rank.cast("bigint"))
-    ranked = ranked.join(starts.drop("_n").withColumnRenamed("_bucket", "_b"), (F.col(length) == F.col("_length")) & (F.col("_bucket") == F.col("_b")))
-    ranked = ranked.withColumn("_rank", F.col("_rank") + F.col("_before"))
+    known = spark.createDataFrame(table or [(0,) * 6], "len int, lo bigint, hi bigint, each bigint, bin bigint, at bigint")
+    by_length = known.groupBy("len").agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "each", "bin", "at"))).alias("ranges"))
+    rank = F.row_number().over(Window.partitionBy(length, "bucket").orderBy(*order)) - 1
+    ranked = bucketed.withColumn("rank", rank.cast("bigint"))
+    # grows with the pieces, and is partitioned as the ranks are: a merge join moves neither
+    ranked = ranked.join(starts.drop("n").hint("merge"), (F.col(length) == F.col("own_length")) & (F.col("bucket") == F.col("own_bucket")))
+    ranked = ranked.withColumn("rank", F.col("rank") + F.col("before"))
     # bounded: one row for each length, with the few combinations that use it
-    placed = ranked.join(F.broadcast(by_length), F.col(length) == F.col("_len"))
-    found = F.filter("_ranges", lambda r: (r["_lo"] <= F.col("_rank")) & (F.col("_rank") < r["_hi"]))[0]
-    placed = placed.withColumn("_at", found).withColumn("_in", F.col("_rank") - F.col("_at._lo"))
+    placed = ranked.join(F.broadcast(by_length), F.col(length) == F.col("len"))
+    found = F.filter("ranges", lambda r: (r["lo"] <= F.col("rank")) & (F.col("rank") < r["hi"]))[0]
+    placed = placed.withColumn("found", found).withColumn("within", F.col("rank") - F.col("found.lo"))
     return placed.select(
-        *pieces.columns,
-        (F.col("_at._bin") + F.floor(F.col("_in") / F.col("_at._each"))).cast("bigint").alias("sequence_id"),
-        (F.col("_at._offset") + F.col("_in") % F.col("_at._each") * F.col(length)).cast("bigint").alias("offset"),
+        *[F.col(c).alias(name) for c, name in zip(plain, kept, strict=True)],
+        (F.col("found.bin") + F.floor(F.col("within") / F.col("found.each"))).cast("bigint").alias("sequence_id"),
+        (F.col("found.at") + F.col("within") % F.col("found.each") * F.col(length)).cast("bigint").alias("offset"),
     )
 
 
@@ -119,7 +128,11 @@ def _pieces(n: int, capacity: int) -> list[tuple[int, int]]:
 
 
 def cut(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, with_ids: bool = False) -> DataFrame:
-    """One row for each piece of every whole text (null: empty): doc_id, piece, start, length, ids_crc32 and, if asked for, ids."""
+    """One row for each piece of every whole text (null: empty): doc_id, piece, start, length, ids_crc32 and, if asked for, ids.
+
+    An empty text is one piece of the end id. Repeated rows and null ids are cut as all others, other columns left out. A
+    text of any length is one row's work, with as many pieces as it needs.
+    """
     path, pattern = path or tokenizer_file("byte_bpe_50k.json"), default_pattern()
     schema = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint" + ", ids array<int>" * with_ids
 
@@ -142,8 +155,9 @@ def cut(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, with
 
 
 def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY) -> DataFrame:
-    """Pieces of all documents with their sequence and their place in it."""
-    return assign(saved(cut(docs, path, capacity), "pieces"), capacity=capacity)
+    """Pieces of all documents with their sequence and their place in it. Null texts are empty, null ids and repeated rows are
+    packed as all others; other columns are left out. An empty table gives an empty one."""
+    return assign(saved(cut(docs, path, capacity), "pieces"), order=("doc_id", "piece", "start", "ids_crc32"), capacity=capacity)
 
 
 def sequences(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY) -> DataFrame:

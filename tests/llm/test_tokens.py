@@ -236,6 +236,21 @@ def test_first_bin_has_the_least_slack():
         assert sum(packing.fullest(counts, room)) == best
 
 
+def test_assigning_a_table_with_names_of_its_own(spark):
+    rows = [(i, 0, 1 + i % 9, "b", 1, 2, 3, 4, 5) for i in range(400)] + [(None, 0, 3, "x", 1, 2, 3, 4, 5)] * 5
+    pieces = spark.createDataFrame(rows, "doc_id bigint, piece int, length int, bucket string, rank int, offset int, `before` int, c0 int, _len int")
+    got = packing.assign(pieces, capacity=10)
+    assert got.columns == ["doc_id", "piece", "length", "bucket", "rank", "own_offset", "before", "c0", "_len", "sequence_id", "offset"]
+    bins: dict[int, list] = {}
+    for r in got.collect():
+        assert (r.own_offset, r.rank) == (2, 1)
+        bins.setdefault(r.sequence_id, []).append((r.offset, r.length))
+    assert sum(map(len, bins.values())) == 405 and len(bins) <= ceil(sum(r[2] for r in rows) / 10) + 2
+    for parts in bins.values():
+        assert [o for o, _ in sorted(parts)] == [sum(n for _, n in sorted(parts)[:i]) for i in range(len(parts))]
+    assert packing.assign(pieces.where("false"), capacity=10).count() == 0
+
+
 def test_packing_query(odd, docs, none):
     for df in (odd, docs, none):
         got = packing.pack(df).collect()
