@@ -76,7 +76,7 @@ def place(df: DataFrame, key: str = "doc_id", names: list[str] | None = None, sl
     return rows.join(F.broadcast(table), "slot")
 
 
-def write_sharded(df: DataFrame, path: str, key: str = "doc_id", names: list[str] | None = None, rows_per_file: int = 1_000_000, files_per_shard: int = 4, **how) -> None:
+def write_sharded(df: DataFrame, path: str, key: str = "doc_id", names: list[str] | None = None, rows_per_file: int = 100_000, files_per_shard: int = 4, **how) -> None:
     """One folder for each shard, its rows dealt over files_per_shard files, or as many more as rows_per_file asks for.
 
     A row's file comes from its key and the task that reads it, so a key that a third of the rows hold spreads over its
