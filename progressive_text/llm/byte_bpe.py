@@ -182,7 +182,11 @@ def decode_documents(encoded: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """Encodes and decodes every whole text and returns digests: doc_id, n_tokens, ids_sha256, decoded_sha256."""
+    """Encodes and decodes every whole text and returns digests: doc_id, n_tokens, ids_sha256, decoded_sha256.
+
+    Null texts are empty: no ids, and the digest of no bytes. Repeated rows and null ids stay, a row each; other columns are
+    left out, whatever their names. A text of any length is one row's work. An empty table gives an empty one.
+    """
     path, pattern = path or tokenizer_file("byte_bpe_multi_50k.tiktoken"), default_pattern()
 
     def make():

@@ -71,6 +71,30 @@ def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
+def risk(layers: list[np.ndarray], xp: np.ndarray, xu: np.ndarray, prior: float | None) -> tuple[float, list[np.ndarray]]:
+    """A batch's risk under the logistic loss, and the gradient to step by.
+
+    With a prior: that of positives, times the prior, and the negatives' part, which is what unlabelled texts cost as
+    negatives less what the positives among them do. Where that part falls below zero the risk counts it as zero, and the
+    step undoes it: its gradient with the sign turned. Without a prior: positives against unlabelled.
+    """
+    x = np.concatenate([xp, xu])
+    h = np.tanh(x @ layers[0] + layers[1])
+    z = h @ layers[2] + layers[3]
+    zp, zu = z[: len(xp)], z[len(xp) :]
+    if prior is None:
+        value = np.logaddexp(0, -zp).mean() + np.logaddexp(0, zu).mean()
+        g = np.concatenate([(_sigmoid(zp) - 1) / len(xp), _sigmoid(zu) / len(xu)])
+    else:
+        rest = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
+        value = prior * np.logaddexp(0, -zp).mean() + max(0.0, rest)
+        g_rest = np.concatenate([-prior * _sigmoid(zp) / len(xp), _sigmoid(zu) / len(xu)])
+        g_pos = np.concatenate([prior * (_sigmoid(zp) - 1) / len(xp), np.zeros(len(xu))])
+        g = g_pos + g_rest if rest >= 0 else -g_rest
+    gh = np.outer(g, layers[2]) * (1 - h * h)
+    return float(value), [x.T @ gh, gh.sum(0), h.T @ g, np.array([g.sum()])]
+
+
 def _train(pos: np.ndarray, unl: np.ndarray, prior: float | None, seed: int, epochs: int = 40, hidden: int = 24, rate: float = 0.01, decay: float = 1e-4) -> tuple:
     """Adam on the logistic loss; with a prior the non-negative risk, without one plain positives against unlabelled."""
     rng = np.random.default_rng(seed)
@@ -83,20 +107,8 @@ def _train(pos: np.ndarray, unl: np.ndarray, prior: float | None, seed: int, epo
         p, u = rng.permutation(len(pos)), rng.permutation(len(unl))
         for s in range(steps):
             xp, xu = pos[np.take(p, range(s * half, (s + 1) * half), mode="wrap")], unl[np.take(u, range(s * half, (s + 1) * half), mode="wrap")]
-            x = np.concatenate([xp, xu])
-            h = np.tanh(x @ layers[0] + layers[1])
-            z = h @ layers[2] + layers[3]
-            zp, zu = z[: len(xp)], z[len(xp) :]
-            if prior is None:
-                g = np.concatenate([(_sigmoid(zp) - 1) / len(xp), _sigmoid(zu) / len(xu)])
-            else:
-                loss_neg = lambda v: np.logaddexp(0, v)
-                rest = loss_neg(zu).mean() - prior * loss_neg(zp).mean()
-                g_rest = np.concatenate([-prior * _sigmoid(zp) / len(xp), _sigmoid(zu) / len(xu)])
-                g_pos = np.concatenate([prior * (_sigmoid(zp) - 1) / len(xp), np.zeros(len(xu))])
-                g = g_pos + g_rest if rest >= 0 else -g_rest
-            gh = np.outer(g, layers[2]) * (1 - h * h)
-            grads, total = [x.T @ gh, gh.sum(0), h.T @ g, np.array([g.sum()])], total + 1
+            _, grads = risk(layers, xp, xu, prior)
+            total += 1
             step = rate * (1 - epoch / epochs)
             for k, grad in enumerate(grads):
                 m, v = moments[k]
@@ -143,7 +155,9 @@ def _draw(n: int) -> Column:
 
 def fit(docs: DataFrame, labels: DataFrame) -> Network:
     """Fits on at most about SAMPLE trusted positives and SAMPLE texts without regard to their labels, drawn by a hash of
-    the id. Rows that are held out by id give neither labels nor text."""
+    the id. Rows that are held out by id give neither labels nor text, and rows with a null id no text. Null and empty texts
+    are texts like others; a repeated row counts as often as it is drawn. Without positives or texts the network scores all
+    texts alike. Other columns are left out."""
     usable = ~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull()
     trusted = labels.where(usable & (F.col("quality") == 1)).select("doc_id").distinct()
     trusted = trusted.where(_draw(trusted.count())).withColumn("_trusted", F.lit(True))
@@ -164,7 +178,8 @@ def fit(docs: DataFrame, labels: DataFrame) -> Network:
 
 
 def score(docs: DataFrame, network: Network, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, held_out, score, predicted of every whole text. Null texts are empty; rows are kept as they are."""
+    """doc_id, held_out, score, predicted of every whole text. Null texts are empty; repeated rows and null ids stay (a null id
+    is not held out); equal texts have equal scores; other columns are left out. An empty table gives an empty one."""
 
     def make():
         return lambda c: {"doc_id": c["doc_id"], "held_out": c["held_out"], "score": network.scores(np.stack([features(x) for x in c["text"]])).tolist() if c["text"] else []}
@@ -175,7 +190,8 @@ def score(docs: DataFrame, network: Network, threshold: float = THRESHOLD) -> Da
 
 
 def keep_good(docs: DataFrame, network: Network, threshold: float = 0.5) -> DataFrame:
-    """The rows of docs, all their columns, whose text the network accepts. Rows with no text stay: there is nothing to reject."""
+    """The rows of docs, all their columns, whose text the network accepts. Rows with a null or empty text
+    stay: there is nothing to reject. Null ids, repeated rows and columns of any name stay as they are."""
 
     def run(batches):
         import pyarrow as pa

@@ -59,6 +59,45 @@ def test_classifier_does_not_read_held_out_or_negative_labels(spark):
     assert a == b
 
 
+def plain_risk(layers, xp, xu, prior):
+    """The non-negative risk text by text, from its description."""
+    def cost(x, label):
+        hidden = [np.tanh(sum(a * b for a, b in zip(x, layers[0][:, j], strict=True)) + layers[1][j]) for j in range(len(layers[1]))]
+        z = sum(a * b for a, b in zip(hidden, layers[2], strict=True)) + layers[3][0]
+        return np.log1p(np.exp(-z if label else z))
+
+    mean = lambda rows, label: sum(cost(x, label) for x in rows) / len(rows)
+    if prior is None:
+        return mean(xp, 1) + mean(xu, 0), 1.0
+    rest = mean(xu, 0) - prior * mean(xp, 0)
+    return prior * mean(xp, 1) + max(0.0, rest), rest
+
+
+@pytest.mark.parametrize("prior", [None, 0.3, 0.95])
+def test_risk_and_gradient(prior):
+    rng = np.random.default_rng(6)
+    xp, xu = rng.normal(1, 1, (7, 4)), rng.normal(-1, 1, (9, 4))
+    layers = [rng.normal(0, 1, (4, 3)), rng.normal(0, 1, 3), rng.normal(0, 2, 3), np.array([0.3])]
+    if prior == 0.95:  # positives that look like negatives: the negatives' part falls below zero
+        xp = xu[:7] + 0.1
+        layers[2] = -np.abs(layers[2])
+        layers[3] = np.array([3.0])
+    value, grads = quality.risk(layers, xp, xu, prior)
+    want, rest = plain_risk(layers, xp, xu, prior)
+    assert abs(value - want) < 1e-9
+
+    def moved(k, i, by, part):
+        other = [x.copy() for x in layers]
+        other[k].flat[i] += by
+        return plain_risk(other, xp, xu, prior)[part]
+
+    undone = prior is not None and rest < 0
+    for k, grad in enumerate(grads):
+        for i in range(grad.size):
+            numeric = (moved(k, i, 1e-5, int(undone)) - moved(k, i, -1e-5, int(undone))) / 2e-5
+            assert abs(grad.flat[i] - (-numeric if undone else numeric)) < 1e-6
+
+
 def test_prior_estimate():
     rng = np.random.default_rng(1)
     pos, unl = rng.normal(2, 1, 4000), np.concatenate([rng.normal(2, 1, 2800), rng.normal(-3, 1, 1200)])
@@ -483,6 +522,37 @@ def test_media_query(spark, odd, docs, none):
 # pipeline
 
 
+def test_pipeline_stages_on_odd_and_empty_tables(spark, odd, none):
+    import corpus_pipeline
+
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, odd, SF)
+        assert out.columns == odd.columns and stage(spark, none, SF).count() == 0, name
+        assert {r.doc_id for r in out.collect()} <= {r.doc_id for r in odd.collect()}
+    out = corpus_pipeline.packed(spark, odd, SF)
+    assert {r.doc_id for r in out.collect()} == {r.doc_id for r in odd.collect()} and corpus_pipeline.packed(spark, none, SF).count() == 0
+
+
+def test_near_copies_that_the_pipeline_finds(spark):
+    """Texts with a word in a hundred, in fifty or in twenty-five changed: those that the shingles link, and no others, go.
+    At 0.8, five-word shingles link few of the last, two-word shingles nearly all."""
+    rng, data, at = np.random.default_rng(8), [], 0
+    for rate in (0.01, 0.02, 0.04):
+        for _ in range(30):
+            words = [f"w{k}" for k in rng.integers(0, 5000, 300)]
+            data.append((at, rate, " ".join(words)))
+            copy = [f"e{at}-{k}" if rng.random() < rate else w for k, w in enumerate(words)]
+            data.append((at + 1, rate, " ".join(copy)))
+            at += 2
+    df = spark.createDataFrame([(i, t) for i, _, t in data], "doc_id bigint, text string")
+    for words in (5, 2):
+        roots, _ = brute([(i, t) for i, _, t in data], words)
+        gone = {r.doc_id for r in near_dup.near_duplicates(df, words=words).where("NOT kept").collect()}
+        assert gone == {i for i, r in roots.items() if i != r}
+        found = [np.mean([i in gone for i, r, _ in data if r == rate and i % 2]) for rate in (0.01, 0.02, 0.04)]
+        assert found[0] == 1 and found == sorted(found, reverse=True) and (words == 5 or found[2] > 0.9)
+
+
 def test_pipeline_against_its_stages_by_hand(spark):
     import corpus_pipeline
     from progressive_text.llm.common import documents, saved
