@@ -33,7 +33,7 @@ from .common import _arrow_schema, saved
 
 #: Size of a sketch, and the probability that a linked pair shares fewer of its union's K smallest values than assumed.
 K, RISK = 128, 1e-13
-#: Cells that count how common values are; the broadcast order has two bytes for each, whatever the data.
+#: Cells that count how common values are; the broadcast order has a byte for each, whatever the data.
 CELLS, CHUNKS = 1 << 24, 64
 #: Words of 64 bits in a parity map.
 PARITY = 8
@@ -129,15 +129,13 @@ def _common(survey: DataFrame) -> np.ndarray:
         for batch in batches:
             for k, cells in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 total[k] = total.get(k, 0) + np.frombuffer(unpack.decompress(cells), np.uint32).astype(np.int64)
-        most = np.int64((1 << 32) - 1)
-        yield pa.RecordBatch.from_pydict({"chunk": list(total), "cells": [np.minimum(x, most).astype(np.uint32).tobytes() for x in total.values()]}, schema=arrow)
+        scaled = [np.minimum(np.log2(1.0 + x) * 6, 255).astype(np.uint8).tobytes() for x in total.values()]  # to 2^42
+        yield pa.RecordBatch.from_pydict({"chunk": list(total), "cells": scaled}, schema=arrow)
 
     parts = survey.where("chunk IS NOT NULL").select("chunk", "cells")
-    rows = parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).collect()
-    out = np.zeros(CELLS, np.uint16)
-    for r in rows:
-        size = CELLS // CHUNKS
-        out[r.chunk * size : (r.chunk + 1) * size] = np.log2(1.0 + np.frombuffer(r.cells, np.uint32)) * 2047
+    out, size = np.zeros(CELLS, np.uint8), CELLS // CHUNKS
+    for r in parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).toLocalIterator():
+        out[r.chunk * size : (r.chunk + 1) * size] = np.frombuffer(r.cells, np.uint8)
     return out
 
 
