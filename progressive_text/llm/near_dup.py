@@ -134,7 +134,7 @@ def _common(survey: DataFrame) -> np.ndarray:
 
     parts = survey.where("chunk IS NOT NULL").select("chunk", "cells")
     out, size = np.zeros(CELLS, np.uint8), CELLS // CHUNKS
-    for r in parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).toLocalIterator():
+    for r in parts.repartition(CHUNKS, "chunk").mapInArrow(run, schema).collect():  # CELLS bytes in all
         out[r.chunk * size : (r.chunk + 1) * size] = np.frombuffer(r.cells, np.uint8)
     return out
 
