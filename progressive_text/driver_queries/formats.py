@@ -43,12 +43,6 @@ def _fields(spark, events):
     return spark.sql("SELECT event_id, f.field, f.value FROM events_of_udtf, LATERAL fields_of(props) f")
 
 
-@query("SELECT event_id, 'k' AS field, (props->>'$.k') AS value FROM events WHERE event_id < 500")
-def op_udtf_fields(spark, d):
-    """Of the first 500 ids alone, as its SQL says; op_udtf_all_fields reads every event."""
-    return _fields(spark, table(spark, d, "events").where("event_id < 500"))
-
-
 @query("SELECT event_id, 'k' AS field, (props->>'$.k') AS value FROM events")
 def op_udtf_all_fields(spark, d):
     return _fields(spark, table(spark, d, "events"))
@@ -93,3 +87,30 @@ def op_sample_bernoulli(spark, d):
     """A sampling operator: about a tenth of all rows, and other shares by language."""
     docs = table(spark, d, "documents").select("doc_id", "lang")
     return docs.sample(0.1, seed=3).withColumn("how", F.lit("uniform")).unionByName(docs.sampleBy("lang", {"en": 0.05, "fr": 0.5}, seed=3).withColumn("how", F.lit("by language")))
+
+
+@query("SELECT length(line)::BIGINT AS n_chars, count(*) AS n FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM conversations) GROUP BY 1")
+def op_scan_text(spark, d):
+    """Turns written as lines of text files and read back."""
+    path = new_path(spark, "text")
+    table(spark, d, "conversations").select("text").write.text(path)
+    return spark.read.text(path).groupBy(F.length("value").cast("bigint").alias("n_chars")).agg(F.count("*").alias("n"))
+
+
+@query("SELECT event_id, (props->>'$.k') AS by_tuple, '{\"k\":' || (props->>'$.k') || '}' AS again, (props->>'$.k')::BIGINT AS by_variant, false AS other FROM events")
+def op_json_more(spark, d):
+    """json_tuple, to_json of a declared schema, and VARIANT."""
+    events = table(spark, d, "events")
+    rows = events.select("event_id", "props", F.json_tuple("props", "k").alias("by_tuple"))
+    variant = F.try_variant_get(F.try_parse_json("props"), "$.k", "bigint")
+    return rows.select("event_id", "by_tuple", F.to_json(F.from_json("props", "k BIGINT")).alias("again"), variant.alias("by_variant"), F.try_variant_get(F.try_parse_json("props"), "$.none", "string").isNotNull().alias("other"))
+
+
+@query("SELECT doc_id, (a + 0)::BIGINT AS only_a, (b + c)::BIGINT AS both, ((a > 2)::INT + (b + c > 2)::INT)::BIGINT AS n_large FROM (SELECT doc_id, doc_id % 7 AS a, doc_id % 5 AS b, n_chars % 3 AS c FROM documents)")
+def op_map_more(spark, d):
+    """map_zip_with, map_filter and transform_values."""
+    docs = table(spark, d, "documents")
+    x = F.create_map(F.lit("a"), F.col("doc_id") % 7, F.lit("b"), F.col("doc_id") % 5)
+    both = F.map_zip_with(x, F.create_map(F.lit("b"), F.col("n_chars") % 3), lambda k, v, w: F.coalesce(v, F.lit(0)) + F.coalesce(w, F.lit(0)))
+    both = docs.select("doc_id", F.transform_values(both, lambda k, v: v.cast("bigint")).alias("m"))
+    return both.select("doc_id", F.col("m")["a"].alias("only_a"), F.col("m")["b"].alias("both"), F.size(F.map_filter("m", lambda k, v: v > 2)).cast("bigint").alias("n_large"))

@@ -278,7 +278,7 @@ def group_avg_value(spark, d):
 @query(STATIC_CTE + f""", v AS (SELECT stratum, label, sum(n_chars) AS s1, sum(n_chars::DOUBLE * n_chars) AS s2 FROM draws0 GROUP BY ALL),
 g AS (SELECT k, n_total, n_drawn, coalesce(s1, 0) AS s1, coalesce(s2, 0) AS s2 FROM (SELECT DISTINCT label AS k FROM draws0) c CROSS JOIN sized JOIN d USING (stratum) LEFT JOIN v ON v.stratum = sized.stratum AND v.label = c.k)
 SELECT k AS category, round(sum(n_total * s1 / n_drawn::DOUBLE), 6) AS total,
-  CASE WHEN bool_or(n_drawn < 2 AND n_drawn < n_total) THEN NULL ELSE round({z_of(0.95)!r} * sqrt(greatest(0, sum(CASE WHEN n_drawn >= n_total THEN 0 ELSE n_total * n_total * (1 - n_drawn / n_total::DOUBLE) * (s2 - s1 * s1 / n_drawn) / greatest(1, n_drawn - 1) / n_drawn END))), 4) END AS half_width FROM g GROUP BY 1""")
+  CASE WHEN bool_or(n_drawn < 2 AND n_drawn < n_total) THEN NULL ELSE round({z_of(0.95)!r} * sqrt(greatest(0, sum(CASE WHEN n_drawn >= n_total THEN 0 ELSE n_total * n_total * (1 - n_drawn / n_total::DOUBLE) * (s2 - s1 * s1 / n_drawn) / greatest(1, n_drawn - 1) / n_drawn END))), 2) END AS half_width FROM g GROUP BY 1""")
 def group_sum_value(spark, d):
     """Sum of a structured value by category, with its interval."""
     sizes, draws = _static(spark, d)
@@ -287,7 +287,7 @@ def group_sum_value(spark, d):
     rows = []
     for c in sorted({c for _, c in by}):
         total, width = group_value([(sizes[h], drawn[h], by.get((h, c), Moments())) for h in sizes], "sum")
-        rows.append((c, round(total, 6), None if width is None else round(width, 4)))
+        rows.append((c, round(total, 6), None if width is None else round(width, 2)))
     return spark.createDataFrame(rows, "category string, total double, half_width double")
 
 

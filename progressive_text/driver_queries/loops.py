@@ -53,10 +53,10 @@ def select_loop_events(spark, d):
     return _select(spark, d, batch=500)
 
 
-@query(_select_sql(100, "PARTITION BY event_type ") + f"SELECT event_type, step, n_valid, estimate, half_width FROM (SELECT event_type, step, {PROGRESS} FROM run) WHERE step < 5")
+@query(_select_sql(20, "PARTITION BY event_type ") + f"SELECT event_type, step, n_valid, estimate, half_width FROM (SELECT event_type, step, {PROGRESS} FROM run) WHERE step < 5")
 def select_loop_by_group(spark, d):
     """The same with as many draws from each group, for five steps."""
-    return _select(spark, d, batch=500, design="by_group", stop=Stop(max_steps=5))
+    return _select(spark, d, batch=100, design="by_group", stop=Stop(max_steps=5))
 
 
 @query(_select_sql(500) + f"SELECT event_type, step, n AS n_valid, round(n_total * n / calls::DOUBLE, 6) AS estimate, round({Z} * sqrt(n_total * n_total * {FINITE} * (n / calls::DOUBLE) * (1 - n / calls::DOUBLE)), 6) AS half_width FROM run JOIN sizes USING (event_type)")
@@ -115,13 +115,13 @@ def filter_loop_rules(spark, d):
     return _rounded(_filter(spark, d, RuleLabeler(~rules.low_quality())), "estimate", "half_width", "estimate_stratified")
 
 
-SUM_WIDTH = f"CASE WHEN bool_or(calls < 2 AND calls < n_total) THEN NULL ELSE round({Z} * sqrt(greatest(0, sum(CASE WHEN calls >= n_total THEN 0 ELSE n_total * n_total * (1 - calls / n_total::DOUBLE) * (s2 - s1 * s1 / calls) / greatest(1, calls - 1) / calls END))), 4) END AS half_width"
+SUM_WIDTH = f"CASE WHEN bool_or(calls < 2 AND calls < n_total) THEN NULL ELSE round({Z} * sqrt(greatest(0, sum(CASE WHEN calls >= n_total THEN 0 ELSE n_total * n_total * (1 - calls / n_total::DOUBLE) * (s2 - s1 * s1 / calls) / greatest(1, calls - 1) / calls END))), 2) END AS half_width"
 
 
 @query(f"WITH {filter_sql(W3, batch=TENTH)}, {GRID} SELECT step, sum(calls)::BIGINT AS calls, sum(n)::BIGINT AS n_valid, round(sum(n_total * s1 / calls), 6) AS estimate, {SUM_WIDTH} FROM grid GROUP BY 1")
 def filter_sum_ci(spark, d):
     """Sum over the filter as an expansion by stratum, with its interval, from the engine's loop."""
-    return _rounded(_filter(spark, d, agg="sum"), "estimate", "half_width").withColumn("half_width", F.round("half_width", 4))
+    return _rounded(_filter(spark, d, agg="sum"), "estimate", "half_width").withColumn("half_width", F.round("half_width", 2))
 
 
 @query(f"WITH {filter_sql(W3, batch=TENTH)}, {GRID} SELECT step, sum(calls)::BIGINT AS calls, sum(n)::BIGINT AS n_valid, round(sum(n_total * n / calls::DOUBLE), 6) AS estimate, round({Z} * sqrt(sum(n_total * n_total * {FINITE} * (n / calls::DOUBLE) * (1 - n / calls::DOUBLE))), 6) AS half_width FROM grid GROUP BY 1")

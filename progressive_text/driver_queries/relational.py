@@ -6,6 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions.vectors import cosine
+from ..functions import rules
 from ..operators import relational
 from ..operators.labelers import RuleLabeler
 from ..plans import sql as surface
@@ -72,9 +73,8 @@ VEC = "list_transform({t}.embedding, lambda x: x::DOUBLE)"
 
 @query(f"SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE round(list_cosine_similarity({VEC.format(t='a')}, {VEC.format(t='b')}), 9) > 0.25")
 def op_join_similarity(spark, d):
-    e = table(spark, d, "embeddings")
-    a, b = (e.select(F.col("vec_id").alias(x), F.col("label").alias(f"l{x}"), F.col("embedding").alias(f"e{x}")) for x in "ab")
-    return a.join(b, (F.col("la") == F.col("lb")) & (F.col("a") < F.col("b")) & (F.round(cosine("ea", "eb"), 9) > 0.25)).select("a", "b")
+    """Pairs of one label by blocks of vectors, each two of which meet in a matrix product."""
+    return relational.similarity_join(table(spark, d, "embeddings"), "vec_id", "embedding", "label", 0.25)
 
 
 @query("SELECT event_type, count(*) AS n, round(sum(value), 6) AS total, round(avg(value), 6) AS mean_value, min(value) AS low, max(value) AS high, round(stddev_samp(value), 6) AS sd, round(corr(value, user_id), 6) AS with_user, round(covar_samp(value, user_id), 5) AS cov, count(DISTINCT user_id) AS n_users FROM events GROUP BY 1")
@@ -174,9 +174,9 @@ def op_date_fns(spark, d):
     return o.groupBy(F.year("day").cast("bigint").alias("y"), F.month("day").cast("bigint").alias("m")).agg(F.count("*").alias("n"), F.sum(F.datediff("day", F.lit("1992-01-01").cast("date"))).alias("days"), F.date_format(F.min(F.trunc("day", "month")), "yyyy-MM-dd").alias("first_of_month"))
 
 
-@query("SELECT l_orderkey, l_linenumber, round(ln(l_extendedprice) + sqrt(l_quantity), 6) AS a, floor(l_extendedprice / 100)::BIGINT AS b, greatest(l_discount, l_tax) AS c, abs(l_quantity - 25) AS e, CASE WHEN l_discount = 0 THEN NULL ELSE round(l_tax / l_discount, 6) END AS ratio FROM lineitem WHERE l_orderkey < 500")
+@query("SELECT l_orderkey, l_linenumber, round(ln(l_extendedprice) + sqrt(l_quantity), 6) AS a, floor(l_extendedprice / 100)::BIGINT AS b, greatest(l_discount, l_tax) AS c, abs(l_quantity - 25) AS e, CASE WHEN l_discount = 0 THEN NULL ELSE round(l_tax / l_discount, 6) END AS ratio FROM lineitem")
 def op_math_fns(spark, d):
-    rows = table(spark, d, "lineitem").where("l_orderkey < 500")
+    rows = table(spark, d, "lineitem")
     return rows.select("l_orderkey", "l_linenumber", r6(F.ln("l_extendedprice") + F.sqrt("l_quantity")).alias("a"), F.floor(F.col("l_extendedprice") / 100).cast("bigint").alias("b"), F.greatest("l_discount", "l_tax").alias("c"), F.abs(F.col("l_quantity") - 25).alias("e"), r6(F.try_divide(F.col("l_tax"), F.col("l_discount"))).alias("ratio"))
 
 
@@ -209,16 +209,18 @@ def op_semantic_dedupe(spark, d):
     return relational.semantic_dedupe(table(spark, d, "documents"), "text", "doc_id").select("doc_id", "text")
 
 
-@query("SELECT doc_id, len(regexp_extract_all(text, ','))::BIGINT AS label FROM documents ORDER BY label DESC, doc_id LIMIT 10")
+@query(f"SELECT doc_id, len(list_filter(string_split(regexp_replace(lower(text), '{rules.LETTERS}', ' ', 'g'), ' '), lambda w: list_contains({rules._list(rules.INSULTS)}, w)))::BIGINT AS label FROM documents ORDER BY label DESC, doc_id LIMIT 10")
 def op_semantic_top_k(spark, d):
-    return relational.semantic_top_k(table(spark, d, "documents"), RuleLabeler(F.regexp_count("text", F.lit(",")).cast("bigint")), "text", 10, "doc_id").select("doc_id", "label")
+    """The ten documents with most insults."""
+    score = F.size(F.filter(rules._words("text"), lambda w: w.isin(rules.INSULTS))).cast("bigint")
+    return relational.semantic_top_k(table(spark, d, "documents"), RuleLabeler(score), "text", 10, "doc_id").select("doc_id", "label")
 
 
-@query("SELECT s.s_suppkey, c.c_custkey FROM supplier s JOIN customer c ON s.s_nationkey = c.c_nationkey WHERE s.s_acctbal > c.c_acctbal AND c.c_mktsegment = 'BUILDING'")
+@query("SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def op_semantic_join(spark, d):
-    s = table(spark, d, "supplier").withColumnRenamed("s_nationkey", "nation")
-    c = table(spark, d, "customer").withColumnRenamed("c_nationkey", "nation").where("c_mktsegment = 'BUILDING'")
-    return relational.semantic_join(s, c, F.col("nation"), RuleLabeler(F.col("s_acctbal") > F.col("c_acctbal")), "c_name").select("s_suppkey", "c_custkey")
+    """Documents that hold a benchmark passage: candidates share a run of eight words, a labeler reads the pair."""
+    docs, items = table(spark, d, "documents").select("doc_id", "text"), table(spark, d, "benchmark").select("item_id", F.col("text").alias("passage"))
+    return relational.semantic_join(docs, items, relational.word_grams(F.col("text")), relational.word_grams(F.col("passage")), ("doc_id", "item_id"), RuleLabeler(F.contains("text", "passage")), "text").select("doc_id", "item_id")
 
 
 @query("SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS window_start, event_type, count(*) AS n_events, round(avg(value), 6) AS mean_value FROM events GROUP BY 1, 2")
@@ -247,7 +249,26 @@ def op_sql_functions(spark, d):
     return spark.sql("SELECT 'toxic' AS kind, 0L AS n UNION ALL SELECT event_type, count(*) FROM events_of_sql WHERE sem_extract(props, 'k') > 50 GROUP BY 1")
 
 
+@query(f"SELECT doc_id, {rules.class3_sql()} AS kind, NOT {rules.low_quality_sql()} AS good, {rules.language_sql()} AS language FROM documents WHERE NOT {rules.low_quality_sql()} OR lang = 'fr'")
+def op_sql_semantic(spark, d):
+    """Semantic class, predicate and language as functions in SQL, in the projection and in the filter."""
+    surface.register(spark)
+    table(spark, d, "documents").createOrReplaceTempView("documents_of_sql")
+    return spark.sql("SELECT doc_id, sem_class(text) AS kind, sem_filter(text) AS good, sem_language(text) AS language FROM documents_of_sql WHERE sem_filter(text) OR lang = 'fr'")
+
+
 @query()
 def op_approximate(spark, d):
     """Sketches beside exact figures: distinct users (HLL) and quantiles (KLL-like summaries)."""
     return table(spark, d, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("about_users"), F.count_distinct("user_id").alias("users"), F.percentile_approx("value", 0.5, 1000).alias("about_median"), F.percentile("value", F.lit(0.5)).alias("median"))
+
+
+@query("SELECT event_type, count(DISTINCT user_id) AS users, quantile_cont(value, 0.5) AS median, true AS users_close, true AS union_close, true AS median_close FROM events GROUP BY 1")
+def op_sketches(spark, d):
+    """Mergeable sketches (HLL, by hour and then united; KLL) beside exact figures, and whether they are within a twentieth."""
+    events = event_time(table(spark, d, "events"))
+    parts = events.groupBy("event_type", F.hour("ts").alias("h")).agg(F.hll_sketch_agg("user_id").alias("s"))
+    union = parts.groupBy("event_type").agg(F.hll_sketch_estimate(F.hll_union_agg("s")).alias("united"))
+    got = events.groupBy("event_type").agg(F.count_distinct("user_id").alias("users"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("about"), F.percentile("value", F.lit(0.5)).alias("median"), F.percentile_approx("value", 0.5, 1000).alias("about_median"))
+    close = lambda a, b: F.abs(F.col(a) - F.col(b)) <= 0.05 * F.abs(F.col(b))
+    return got.join(union, "event_type").select("event_type", "users", "median", close("about", "users").alias("users_close"), close("united", "users").alias("union_close"), close("about_median", "median").alias("median_close"))

@@ -17,8 +17,8 @@ from .select_engine import progressive_select
 def register(spark: SparkSession) -> None:
     """sem_filter(text), sem_class(text) and sem_language(text) as SQL functions over the rule labelers.
 
-    They are SQL functions, not Python ones, so the optimizer sees through them. sem_extract(text, field) is a Python
-    UDTF-free field of JSON text.
+    They are SQL functions, not Python ones, so the optimizer sees through them. sem_extract(text, field) is a
+    number that JSON text has under a field.
     """
     t = "text"
     noisy = f"regexp_count({t}, r'{rules.NOISE}') > 0.3 * size(split({t}, ' ')) OR regexp_count({t}, r' \\| ') >= 5 OR size(array_distinct(split({t}, ' '))) < 0.2 * size(split({t}, ' '))"

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from datetime import datetime
+
 from pyspark.sql import functions as F
 
 from progressive_text.functions.extract import JsonExtractor
@@ -84,3 +86,51 @@ def test_stratum_state_in_a_store(spark):
         assert last == {0: (4, "x", 0.375), 1: (2, "y", 0.0)}
     finally:
         spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
+
+
+def files_of(spark, parts, schema):
+    path = new_path(spark, "parts")
+    for rows in parts:
+        spark.createDataFrame(rows, schema).coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def run_append(spark, rows):
+    out = new_path(spark, "out")
+    rows.writeStream.format("parquet").option("path", out).option("checkpointLocation", new_path(spark, "check")).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(rows.schema).parquet(out)
+
+
+def at(minute: int):
+    return datetime(2024, 1, 1, minute // 60, minute % 60)
+
+
+def test_repeats_within_the_watermark_go(spark):
+    schema = "event_id bigint, ts timestamp"
+    source = files_of(spark, [[(1, at(0)), (2, at(1))], [(1, at(5)), (3, at(6))], [(3, at(7)), (4, at(8))]], schema)
+    got = [r.event_id for r in run_append(spark, stream.without_repeats(source, "event_id", "1 hour")).collect()]
+    assert sorted(got) == [1, 2, 3, 4]
+
+
+def test_streams_meet_within_an_interval(spark):
+    schema = "event_id bigint, user_id bigint, ts timestamp"
+    left = files_of(spark, [[(1, 7, at(0)), (2, 8, at(0))], [(3, 7, at(50))], [(9, 9, at(600))]], schema)
+    right = files_of(spark, [[(11, 7, at(10)), (12, 8, at(45))], [(13, 7, at(75)), (14, 7, at(40))], [(19, 9, at(601))]], schema)
+    got = run_append(spark, stream.near_in_time(left, right, "user_id", "30 minutes", "2 hours")).collect()
+    assert sorted((r.left_id, r.right_id) for r in got) == [(1, 11), (3, 13), (9, 19)]
+
+
+def test_staging_is_one_job_in_order(spark, sf):
+    jobs = []
+    for steps in (3, 8):
+        spark.sparkContext.setJobGroup(f"staging-{steps}", "as many jobs for any number of steps")
+        draws, path = staged(spark, sf, steps)
+        jobs.append(len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"staging-{steps}")))
+    spark.sparkContext.setJobGroup("other", "")
+    assert jobs[0] == jobs[1]
+    names = sorted(f.rsplit("/", 1)[1] for f in spark.read.parquet(path).inputFiles())
+    assert [n[:11] for n in names] == [f"step-{k:06d}" for k in range(8)]
+    assert spark.read.parquet(path).exceptAll(draws.select(*spark.read.parquet(path).columns)).isEmpty() and spark.read.parquet(path).count() == draws.count()
+    many = new_path(spark, "many")
+    stream.stage_draws(draws, many, files_per_step=3)
+    assert len(spark.read.parquet(many).inputFiles()) > 8 and spark.read.parquet(many).count() == draws.count()
