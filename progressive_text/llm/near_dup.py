@@ -12,8 +12,9 @@ the sizes, the places of the value or the parity maps of the sets (which differ
 values) leave no room for a link, then if its union sketch shares too few values. Where both sketches are whole sets that is the exact
 answer; for the others exact Jaccard on the full sets, from the texts, decides.
 
-Each list is first compared with its smallest member. Members that this did not join with it are then compared with all
-others of their list and neighbouring sizes, a long list in blocks.
+Each list is first compared with its smallest member, and members that this did not join with it then with another member,
+a different one in each list. Those that are still apart are compared with all others of their list and neighbouring
+sizes, a long list in blocks.
 """
 
 from __future__ import annotations
@@ -281,18 +282,35 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
-def _unjoined(star: DataFrame, roots: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+def _rooted(star: DataFrame, roots: DataFrame) -> DataFrame:
+    """v, cls, h, c, r, hr of the lists of more than two members; r and hr are the roots of a member and of its list's head."""
+    root = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
+    rooted = star.where("c > 2").join(root("cls"), "cls", "left").join(root("head"), "head", "left")
+    return saved(rooted.select("v", "cls", "h", "c", F.coalesce("cls_root", "cls").alias("r"), F.coalesce("head_root", "head").alias("hr")), "rooted")
+
+
+def _other_heads(rooted: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of members that are not joined with the head of their list with one other member of it, a different one
+    in each list: who is linked with many of a group is linked with one of these, and need not be met with all."""
+    tie = F.xxhash64("cls", "v")
+    heads = rooted.groupBy("v").agg(F.min(F.struct(tie.alias("t"), "cls", "h", "r")).alias("other"))
+    pairs = rooted.where("r <> hr").join(heads, "v").where((F.col("r") != F.col("other.r")) & _possible(percent, "h", "other.h"))
+    return pairs.select(F.least("cls", "other.cls").alias("a"), F.greatest("cls", "other.cls").alias("b")).distinct()
+
+
+def _unjoined(rooted: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) of list members that are not yet joined with the head of their list with the members of it that are
     elsewhere too. The key is a list, a class of sizes (linked sets are of one class or of neighbouring ones) and, for
-    each BLOCK members of a long list, a part of them."""
-    root = lambda name: roots.select(F.col("node").alias(name), F.col("root").alias(f"{name}_root"))
+    each BLOCK members of a long list, a part of them. Members without such a partner in their list take no part."""
     odd = [f"o{k}" for k in range(PARITY)]
-    rooted = star.where("c > 2").join(root("cls"), "cls", "left").join(root("head"), "head", "left")
-    rooted = saved(rooted.select("v", "cls", "h", "c", F.coalesce("cls_root", "cls").alias("r"), F.coalesce("head_root", "head").alias("hr")), "rooted")
-    open_lists = rooted.where("r <> hr").select("v").distinct()
     grade = F.floor(F.log(_size("h").cast("double")) / F.log(F.lit(100 / percent)) + 1e-9).cast("int")
+    graded = rooted.withColumn("grade", grade)
+    per = graded.groupBy("v", "grade").agg(F.min("r").alias("low"), F.max("r").alias("high"), F.max((F.col("r") != F.col("hr")).cast("int")).alias("open"))
+    # a class of sizes is a logarithm, so a list has few of them, however long it is
+    lists = per.groupBy("v").agg(F.max("open").alias("open"), F.collect_list(F.struct("grade", "low", "high")).alias("grades")).where("open = 1").drop("open")
+    elsewhere = lambda g: (F.abs(g["grade"] - F.col("grade")) <= 1) & ((g["low"] != F.col("r")) | (g["high"] != F.col("r")))
+    members = graded.join(lists, "v").where(F.exists("grades", elsewhere)).drop("grades").join(classes.select("cls", *odd), "cls")
     blocks = F.ceil(F.col("c") / BLOCK).cast("int")
-    members = rooted.join(open_lists, "v", "left_semi").join(classes.select("cls", *odd), "cls").withColumn("grade", grade)
     members = saved(members.withColumn("part", F.pmod(F.xxhash64("cls"), blocks).cast("int")), "members")
     left = members.where("r <> hr").select(F.col("cls").alias("a"), "h", "r", *odd, "v", F.explode(F.sequence(F.col("grade") - 1, F.col("grade") + 1)).alias("grade"), "c")
     left = left.withColumn("part", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("c")
@@ -335,7 +353,14 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     first = saved(star.where(_possible(percent, "h", "hh")).select(F.col("head").alias("a"), F.col("cls").alias("b")).distinct(), "pairs")
     links = confirm(first).union(_same_document(known, classes))
     roots = components(links)
-    second = saved(_unjoined(star, roots, classes, percent).join(first, ["a", "b"], "left_anti"), "pairs")
+    rooted = _rooted(star, roots)
+    others = saved(_other_heads(rooted, percent).join(first, ["a", "b"], "left_anti"), "pairs")
+    if not others.isEmpty():
+        links = links.union(confirm(others))
+        roots = components(links)
+        rooted = _rooted(star, roots)
+    tried = first.union(others)
+    second = saved(_unjoined(rooted, classes, percent).join(tried, ["a", "b"], "left_anti"), "pairs")
     if not second.isEmpty():
         roots = components(links.union(confirm(second)))
 

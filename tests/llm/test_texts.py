@@ -416,7 +416,7 @@ def test_long_list_of_unlinked_members(spark):
     star = near_dup._star(posted)
     classes = posted.select("cls", *[F.expr(f"xxhash64(cls, {k})").alias(f"o{k}") for k in range(near_dup.PARITY)])
     roots = spark.createDataFrame([(0, 0)], "node bigint, root bigint")
-    pairs = near_dup._unjoined(star, roots, classes, 80)
+    pairs = near_dup._unjoined(near_dup._rooted(star, roots), classes, 80)
     assert pairs.count() < 4000 * 4000 / 2000  # unlike maps: few of eight million pairs are left
     plan = pairs._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan and "NestedLoop" not in plan
