@@ -354,8 +354,8 @@ def total_times(spark, d):
 @query()
 def scaleout_measured(spark, d):
     """Wall seconds to the same draws with 1 to 4 served instances: a filter and a grouping."""
-    good = W.scaleout(W.with_strata(W.w4(spark, d), 4), lambda text: str(not rules.low_quality_of(text)).lower(), "string", steps=3, batch_share=0.3)
-    return good.unionByName(W.scaleout(W.with_strata(W.w8(spark, d), 8), rules.language_of, "string", seconds=0.01, config=GroupConfig(h_max=16, gamma=0.97, scope="per_category"), steps=3))
+    good = W.scaleout(W.with_strata(W.w4(spark, d), 4), lambda text: str(not rules.low_quality_of(text)).lower(), "string", seconds=0.1, steps=3, batch_share=0.3)
+    return good.unionByName(W.scaleout(W.with_strata(W.w8(spark, d), 8), rules.language_of, "string", seconds=0.08, config=GroupConfig(adjust=False, scope="per_category"), steps=2))
 
 
 @query()
