@@ -113,24 +113,18 @@ class PrefixCounter:
 
     def _sweep(self, words: list[bytes]) -> list[bytes | list[int]]:
         """Counts at each byte of some words. Of neighbours with a common prefix (words in order), it is counted once."""
-        agree, rank, width, longest = self.agree, self.rank, self.width, self.longest
-        out, before, last, count = [], b"", [-1], [0]
-        for raw in words:
-            k = 0
-            for x, y in zip(before, raw, strict=False):
-                if x != y:
-                    break
-                k += 1
+        agree, find, width, longest = self.agree, self.rank.get, self.width, self.longest
+        out, last, count = [], [-1], [0]
+        for raw, k in zip(words, _common_prefixes(words), strict=True):
             del last[k + 1 :], count[k + 1 :]
             for end in range(k + 1, len(raw) + 1):
-                for start in range(end - 1, max(-1, end - 1 - longest), -1):
-                    t = rank.get(raw[start:end])
+                for start in range(end - 1, end - 1 - longest if end > longest else -1, -1):
+                    t = find(raw[start:end])
                     if t is not None and (start == 0 or agree[last[start] << 32 | t]):
                         break
                 last.append(t)
                 count.append(count[end - width[t]] + 1)
             out.append(count[1:])
-            before = raw
         return out
 
     def _learn(self, texts: list[list[str]]) -> None:
@@ -139,16 +133,31 @@ class PrefixCounter:
         if len(self.words) + len(new) > self.words.most:
             self.words.clear()
             new = [x for x in seen if len(x) <= self.memo_chars]
-        raws = sorted((x.encode(), x) for x in new)
-        for (raw, x), counts in zip(raws, self._sweep([r for r, _ in raws]), strict=True):
+        new.sort()  # the order of their bytes too
+        raws = [x.encode() for x in new]
+        for x, raw, counts in zip(new, raws, self._sweep(raws), strict=True):
             counts = counts if len(raw) == len(x) else _at_characters(raw, counts)
-            self.words[x] = bytes(counts) if counts[-1] < 256 > max(counts) else counts
+            self.words[x] = bytes(counts) if len(raw) < 256 or max(counts) < 256 else counts  # no count exceeds its place
 
     def truncate(self, counts: np.ndarray, budget: int) -> int:
         """Characters of the longest prefix of at most `budget` tokens."""
         return int(np.flatnonzero(counts <= budget)[-1])
 
 
+def _common_prefixes(words: list[bytes]) -> list[int]:
+    """Of each word, how many bytes it begins with as the word before it does."""
+    if len(words) < 2:
+        return [0] * len(words)
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    if sizes.max() > 256:  # a square of such would not fit
+        return [0, *(next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b))) for a, b in zip(words, words[1:], strict=False))]
+    square = np.array(words, dtype=f"S{sizes.max() + 1}").view(np.uint8).reshape(len(words), -1)
+    differ = np.argmax(square[1:] != square[:-1], axis=1)  # 0 too where padded words are equal
+    same = (square[1:] == square[:-1]).all(axis=1)
+    least = np.minimum(sizes[1:], sizes[:-1])
+    return [0, *np.where(same, least, np.minimum(differ, least)).tolist()]
+
+
 def _at_characters(raw: bytes, counts: list[int]) -> list[int]:
     """Of counts at bytes, those at the ends of characters."""
     return [c for c, following in zip(counts, raw[1:] + b"a", strict=True) if following & 0xC0 != 0x80]
