@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 import zstandard
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import _arrow_schema, saved
@@ -183,13 +183,16 @@ def _size(h: str) -> Column:
     return F.shiftright(h, 20)
 
 
+def _left(h: str) -> Column:
+    return F.shiftright(h, 10).bitwiseAND(1023)
+
+
 def _possible(percent: int, a: str, b: str) -> Column:
     """Sizes may be linked, and enough values are left in both sketches from the shared one on (it may be the first that
     they share)."""
     n, m = _size(a), _size(b)
-    left = lambda h: F.shiftright(h, 10).bitwiseAND(1023)
     least = lambda h: F.col(h).bitwiseAND(1023)
-    return (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (F.least(left(a), left(b)) >= F.greatest(least(a), least(b)))
+    return (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (F.least(_left(a), _left(b)) >= F.greatest(least(a), least(b)))
 
 
 def _star(posted: DataFrame) -> DataFrame:
@@ -301,7 +304,11 @@ def _other_heads(rooted: DataFrame, percent: int) -> DataFrame:
 def _unjoined(rooted: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) of list members that are not yet joined with the head of their list with the members of it that are
     elsewhere too. The key is a list, a class of sizes (linked sets are of one class or of neighbouring ones) and, for
-    each BLOCK members of a long list, a part of them. Members without such a partner in their list take no part."""
+    each BLOCK members of a long list, a part of them. Members without such a partner in their list take no part.
+
+    Sets share many lists, but a pair is made once, in the first of their common lists that both take part in: a member
+    knows its lists before this one. Of a linked pair that is the first value they share, or one of the two is the head there
+    and they have met."""
     odd = [f"o{k}" for k in range(PARITY)]
     grade = F.floor(F.log(_size("h").cast("double")) / F.log(F.lit(100 / percent)) + 1e-9).cast("int")
     graded = rooted.withColumn("grade", grade)
@@ -311,13 +318,16 @@ def _unjoined(rooted: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     elsewhere = lambda g: (F.abs(g["grade"] - F.col("grade")) <= 1) & ((g["low"] != F.col("r")) | (g["high"] != F.col("r")))
     members = graded.join(lists, "v").where(F.exists("grades", elsewhere)).drop("grades").join(classes.select("cls", *odd), "cls")
     blocks = F.ceil(F.col("c") / BLOCK).cast("int")
+    earlier = Window.partitionBy("cls").orderBy(F.desc(_left("h"))).rowsBetween(Window.unboundedPreceding, -1)  # of at most K lists
+    members = members.withColumn("before", F.collect_list("v").over(earlier))
     members = saved(members.withColumn("part", F.pmod(F.xxhash64("cls"), blocks).cast("int")), "members")
-    left = members.where("r <> hr").select(F.col("cls").alias("a"), "h", "r", *odd, "v", F.explode(F.sequence(F.col("grade") - 1, F.col("grade") + 1)).alias("grade"), "c")
+    left = members.where("r <> hr").select(F.col("cls").alias("a"), "h", "r", "before", *odd, "v", F.explode(F.sequence(F.col("grade") - 1, F.col("grade") + 1)).alias("grade"), "c")
     left = left.withColumn("part", F.explode(F.sequence(F.lit(0), blocks - 1))).drop("c")
-    right = members.select("v", "grade", "part", F.col("cls").alias("b"), F.col("h").alias("g"), F.col("r").alias("s"), *[F.col(c).alias(f"b_{c}") for c in odd])
+    right = members.select("v", "grade", "part", F.col("cls").alias("b"), F.col("h").alias("g"), F.col("r").alias("s"), (F.col("r") != F.col("hr")).alias("open"), F.col("before").alias("b_before"), *[F.col(c).alias(f"b_{c}") for c in odd])
     near = _parity(percent, _size("h"), _size("g"), "", "b_", odd)
-    pairs = left.join(right, ["v", "grade", "part"]).where((F.col("r") != F.col("s")) & _possible(percent, "h", "g") & near)
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    once = (~F.col("open") | (F.col("a") < F.col("b"))) & ~F.arrays_overlap("before", "b_before")
+    pairs = left.join(right, ["v", "grade", "part"]).where((F.col("r") != F.col("s")) & _possible(percent, "h", "g") & near & once)
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def _same_document(known: DataFrame, classes: DataFrame) -> DataFrame:
