@@ -416,3 +416,21 @@ def test_simulated_service_takes_its_time(spark):
     start = time.perf_counter()
     assert SimulatedService(RuleLabeler(F.lit("a")), 0.05, 2, real=True).label(rows).where("is_valid").count() == 40
     assert time.perf_counter() - start >= 0.9
+
+
+@pytest.mark.parametrize("design", ["uniform", "by_group"])
+def test_projection_takes_few_jobs_for_many_steps(spark, sf, design):
+    """Steps that no rule can leave out are labelled in blocks, with the answers and draws of single steps."""
+    events, labeler = spark.read.parquet(f"{sf}/events.parquet").limit(600), ExtractLabeler(JsonExtractor("k INT", "k", 5, 99))
+    how = {"agg": "sum", "batch": 25, "design": design}
+    spark.sparkContext.setJobGroup(f"blocks-{design}", "")
+    log = select_engine.progressive_select(events, "event_id", "props", labeler, ["event_type"], **how)
+    jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"blocks-{design}"))
+    spark.sparkContext.setJobGroup("other", "")
+    single = select_engine.progressive_select(events, "event_id", "props", labeler, ["event_type"], stop=Stop(budget=10**9), **how)
+    plain = lambda x: [(r["step"], r["calls"], r["grp"], r["n_valid"], r["is_final"]) for r in x.rows]
+    steps = 1 + log.rows[-1]["step"]
+    assert plain(log) == plain(single) and steps >= 20 and jobs < 2 * steps
+    assert all((a["estimate"] is None) == (b["estimate"] is None) and (a["estimate"] is None or isclose(a["estimate"], b["estimate"])) for a, b in zip(log.rows, single.rows, strict=True))
+    drawn = lambda x: sorted((r.event_id, r.step) for r in x.details["draws"].all().collect())
+    assert drawn(log) == drawn(single) and Stop(max_steps=3).sure(9) == 3 and Stop(bound=0.1).sure(9) == 0

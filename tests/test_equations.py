@@ -151,3 +151,13 @@ def test_stratified_filter_is_unbiased_and_priority_means_are_not():
     error = np.std(expanded) / sqrt(300)
     assert abs(np.mean(expanded) - truth) < 5 * error + 0.1
     assert abs(np.mean(plain) - truth) > 10 * error
+
+
+def test_sums_of_whole_numbers_are_exact():
+    """Count times mean is not: at large sums that shows in the sixth decimal of an estimate."""
+    parts = [Moments(n, s / n, 0.0, float(s)) for n, s in ((49, 4973), (7, 611), (93, 9001), (41, 3))]
+    held = sum(parts, Moments())
+    assert held.sum == 4973 + 611 + 9001 + 3 and held.n == 190
+    assert stratified_filter([StratumDraws(1_000_003, 200, held)], "sum")[0] == 1_000_003 * 14588.0 / 200
+    assert valid_mean(held)[0] == 14588 / 190
+    assert (held + Moments(2, 3.0)).known_sum is None and Moments(2, 3.0).sum == 6.0
