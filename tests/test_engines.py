@@ -390,6 +390,55 @@ def test_errors_end_at_zero_and_scale_out_gains(spark):
     assert got[0].calls == got[1].calls == 100 and got[1].speedup > 1.5
 
 
+def test_one_endpoint_is_one_task(spark):
+    rows = spark.range(0, 64, 1, 8).select("id", F.lit("x").alias("text"))
+    for endpoints, tasks, wanted in ((("one",), 1, 1), (("one",), 2, 2), (("one", "two"), 1, 2)):
+        got = ServiceLabeler(lambda e: (lambda texts: texts), endpoints, tasks_per_endpoint=tasks).label(rows)
+        assert got.where("is_valid").count() == 64 and got.select(F.spark_partition_id()).distinct().count() == wanted
+
+
+def test_served_runs_go_side_by_side_with_whole_waits(spark):
+    import time
+
+    w = W.with_strata(W.w8(spark, "/root/testdata/sf0.001"), 4)
+    start = time.perf_counter()
+    got = W.scaleout(w, rules.language_of, "string", (1, 1, 1), seconds=0.15, steps=1, config=group_engine.GroupConfig(adjust=False, round_fraction=0.25)).collect()
+    assert [r.calls for r in got] == [50] * 3 and all(r.seconds >= 50 * 0.15 for r in got)
+    assert time.perf_counter() - start < 0.8 * sum(r.seconds for r in got)
+
+
+def test_side_by_side_keeps_to_its_slots(spark):
+    from concurrent.futures import ThreadPoolExecutor
+    from time import sleep
+
+    sizes, busy, ready, seen = [1, 2, 3, 4, 9], [], [], []
+    order = W.SideBySide(4, len(sizes))
+
+    def go(n):
+        with order.run(n) as turn:
+            ready.append(n)
+            turn()
+            busy.append(min(n, 4))
+            seen.append((len(ready), sum(busy)))
+            sleep(0.05)
+            busy.remove(min(n, 4))
+
+    with ThreadPoolExecutor(len(sizes)) as pool:
+        list(pool.map(go, sizes))
+    assert all(r == len(sizes) for r, _ in seen) and max(b for _, b in seen) == 4 and order.free == 4
+    order = W.SideBySide(4, 2)
+
+    def fails(n):
+        with order.run(n) as turn:
+            if n == 1:
+                raise ValueError("in setting up")
+            turn()
+
+    with ThreadPoolExecutor(2) as pool:
+        first, second = pool.submit(fails, 1), pool.submit(fails, 2)
+        assert isinstance(first.exception(), ValueError) and isinstance(second.exception(), RuntimeError)
+
+
 def test_rule_twins(spark, sf):
     docs = table(spark, sf, "documents").select("text", rules.language().alias("l"), rules.low_quality().alias("q")).collect()
     assert [(r.l, r.q) for r in docs] == [(rules.language_of(r.text), rules.low_quality_of(r.text)) for r in docs]
