@@ -30,7 +30,9 @@ def stage_draws(draws: DataFrame, path: str, step: str = "step", files_per_step:
     draft = f"{path.rstrip('/')}-draft"
     names = [c for c in draws.columns if c != step]
     dealt = draws.withColumn("_step", F.col(step)).withColumn("_file", F.pmod(F.xxhash64(*names), F.lit(files_per_step)))
-    dealt.repartition("_step", "_file").drop("_file").write.mode("overwrite").partitionBy("_step").parquet(draft)
+    # tasks of a given number: otherwise Spark joins few rows to one task, which writes one file a step
+    by = ("_step", "_file") if files_per_step == 1 else (int(spark.conf.get("spark.sql.shuffle.partitions")), "_step", "_file")
+    dealt.repartition(*by).drop("_file").write.mode("overwrite").partitionBy("_step").parquet(draft)
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs
     store = hadoop.Path(path).getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
     store.mkdirs(hadoop.Path(path))
