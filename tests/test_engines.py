@@ -467,6 +467,30 @@ def test_simulated_service_takes_its_time(spark):
     assert time.perf_counter() - start >= 0.9
 
 
+def test_one_task_waits_for_many_instances_and_leaves_rows_as_they_are(spark):
+    import time
+
+    rows = spark.range(40).select("id", F.lit("x").alias("text"), F.when(F.col("id") > 0, F.lit(2**53 + 1)).alias("n"))
+    for instances, tasks in ((4, 1), (4, 2), (2, None)):
+        start = time.perf_counter()
+        got = SimulatedService(RuleLabeler(F.lit("a")), 0.1, instances, real=True, tasks=tasks).label(rows).select("*", F.spark_partition_id().alias("p")).collect()
+        assert time.perf_counter() - start >= 40 / instances * 0.1
+        assert len({r.p for r in got}) == (tasks or instances) and {(r.id, r.n) for r in got} == {(i, 2**53 + 1 if i else None) for i in range(40)}
+    with pytest.raises(ValueError):
+        SimulatedService(RuleLabeler(F.lit("a")), 0.1, 4, real=True, tasks=3).label(rows)
+
+
+def test_methods_with_long_waits_wait_side_by_side(spark, sf):
+    import time
+
+    w = W.w1(spark, sf)
+    rows, instances = w.df.count(), spark.sparkContext.defaultParallelism
+    start = time.perf_counter()
+    got = W.total_times([w], seconds_per_row=0.04, batch_share=0.5, apart=5.0).collect()
+    assert [r.method for r in got] == ["full_scan", "batch_semantic", "ours"] and all(r.total_seconds >= rows * 0.04 / instances for r in got)
+    assert time.perf_counter() - start < 0.6 * sum(r.total_seconds for r in got)
+
+
 @pytest.mark.parametrize("design", ["uniform", "by_group"])
 def test_projection_takes_few_jobs_for_many_steps(spark, sf, design):
     """Steps that no rule can leave out are labelled in blocks, with the answers and draws of single steps."""
