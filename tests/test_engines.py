@@ -491,6 +491,36 @@ def test_methods_with_long_waits_wait_side_by_side(spark, sf):
     assert time.perf_counter() - start < 0.6 * sum(r.total_seconds for r in got)
 
 
+@pytest.mark.parametrize("slots", [4, 8])
+def test_later_workloads_are_made_and_run_beside_long_waits(spark, sf, slots, monkeypatch):
+    """With whole waits of all, and after the long ones where no slot is left for them."""
+    import time
+    from dataclasses import replace
+
+    monkeypatch.setattr(type(spark.sparkContext), "defaultParallelism", slots)
+    w, made = W.w1(spark, sf), []
+
+    def later():
+        made.append(time.perf_counter() - start)
+        return replace(w, name="later", df=w.df.where("event_id < 100"))
+
+    start = time.perf_counter()
+    got = W.total_times([w, later], seconds_per_row=0.02 * slots, batch_share=0.5, apart=5.0).collect()
+    wall = time.perf_counter() - start
+    assert [(r.workload, r.method) for r in got] == [(n, m) for n in ("W1", "later") for m in ("full_scan", "batch_semantic", "ours")]
+    long, short = ([r.total_seconds for r in got if r.workload == n] for n in ("W1", "later"))
+    assert min(long) >= w.df.count() * 0.02 > 5 > min(short) >= 100 * 0.02 and made[0] < min(long)
+    assert wall < max(long) + sum(short) if slots == 8 else wall > max(long) + sum(short)
+
+
+def test_an_error_beside_long_waits_ends_all(spark, sf):
+    from dataclasses import replace
+
+    w = W.w1(spark, sf)
+    with pytest.raises(ValueError, match="no such index"):
+        W.total_times([replace(w, df=w.df.where("event_id < 400")), lambda: (_ for _ in ()).throw(ValueError("no such index"))], seconds_per_row=0.02, batch_share=0.5, apart=1.0)
+
+
 @pytest.mark.parametrize("design", ["uniform", "by_group"])
 def test_projection_takes_few_jobs_for_many_steps(spark, sf, design):
     """Steps that no rule can leave out are labelled in blocks, with the answers and draws of single steps."""
