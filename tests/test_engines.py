@@ -439,6 +439,66 @@ def test_side_by_side_keeps_to_its_slots(spark):
         assert isinstance(first.exception(), ValueError) and isinstance(second.exception(), RuntimeError)
 
 
+def test_side_by_side_starts_low_ranks_first():
+    from concurrent.futures import ThreadPoolExecutor
+    from time import sleep
+
+    ranks, started = [4, 2, 9, 1, 3, 1], []
+    order = W.SideBySide(2, len(ranks))
+
+    def go(rank):
+        with order.run(1, rank) as turn:
+            sleep(0.01 * (10 - rank))
+            turn()
+            started.append(rank)
+            sleep(0.1)
+
+    with ThreadPoolExecutor(len(ranks)) as pool:
+        list(pool.map(go, ranks))
+    assert started[:2] == [1, 1] and sorted(started[2:4]) == [2, 3] and sorted(started[4:]) == [4, 9] and not order.waiting
+
+
+def test_a_task_asks_its_endpoints_one_request_at_a_time(spark):
+    import time
+
+    def client(endpoint):
+        from threading import Lock
+
+        open_now, lock = [0], Lock()
+
+        def ask(texts):
+            with lock:
+                open_now[0] += 1
+                seen = open_now[0]
+            time.sleep(0.1 * len(texts))
+            with lock:
+                open_now[0] -= 1
+            return [f"{endpoint} {seen} {x}" for x in texts]
+
+        return ask
+
+    rows = spark.range(0, 48, 1, 8).select("id", F.col("id").cast("string").alias("text"))
+    for endpoints, each, tasks in ((("a", "b", "c"), 3, 1), (("a", "b", "c", "d"), 2, 2), (("a",), 1, 1)):
+        start = time.perf_counter()
+        got = ServiceLabeler(client, endpoints, batch_size=4, max_inflight=1, endpoints_per_task=each).label(rows).select("*", F.spark_partition_id().alias("p")).collect()
+        assert time.perf_counter() - start >= 48 * 0.1 / len(endpoints)
+        assert len({r.p for r in got}) == tasks and {r.label.split()[1] for r in got} == {"1"} and {r.label.split()[0] for r in got} == set(endpoints)
+        assert sorted(int(r.label.split()[2]) for r in got) == list(range(48)) and all(r.is_valid and r.label.split()[2] == r.text for r in got)
+    with pytest.raises(ValueError):
+        ServiceLabeler(client, ("a", "b", "c"), endpoints_per_task=2).label(rows)
+
+
+def test_served_runs_of_many_instances_go_side_by_side(spark):
+    import time
+
+    served = W.Served(lambda: W.with_strata(W.w8(spark, "/root/testdata/sf0.001"), 4), rules.language_of, "string", 0.45, 0.05, 1, {"config": group_engine.GroupConfig(adjust=False, round_fraction=0.25)})
+    start = time.perf_counter()
+    got = W.scaleouts([served], (3, 3, 3)).collect()
+    wall = time.perf_counter() - start
+    assert [r.calls for r in got] == [50] * 3 and all(r.seconds >= 50 * 0.45 / 3 for r in got)
+    assert wall < 0.9 * sum(r.seconds for r in got)
+
+
 def test_rule_twins(spark, sf):
     docs = table(spark, sf, "documents").select("text", rules.language().alias("l"), rules.low_quality().alias("q")).collect()
     assert [(r.l, r.q) for r in docs] == [(rules.language_of(r.text), rules.low_quality_of(r.text)) for r in docs]
